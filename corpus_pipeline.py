@@ -1,21 +1,48 @@
-"""The corpus pipeline: quality classifier, line dedup, near-dedup, decontamination, packing."""
+"""The corpus pipeline: quality classifier, line dedup, near-dedup, decontamination, packing.
+
+Every stage takes (spark, docs, sf_dir) and works on all that its predecessor kept; all but the last return the
+columns of documents. Stages that only filter decide next to the text and shuffle no text.
+"""
 
 from __future__ import annotations
 
 from pyspark.sql import DataFrame, SparkSession
 
-from robustcenters.llm import packing, simhash
+from robustcenters.llm import cotraining, decontamination, line_dedup, packing, simhash
+
+
+def keep_good_quality(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """Documents that the co-trained classifier does not reject."""
+    return cotraining.keep_good(docs, spark.read.parquet(f"{sf_dir}/labels.parquet"))
+
+
+def drop_recurring_lines(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """Texts without the lines of templates that an earlier document has; every document stays."""
+    return line_dedup.drop_recurring_lines(docs)
 
 
 def one_of_each_group(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """The document with the smallest id of each group of near-duplicates."""
     return simhash.keep_one(docs)
 
 
+def drop_leaked(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """Documents without a benchmark item."""
+    return decontamination.drop_leaked(docs, spark.read.parquet(f"{sf_dir}/benchmark.parquet"))
+
+
 def pack(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """Planned places of all pieces in sequences."""
     return packing.pack_documents(docs)
 
 
-STAGES = [("simhash near-dedup", one_of_each_group), ("best-fit packing", pack)]
+STAGES = [
+    ("quality classifier", keep_good_quality),
+    ("line dedup", drop_recurring_lines),
+    ("simhash near-dedup", one_of_each_group),
+    ("benchmark decontamination", drop_leaked),
+    ("best-fit packing", pack),
+]
 #: Trained models and iteration are beyond SQL; tests hold the stages against brute force.
 ORACLE_SQL = None
 
