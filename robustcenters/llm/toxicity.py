@@ -22,11 +22,11 @@ from .common import arrow_schema, checkpoint, chunks, text_bytes
 
 GRADES = 4
 #: Labelled documents to fit on (half of them toxic, if there are so many), and features to keep.
-SAMPLE, FEATURES = 12_000, 6000
+SAMPLE, FEATURES = 12_000, 2000
 STRIP = b".,;:!?\"'()[]*#$%&|<>"
 PREFIXES = (4, 5)
-#: A feature is kept if at least so many toxic documents have it, at odds of at least e to this power.
-LEAST_DOCS, LEAST_LOG_ODDS = 4, 2.0
+#: A feature is kept if at least so many toxic documents, and this share of them, have it, at odds of at least e to this power.
+LEAST_DOCS, LEAST_SHARE, LEAST_LOG_ODDS = 4, 0.01, 2.0
 
 
 def features_of(word: bytes) -> list[bytes]:
@@ -117,8 +117,8 @@ def fit(docs: DataFrame, labels: DataFrame, sample: int = SAMPLE) -> tuple[dict[
     spark = docs.sparkSession
     chosen = sampled(docs, labels, "toxic", sample)
     # at most ``sample`` rows of two numbers
-    texts = text_bytes(docs).join(F.broadcast(chosen), "doc_id").select("doc_id", "body", "label").where(F.col("label").isNotNull())
-    texts = checkpoint(texts)
+    texts = text_bytes(docs).join(F.broadcast(chosen), "doc_id").select("doc_id", "body", "label")
+    texts = checkpoint(texts.dropDuplicates(["body"]))  # copies of one text are one example
     schema = "feature binary, label int"
     arrow = arrow_schema(spark, schema)
 
@@ -138,7 +138,7 @@ def fit(docs: DataFrame, labels: DataFrame, sample: int = SAMPLE) -> tuple[dict[
         return {}, Ordinal(np.zeros(1), np.array([35.0] * (GRADES - 1)))
     counts = texts.mapInArrow(explode, schema).groupBy("feature").agg(F.sum("label").alias("t"), F.sum(1 - F.col("label")).alias("c"))
     odds = F.log((F.col("t") + 0.5) / (toxic + 1)) - F.log((F.col("c") + 0.5) / (clean + 1))
-    chosen = counts.where(F.col("t") >= LEAST_DOCS).withColumn("odds", odds).where(F.col("odds") > LEAST_LOG_ODDS)
+    chosen = counts.where(F.col("t") >= max(LEAST_DOCS, LEAST_SHARE * toxic)).withColumn("odds", odds).where(F.col("odds") > LEAST_LOG_ODDS)
     kept = chosen.orderBy(F.desc(F.col("odds") * F.sqrt("t")), "feature").limit(FEATURES).collect()
     index = {bytes(r["feature"]): i for i, r in enumerate(kept)}
     lexicon = frozenset(i for f, i in index.items() if f.startswith(b"w="))
