@@ -6,14 +6,24 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
+from .plans import clustering_queries
+from .plans.pipeline import RobustSpec, fit, report
+from .sources import points
+
 
 def flagship(spark: SparkSession, sf_dir: str) -> DataFrame:
-    raise NotImplementedError
+    """The complete algorithm on event values: centers with their points, weight, cost and outliers."""
+    p = points.events_scalar(spark, sf_dir)
+    return report(p, fit(p, RobustSpec(5, 100, 0.5, "refined", "abs", parts=4)))
+
+
+def _sets():
+    return (clustering_queries,)
 
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
-    return {}
+    return {k: f for s in _sets() for k, f in s.QUERIES.items()}
 
 
 def oracle_sql() -> dict[str, str]:
-    return {}
+    return {k: q for s in _sets() for k, q in s.ORACLES.items()}
