@@ -6,7 +6,7 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
-from .plans import clustering_queries
+from .plans import clustering_queries, relational_queries
 from .plans.pipeline import RobustSpec, fit, report
 from .sources import points
 
@@ -14,11 +14,11 @@ from .sources import points
 def flagship(spark: SparkSession, sf_dir: str) -> DataFrame:
     """The complete algorithm on event values: centers with their points, weight, cost and outliers."""
     p = points.events_scalar(spark, sf_dir)
-    return report(p, fit(p, RobustSpec(5, 100, 0.5, "refined", "abs", parts=4)))
+    return report(p, fit(p, RobustSpec(5, 100, 0.5, "refined", "abs", parts=4, outlier_factor=2.0, options={"eps": 0.5})))
 
 
 def _sets():
-    return (clustering_queries,)
+    return clustering_queries, relational_queries
 
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:

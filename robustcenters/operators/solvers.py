@@ -147,6 +147,8 @@ def trimmed_swap(d, w, k, z, power=2, eps=0.1, init="first_ids", max_passes=60,
             break
         centers, out, now = new, mass, cost
         stats["passes"] += 1
+    # for the final centers the farthest units of the same mass are never dearer
+    out = trim(d[:, centers].min(axis=1), w, int(out.sum()))
     stats["outlier_mass"] = int(out.sum())
     return _finish(d, w, centers, z, power, stats, out)
 

@@ -481,7 +481,7 @@ def solver_identity_replicated(spark, sf_dir):
     return ok_rows(spark, {"same cost": abs(a - b) <= 0.5 * max(a, b) + 1e-9})
 
 
-_SPEC = RobustSpec(5, 100, 0.5, "refined", "abs", parts=4)
+_SPEC = RobustSpec(5, 100, 0.5, "refined", "abs", parts=4, outlier_factor=2.0, options={"eps": 0.5})
 
 
 @query(o.checks("exactly z outliers", "every point once", "reload equals"))

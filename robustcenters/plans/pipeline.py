@@ -3,6 +3,7 @@
 from __future__ import annotations
 
 import json
+import math
 from dataclasses import asdict, dataclass, field
 
 from pyspark.sql import DataFrame, SparkSession
@@ -68,7 +69,11 @@ class Model:
 def model_of(coreset: DataFrame, spec: RobustSpec, extra: dict | None = None) -> Model:
     """Round 3 on a weighted set."""
     kept = coreset
-    rows = solvers.solve(kept, spec.k, spec.z, spec.solver, spec.metric, spec.power, spec.max_rows, **spec.options).collect()
+    options = dict(spec.options)
+    if spec.solver == "trimmed_swap":
+        # the outlier inflation is fixed before round 1, so it also bounds what the search may forget
+        options = {"outlier_cap": math.ceil(spec.outlier_factor * spec.z), "init": "dsq"} | options
+    rows = solvers.solve(kept, spec.k, spec.z, spec.solver, spec.metric, spec.power, spec.max_rows, **options).collect()
     ids = [r["pid"] for r in rows if r["kind"] == "center"]
     found = {r["pid"]: r["pt"] for r in kept.where(F.col("pid").isin(ids)).select("pid", "pt").collect()}
     stats = {r["kind"].removeprefix("stat:"): r["value"] for r in rows if r["pid"] is None} | (extra or {})
