@@ -6,9 +6,10 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
-from .plans import clustering_queries, relational_queries
+from .plans import clustering_queries, relational_queries, workloads
 from .plans.pipeline import RobustSpec, fit, report
 from .sources import points
+from .streaming import stream_queries
 
 
 def flagship(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -18,7 +19,7 @@ def flagship(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def _sets():
-    return clustering_queries, relational_queries
+    return clustering_queries, relational_queries, workloads, stream_queries
 
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:

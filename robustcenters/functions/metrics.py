@@ -78,6 +78,26 @@ def jaccard(x: frozenset, y: frozenset) -> float:
     return 1 - both / union if union else 0.0
 
 
+def _jaccard_block(a: np.ndarray, b: np.ndarray) -> np.ndarray:
+    """Set distances as one matrix product over the words of the smaller side, a few rows at a time."""
+    if len(a) < len(b):
+        return _jaccard_block(b, a).T
+    place = {w: i for i, w in enumerate(sorted(set().union(*b)))} if len(b) else {}
+    marks = np.zeros((len(b), max(1, len(place))), dtype="float32")
+    for j, words in enumerate(b):
+        marks[j, [place[w] for w in words]] = 1
+    sizes, other = np.array([len(x) for x in a]), np.array([len(x) for x in b])
+    out = np.zeros((len(a), len(b)))
+    for at in range(0, len(a), 128):
+        own = np.zeros((min(128, len(a) - at), marks.shape[1]), dtype="float32")
+        for i, words in enumerate(a[at : at + 128]):
+            own[i, [place[w] for w in words if w in place]] = 1
+        both = own @ marks.T
+        union = sizes[at : at + 128, None] + other[None] - both
+        out[at : at + 128] = np.where(union > 0, 1 - both / np.maximum(union, 1), 0.0)
+    return out
+
+
 def _unit(a: np.ndarray) -> np.ndarray:
     return a / np.maximum(np.linalg.norm(a, axis=1, keepdims=True), 1e-300)
 
@@ -145,7 +165,7 @@ EDIT = Metric("edit", "string", True, lambda a, b: F.levenshtein(a, b).cast("dou
 JACCARD = Metric(
     "jaccard", "set", True,
     lambda a, b: F.when(F.size(F.array_union(a, b)) == 0, 0.0).otherwise(1 - F.size(F.array_intersect(a, b)) / F.size(F.array_union(a, b))),
-    _objects(jaccard),
+    _jaccard_block,
 )
 HAVERSINE = Metric("haversine", "vector", True, _haversine_expr, _haversine)
 #: Payload (nation, region): 0 in a nation, 1 in a region, 2 beyond.
