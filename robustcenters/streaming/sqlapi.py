@@ -6,8 +6,7 @@ import pandas as pd
 from pyspark.sql import SparkSession
 from pyspark.sql.functions import pandas_udf, udtf
 
-from ..functions import metrics
-from ..operators import kernels
+from .table_functions import BallCover, KMeansOut
 
 
 @pandas_udf("long")
@@ -27,49 +26,6 @@ def trimmed_sum(dist: pd.Series, z: pd.Series) -> float:
     return float((dist.sort_values(ascending=False).iloc[int(z.iloc[0]) :] ** 2).sum())
 
 
-class BallCover:
-    """ball_cover(TABLE(t) PARTITION BY p ORDER BY pid, delta, radius): scalar points (pid, x, near) to balls (pid, w)."""
-
-    def __init__(self):
-        self.rows: list[tuple[int, float, float]] = []
-        self.delta = self.radius = 0.0
-
-    def eval(self, row, delta: float, radius: float):
-        self.rows.append((row["pid"], row["x"], row["near"]))
-        self.delta, self.radius = delta, radius
-
-    def terminate(self):
-        import numpy as np
-
-        if self.rows:
-            ids, x, near = (np.array(c) for c in zip(*sorted(self.rows)))
-            picked, mass, _, _ = kernels.ball_cover(metrics.ABS, x.astype(float), near.astype(float), np.ones(len(x), dtype="int64"), self.delta, self.radius)
-            yield from ((int(ids[i]), int(m)) for i, m in zip(picked, mass))
-
-
-class KMeansOut:
-    """kmeans_out(TABLE(t) PARTITION BY p, k, z): weighted scalar points (pid, x, w) to centers (pid, cost)."""
-
-    def __init__(self):
-        self.rows: list[tuple[int, float, int]] = []
-        self.k, self.z = 1, 0
-
-    def eval(self, row, k: int, z: int):
-        self.rows.append((row["pid"], row["x"], row["w"]))
-        self.k, self.z = k, z
-
-    def terminate(self):
-        import numpy as np
-
-        from ..operators import solvers
-
-        if self.rows:
-            ids, x, w = (np.array(c) for c in zip(*sorted(self.rows)))
-            d = np.round(np.abs(x[:, None] - x[None]), 9)
-            s = solvers.alternate(d, w.astype("int64"), self.k, self.z)
-            yield from ((int(ids[c]), float(s.cost)) for c in s.centers)
-
-
 SQL_FUNCTIONS = {
     "l2": "sqrt(aggregate(zip_with(a, b, (x, y) -> (x - y) * (x - y)), 0D, (s, t) -> s + t))",
     "l1": "aggregate(zip_with(a, b, (x, y) -> abs(x - y)), 0D, (s, t) -> s + t)",
