@@ -9,8 +9,7 @@ from pyspark.sql.functions import pandas_udf, udtf
 from .table_functions import BallCover, KMeansOut
 
 
-@pandas_udf("long")
-def medoid(pid: pd.Series, x: pd.Series) -> int:
+def _medoid(pid: pd.Series, x: pd.Series) -> int:
     """The member with the least total distance to its group; ties by least id. For scalars, by sorted prefix sums."""
     order = pd.DataFrame({"p": pid, "x": x}).sort_values("x", kind="stable")
     v = order["x"].to_numpy("float64")
@@ -20,12 +19,21 @@ def medoid(pid: pd.Series, x: pd.Series) -> int:
     return int(min(zip(total.round(6), order["p"]))[1])
 
 
-@pandas_udf("double")
-def trimmed_sum(dist: pd.Series, z: pd.Series) -> float:
+def _trimmed_sum(dist: pd.Series, z: pd.Series) -> float:
     """Sum of squares after the z largest are forgotten."""
     return float((dist.sort_values(ascending=False).iloc[int(z.iloc[0]) :] ** 2).sum())
 
 
+def medoid(pid, x):
+    """Column: the medoid of a group. Made on call, since a grouped function needs a session."""
+    return pandas_udf(_medoid, "long")(pid, x)
+
+
+def trimmed_sum(dist, z):
+    """Column: the trimmed cost of a group."""
+    return pandas_udf(_trimmed_sum, "double")(dist, z)
+
+
 SQL_FUNCTIONS = {
     "l2": "sqrt(aggregate(zip_with(a, b, (x, y) -> (x - y) * (x - y)), 0D, (s, t) -> s + t))",
     "l1": "aggregate(zip_with(a, b, (x, y) -> abs(x - y)), 0D, (s, t) -> s + t)",
@@ -40,7 +48,7 @@ def register(spark: SparkSession) -> None:
     spark.sql("CREATE OR REPLACE TEMPORARY FUNCTION jaccard_dist(a ARRAY<STRING>, b ARRAY<STRING>) RETURNS DOUBLE RETURN 1 - size(array_intersect(a, b)) / size(array_union(a, b))")
     spark.udtf.register("ball_cover", udtf(BallCover, returnType="pid bigint, w bigint"))
     spark.udtf.register("kmeans_out", udtf(KMeansOut, returnType="pid bigint, cost double"))
-    spark.udf.register("medoid", medoid)
-    spark.udf.register("trimmed_sum", trimmed_sum)
+    spark.udf.register("medoid", pandas_udf(_medoid, "long"))
+    spark.udf.register("trimmed_sum", pandas_udf(_trimmed_sum, "double"))
 
 
