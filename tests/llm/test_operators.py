@@ -234,3 +234,41 @@ def test_pipeline_stages(spark, small):
         assert out.columns == docs.columns, name
         assert out.count() <= at.count()
         at = out
+
+
+def test_terms_equal_for_equal_words():
+    texts = [b"", None, b"One two\tTHREE", b"(three) ... one, 'two'", b"x" * 300_000 + b" one", b"\xc3\xa4 " * 90_000 + b"two.", b" "]
+    flat, lengths = decontamination.terms_of(texts)
+    assert lengths.tolist() == [len(decontamination.words_of(t)) for t in texts]
+    bucket = {}
+    for w, t in zip([w for t in texts for w in decontamination.words_of(t)], flat.tolist()):
+        assert bucket.setdefault(w, t) == t and 0 <= t < decontamination.TERMS
+    assert len(set(bucket.values())) == len(bucket) == 5
+    many = decontamination.terms_of([b" ".join(b"%d" % i for i in range(100_000))])[0]
+    assert np.bincount(many, minlength=decontamination.TERMS).max() < 30
+
+
+def test_search_equals_search_of_everything(spark, small, monkeypatch):
+    """Every passage against every item, without the projection, finds what the search finds (here all; 0.9 is asked)."""
+    docs, bench = (spark.read.parquet(f"{small}/{t}.parquet") for t in ("documents", "benchmark"))
+    got = {(r["doc_id"], r["item_id"]) for r in decontamination.find_leaks(docs, bench).collect()}
+    rows = [(r["item_id"], r["text"].encode()) for r in bench.collect()]
+    texts = [(r["doc_id"], decontamination.words_of((r["text"] or "").encode())) for r in docs.collect()]
+    items = decontamination.Items(rows, np.ones((decontamination.TERMS, 2), dtype="float32"))
+    every = set()
+    for i, words in texts:
+        for at in range(0, len(words), decontamination.HALF):
+            for k, n in enumerate(items.lengths.tolist()):
+                if (i, rows[k][0]) not in every:
+                    region = words[max(0, at - n - 16) : at + n + 48]
+                    if len(set(items.words[k]) & set(region)) > 0.4 * len(set(items.words[k])) and items.check(k, region)[2]:
+                        every.add((i, rows[k][0]))
+    assert every and len(got & every) >= 0.9 * len(every) and got <= every
+
+
+def test_short_items_and_empty_tables(spark):
+    bench = spark.createDataFrame([(1, "Blue, green tea"), (2, ""), (3, None), (4, "alone")], "item_id long, text string")
+    docs = frame(spark, ["we had blue green tea!", "green tea blue", None, "", "not so alone ...", "blue green tea and alone"])
+    assert {(r["doc_id"], r["item_id"]) for r in decontamination.find_leaks(docs, bench).collect()} == {(0, 1), (4, 4), (5, 1), (5, 4)}
+    assert decontamination.drop_leaked(docs, bench).count() == 3
+    assert decontamination.drop_leaked(docs, bench.limit(0)).count() == 6 and decontamination.find_leaks(docs.limit(0), bench).count() == 0
