@@ -28,7 +28,9 @@ BOILERPLATE = re.compile(
     rb"cookie|privacy policy|terms of (?:use|service)|all rights reserved|copyright|\(c\) \d{4}|javascript|subscribe|newsletter"
     rb"|sign (?:in|up)|log ?in|read more|click here|share (?:this|on)|follow us|lorem ipsum|skip to|licensed under"
 )
-NAVIGATION = re.compile(rb"(?:\s[|>/\xc2\xbb]+\s.*){3,}|^\s*(?:home|menu|next|previous|back|top|contact|about)\b[\s|>/.]*$")
+BLANK = rb"[\x20\x09-\x0D]"
+SEPARATOR = re.compile(BLANK + rb"(?:[|>/]|\xc2\xbb)+" + BLANK)
+NAVIGATION = re.compile(rb"^[\x20\x09-\x0D]*(?:home|menu|next|previous|back|top|contact|about)\b[\x20\x09-\x0D|>/.]*$")
 ENDINGS = tuple(x.encode() for x in (".", "!", "?", ":", ";", ",", '"', "'", ")", "…", "”", "。"))
 EXCLAIMED = re.compile(rb"!!|\?\?")
 
@@ -41,7 +43,7 @@ def line_fails(line: bytes, words: list[bytes]) -> str | None:
     n = len(words)
     if n <= 25 and BOILERPLATE.search(low):
         return "boilerplate"
-    if line.count(b" | ") + line.count(b" > ") >= 3 or NAVIGATION.search(low[:400]):
+    if line.count(b" | ") + line.count(b" > ") >= 3 or len(SEPARATOR.findall(low)) >= 3 or NAVIGATION.search(low):
         return "navigation"
     if n >= 8 and 4 * len(SYMBOLS.findall(line)) >= 3 * n:
         return "symbols"
@@ -111,3 +113,43 @@ def judge(docs: DataFrame, max_lost: float = MAX_LOST, with_text: bool = False,
             yield pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(zip(*rows), arrow.types)], schema=arrow)
 
     return text_bytes(docs, id_col, text_col).mapInArrow(run, schema)
+
+
+def oracle() -> str:
+    """DuckDB SQL for judge() over documents, from the same patterns."""
+    text = lambda pattern: pattern.decode().replace("'", "''")
+    count = lambda pattern, size: f"(length(line) - length(regexp_replace(line, '{pattern}', '', 'g'))) / {size}"
+    endings = "".join(e.decode() for e in ENDINGS).replace("'", "''")
+    return f"""
+WITH whole AS (SELECT row_number() OVER () AS r, doc_id, coalesce(text, '') AS text FROM documents),
+lines AS (
+    SELECT r, line, translate(line, 'ABCDEFGHIJKLMNOPQRSTUVWXYZ', 'abcdefghijklmnopqrstuvwxyz') AS low,
+        [x FOR x IN string_split_regex(line, '{text(BLANK)}+') IF x <> ''] AS own
+    FROM (SELECT r, unnest(string_split(text, chr(10))) AS line FROM whole)),
+judged AS (
+    SELECT r, line, len(own) AS n, len(own) > 0 AND (
+        (len(own) <= 25 AND regexp_matches(low, '{text(BOILERPLATE.pattern)}'))
+        OR {count(r" \| ", 3)} + {count(" > ", 3)} >= 3
+        OR len(regexp_extract_all(low, '{text(BLANK)}(?:[|>/]|»)+{text(BLANK)}')) >= 3
+        OR regexp_matches(low, '{text(NAVIGATION.pattern)}')
+        OR (len(own) >= 8 AND 4 * {count(text(SYMBOLS.pattern), 1)} >= 3 * len(own))
+        OR (len(own) >= 8 AND 2 * {count(text(EXCLAIMED.pattern), 2)} >= len(own))
+        OR (len(own) <= 3 AND strlen(line) < 30 AND NOT regexp_matches(regexp_replace(line, '{text(BLANK)}+$', ''), '[{endings}]$'))) AS fails
+    FROM lines),
+by_line AS (
+    SELECT r, coalesce(sum(n) FILTER (fails), 0) AS lost, count(*) FILTER (fails) AS gone,
+        count(*) FILTER (n > 0) - count(DISTINCT line) FILTER (n > 0) AS dup
+    FROM judged GROUP BY r),
+words AS (SELECT r, doc_id, text, [x FOR x IN string_split_regex(text, '{text(BLANK)}+') IF x <> ''] AS w FROM whole),
+windows AS (SELECT r, pos, w[pos : pos + {WINDOW - 1}] AS gram FROM (SELECT r, w, unnest(range(1, len(w) - {WINDOW - 2})) AS pos FROM words)),
+again AS (SELECT r, pos FROM (SELECT r, pos, count(*) OVER (PARTITION BY r, gram) AS c FROM windows) WHERE c > 1),
+covered AS (SELECT r, count(DISTINCT pos + k) AS repeated FROM again, range({WINDOW}) AS steps(k) GROUP BY r),
+figures AS (
+    SELECT doc_id, CAST(len(w) AS BIGINT) AS n_words, CAST(coalesce(list_sum([length(x) FOR x IN w]), 0) AS BIGINT) AS word_chars,
+        CAST(length(regexp_replace(text, '{text(SYMBOLS.pattern).replace("[", "[^")}', '', 'g')) AS BIGINT) AS n_symbols,
+        CAST(dup AS BIGINT) AS n_dup_lines, CAST(coalesce(repeated, 0) AS BIGINT) AS n_repeat_words,
+        CAST(gone AS BIGINT) AS lines_removed, CAST(lost AS BIGINT) AS words_removed
+    FROM words JOIN by_line USING (r) LEFT JOIN covered USING (r))
+SELECT *, n_words < 10 OR 100 * n_repeat_words > 20 * n_words AS base_failed,
+    NOT (n_words < 10 OR 100 * n_repeat_words > 20 * n_words) AND words_removed <= {MAX_LOST} * n_words AS kept
+FROM figures"""

@@ -63,4 +63,4 @@ QUERIES = {
         op10_simhash_bit_sliced,
     )
 }
-ORACLES: dict[str, str] = {}
+ORACLES: dict[str, str] = {"op3_line_first_rules": quality_rules.oracle()}

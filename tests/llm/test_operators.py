@@ -272,3 +272,32 @@ def test_short_items_and_empty_tables(spark):
     assert {(r["doc_id"], r["item_id"]) for r in decontamination.find_leaks(docs, bench).collect()} == {(0, 1), (4, 4), (5, 1), (5, 4)}
     assert decontamination.drop_leaked(docs, bench).count() == 3
     assert decontamination.drop_leaked(docs, bench.limit(0)).count() == 6 and decontamination.find_leaks(docs.limit(0), bench).count() == 0
+
+
+def test_quality_rules_equal_sql(spark):
+    import duckdb
+
+    lines = ["home", "a | b | c | d | e", "x " * 300 + "> a | b » c", "Read more about it", "»» a »» b »» c »» d", "# $ % & | < > * one", "no!! yes!! so!! it!! is!! all!! over!! now!!", "Short one", "Short one.", "ends…", "Kelvin ſign up", "  back  ", "back | > ."]
+    texts = [*TEXTS, "\n".join(lines), *[x + "\n" + "A line of ten words that ends as lines should. " * 2 for x in lines], "tab\tfeed\x0bform\x0c\r\n one two three four five six seven"]
+    docs = frame(spark, texts)
+    con = duckdb.connect()
+    con.register("documents", docs.select("doc_id", "text").toArrow())
+    found = con.sql(quality_rules.oracle())
+    assert sorted(found.columns) == sorted(quality_rules.judge(docs).columns)
+    assert sorted(found.fetchall()) == sorted(tuple(r) for r in quality_rules.judge(docs).select(*found.columns).collect())
+    assert sum(r[found.columns.index("lines_removed")] for r in found.fetchall()) > 10
+
+
+def test_classifiers_on_held_out_labels(spark):
+    """Fitted on the labels of even ids, judged on those of odd ids whose text no even id has."""
+    from robustcenters.llm import cotraining, toxicity
+
+    docs, labels = (spark.read.parquet(f"/root/testdata/sf0.01/{t}.parquet") for t in ("documents", "labels"))
+    even = labels.where("doc_id % 2 = 0")
+    new = docs.join(labels.where("doc_id % 2 = 1"), "doc_id").join(docs.join(even, "doc_id").select("text"), "text", "left_anti")
+    truth = {r["doc_id"]: r for r in new.select("doc_id", "quality", "toxic").collect()}
+    good = {r["doc_id"]: r["kept"] for r in cotraining.score(docs, even).collect()}
+    bad = {r["doc_id"]: r["toxic"] for r in toxicity.score(docs, even).collect()}
+    assert len(truth) > 100
+    assert np.mean([good[i] == bool(r["quality"]) for i, r in truth.items()]) > 0.85
+    assert np.mean([bad[i] == bool(r["toxic"]) for i, r in truth.items()]) > 0.85
