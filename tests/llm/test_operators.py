@@ -301,3 +301,13 @@ def test_classifiers_on_held_out_labels(spark):
     assert len(truth) > 100
     assert np.mean([good[i] == bool(r["quality"]) for i, r in truth.items()]) > 0.85
     assert np.mean([bad[i] == bool(r["toxic"]) for i, r in truth.items()]) > 0.85
+
+
+def test_common_words_count_like_rare_ones():
+    """A paraphrase that keeps SURE of an item's words but none of its rare ones is a leak."""
+    item = [b"rare%d" % i if i % 3 == 0 else b"common%d" % i for i in range(36)]
+    changed = [b"other%d" % i if w.startswith(b"rare") else w for i, w in enumerate(item)]
+    table = np.ones((decontamination.TERMS, 2), dtype="float32")
+    table[decontamination.terms_of([w for w in item if w.startswith(b"rare")])[0]] = 3, 9
+    items = decontamination.Items([(7, b" ".join(item))], table)
+    assert [(row, k) for row, k, *_ in items.leaks([b"nothing here at all", b" ".join(changed)], table)] == [(1, 0)]
