@@ -311,3 +311,16 @@ def test_common_words_count_like_rare_ones():
     table[decontamination.terms_of([w for w in item if w.startswith(b"rare")])[0]] = 3, 9
     items = decontamination.Items([(7, b" ".join(item))], table)
     assert [(row, k) for row, k, *_ in items.leaks([b"nothing here at all", b" ".join(changed)], table)] == [(1, 0)]
+
+
+def test_copies_are_found_whatever_the_projection_keeps():
+    """Of 300 items, some short, every copy is found with a projection that keeps nothing of them, and no other pair."""
+    rng = np.random.default_rng(3)
+    vocabulary = [b"v%d" % i for i in range(5000)]
+    say = lambda n: b" ".join(rng.choice(vocabulary, n))
+    lengths = [6, 7, 8, 10, 16, 32, 33, 49, 120, 400] * 30
+    rows = [(k, say(n)) for k, n in enumerate(lengths)]
+    texts = [say(int(rng.integers(0, 90))) + b" " + text + b" " + say(int(rng.integers(0, 90))) for _, text in rows]
+    table = np.c_[np.zeros((decontamination.TERMS, 4)), np.ones(decontamination.TERMS)].astype("float32")
+    leaks = decontamination.Items(rows, table).leaks([None, b"", *texts], table)
+    assert {(row, k) for row, k, *_ in leaks} == {(k + 2, k) for k in range(len(rows))}
