@@ -31,29 +31,44 @@ SEED = 42
 BLOCK = 2048
 
 
+#: Near copies of a stage on word shingles: five words, Jaccard similarity. Texts that agree on all minima of a band may be near
+#: copies (of similarity 0.8: 0.9996 of the pairs); their fingerprints are compared within WIDE bits (0.8 is 10 bits on
+#: average) and their shingles exactly.
+SIMILAR, SIMILAR_WORDS, WIDE = 0.8, 5, 24
+BANDS, MINIMA, SIMILAR_BLOCK = 20, 5, 512
+
+
+def shingle_hashes(body: bytes | None, words: int) -> np.ndarray:
+    """(n, 8) bytes of the hashes of a text's shingles, repeated ones too; a short text is one shingle."""
+    from xxhash import xxh64_digest
+
+    tokens = body.lower().split() if body else ()
+    if not tokens:
+        return np.zeros((0, 8), dtype="uint8")
+    grams = map(b" ".join, zip(*[tokens[k:] for k in range(words)])) if len(tokens) > words else (b" ".join(tokens),)
+    return np.frombuffer(b"".join([xxh64_digest(g, SEED) for g in grams]), dtype="uint8").reshape(-1, 8)
+
+
+def fingerprint(raw: np.ndarray) -> int:
+    """A bit is set if more than half of the hashes have it."""
+    set_bits = np.zeros(64, dtype="int64")
+    for at in range(0, len(raw), 4096):
+        set_bits += np.unpackbits(raw[at : at + 4096], axis=1).sum(axis=0, dtype="uint16")
+    return int("".join("1" if 2 * x > len(raw) else "0" for x in set_bits.tolist()), 2)
+
+
 def fingerprints(docs: DataFrame, words: int = SHINGLE_WORDS, id_col: str = "doc_id", text_col: str = "text", row: Column | None = None) -> DataFrame:
     """(doc_id, fp long[, row long]): a bit is set if more than half of the shingle hashes have it."""
     schema = "doc_id long, fp long" + (", row long" if row is not None else "")
     arrow = arrow_schema(docs.sparkSession, schema)
 
     def run(batches):
-        from xxhash import xxh64_digest
-
         for part in chunks(batches):
             out = np.zeros(part.num_rows, dtype="uint64")
             for i, body in enumerate(part.column(1).to_pylist()):
-                tokens = body.lower().split() if body else ()
-                if not tokens:
-                    continue
-                if len(tokens) > words:
-                    grams = map(b" ".join, zip(*[tokens[k:] for k in range(words)]))
-                else:
-                    grams = (b" ".join(tokens),)
-                raw = np.frombuffer(b"".join([xxh64_digest(g, SEED) for g in grams]), dtype="uint8").reshape(-1, 8)
-                set_bits = np.zeros(64, dtype="int64")
-                for at in range(0, len(raw), 4096):
-                    set_bits += np.unpackbits(raw[at : at + 4096], axis=1).sum(axis=0, dtype="uint16")
-                out[i] = int("".join("1" if 2 * x > len(raw) else "0" for x in set_bits.tolist()), 2)
+                raw = shingle_hashes(body, words)
+                if len(raw):
+                    out[i] = fingerprint(raw)
             yield pa.RecordBatch.from_arrays([part.column(0), pa.array(out.view("int64")), *part.columns[2:]], schema=arrow)
 
     return text_bytes(docs, id_col, text_col, *([] if row is None else [row.alias("row")])).mapInArrow(run, schema)
@@ -287,8 +302,117 @@ def keep_one(docs: DataFrame, radius: int = RADIUS, words: int = SHINGLE_WORDS)
     classes = checkpoint(marked.groupBy("fp").agg(F.min(F.struct(F.col("doc_id").isNull().alias("unnamed"), "doc_id", "row")).alias("least")))
     roots = components(links(classes.select("fp"), radius))
     tied = classes.join(roots, classes.fp == roots.node, "left").select("least", F.coalesce("root", "fp").alias("root"))
+    return _rows_kept(docs, key, marked, tied)
+
+
+def _rows_kept(docs: DataFrame, key: Column, marked: DataFrame, tied: DataFrame) -> DataFrame:
+    """The rows of docs that are the least of tied's roots, each once."""
     kept = tied.groupBy("root").agg(F.min("least").alias("least")).select(F.col("least.row").alias("_row"))
     again = marked.groupBy("row").agg(F.count("*").alias("n")).where("n > 1").select(F.col("row").alias("_row"), F.lit(True).alias("_again"))
     found = docs.withColumn("_row", key).join(kept.join(again, "_row", "left"), "_row")
     once = found.where("_again is null").select(*docs.columns)
     return once.unionByName(found.where("_again").dropDuplicates(["_row"]).select(*docs.columns))
+
+
+def sketches(docs: DataFrame, row: Column, words: int = SIMILAR_WORDS) -> DataFrame:
+    """(doc_id, row, same, fp, bands): a hash of the set of shingles, the fingerprint, and a hash of the minima of each band."""
+    schema = "doc_id long, row long, same long, fp long, bands array<long>"
+    arrow = arrow_schema(docs.sparkSession, schema)
+
+    def run(batches):
+        from xxhash import xxh64_intdigest
+
+        rng = np.random.default_rng(SEED)
+        factors, terms = (rng.integers(0, 1 << 64, BANDS * MINIMA, dtype="uint64") for _ in range(2))
+        factors |= np.uint64(1)
+        for part in chunks(batches):
+            same, fp = np.zeros((2, part.num_rows), dtype="uint64")
+            bands = np.zeros((part.num_rows, BANDS), dtype="uint64")
+            for i, body in enumerate(part.column(1).to_pylist()):
+                raw = shingle_hashes(body, words)
+                if len(raw):
+                    fp[i] = fingerprint(raw)
+                own = np.unique(raw.view("uint64"))
+                same[i] = xxh64_intdigest(own.tobytes(), SEED)
+                least = np.full(BANDS * MINIMA, 0xFFFFFFFFFFFFFFFF, dtype="uint64")
+                for at in range(0, len(own), 512):
+                    np.minimum(least, (own[at : at + 512, None] * factors + terms).min(axis=0), out=least)
+                bands[i] = [xxh64_intdigest(x.tobytes(), k) for k, x in enumerate(least.reshape(BANDS, MINIMA))]
+            flat = pa.ListArray.from_arrays(pa.array(range(0, BANDS * part.num_rows + 1, BANDS), pa.int32()), pa.array(bands.ravel().view("int64")))
+            yield pa.RecordBatch.from_arrays([part.column(0), part.column(2), pa.array(same.view("int64")), pa.array(fp.view("int64")), flat.cast(arrow.types[4])], schema=arrow)
+
+    return text_bytes(docs, "doc_id", "text", row.alias("row")).mapInArrow(run, schema)
+
+
+def similar_forest(sets: list[np.ndarray], fp: np.ndarray, split: int | None = None, similarity: float = SIMILAR) -> list[tuple[int, int]]:
+    """Links of a spanning forest of the pairs whose sets have the similarity; with ``split`` only pairs across it."""
+    queries, target, base = (fp, fp, 0) if split is None else (fp[:split], fp[split:], split)
+    root, found = list(range(len(fp))), []
+
+    def find(x: int) -> int:
+        while root[x] != x:
+            root[x] = root[root[x]]
+            x = root[x]
+        return x
+
+    for i, j in close_pairs(queries, planes_of(target), len(target), WIDE):
+        for x, y in zip(i.tolist(), (j + base).tolist()):
+            p, q = find(x), find(y)
+            if p == q:
+                continue
+            a, b = len(sets[x]), len(sets[y])
+            if min(a, b) < similarity * max(a, b):
+                continue
+            common = len(np.intersect1d(sets[x], sets[y], assume_unique=True))
+            if common >= similarity * (a + b - common):
+                root[max(p, q)] = min(p, q)
+                found.append((x, y))
+    return found
+
+
+def similar_links(docs: DataFrame, key: Column, classes: DataFrame, words: int = SIMILAR_WORDS, block: int = SIMILAR_BLOCK) -> DataFrame:
+    """(a, b) of classes' ``same``: links whose components are those of the similar pairs that share a band.
+
+    Texts that share bands, over any number of steps, make a group; each text that is in one is sent to it once, or, if
+    the group has more than ``block``, to pairs of blocks. Classes have same, row, fp, bands.
+    """
+    keyed = classes.select("same", F.explode("bands").alias("band"))
+    shared = keyed.groupBy("band").agg(F.min("same").alias("b"), F.count("*").alias("n")).where("n > 1").select("band", "b")
+    groups = checkpoint(components(keyed.join(shared, "band").select(F.col("same").alias("a"), "b")))
+    groups = groups.unionByName(groups.select(F.col("root").alias("node"), "root").distinct())
+    sizes = groups.groupBy("root").agg(F.count("*").alias("size"))
+    cells = F.ceil(F.col("size") / block).cast("int")
+    own = F.pmod(F.xxhash64("node"), cells.cast("bigint")).cast("int")
+    pairs = F.transform(F.sequence(F.lit(0), cells - 1), lambda c: F.struct(F.least(own, c).alias("lo"), F.greatest(own, c).alias("hi")))
+    members = groups.join(sizes, "root").join(classes.select("same", "row", "fp"), F.col("node") == F.col("same")).select("root", own.alias("cell"), pairs.alias("pairs"), "same", "row", "fp")
+    texts = text_bytes(docs, "doc_id", "text", key.alias("row")).select("row", "body")
+    dealt = members.join(texts, "row").select("root", "cell", F.explode("pairs").alias("pair"), "same", "fp", "body")
+    dealt = dealt.select("root", "pair.lo", "pair.hi", (F.col("cell") == F.col("pair.lo")).alias("first"), "same", "fp", "body")
+    schema = "a long, b long"
+    arrow = arrow_schema(docs.sparkSession, schema)
+
+    def run(table):
+        same, at = np.unique(table.column("same").to_numpy(), return_index=True)  # repeated rows have one text
+        table = table.take(pa.array(at))
+        first = table.column("first").to_numpy(zero_copy_only=False).astype(bool)
+        order, split = np.arange(len(same)), None
+        if table.column("lo")[0].as_py() != table.column("hi")[0].as_py():
+            order, split = np.argsort(~first, kind="stable"), int(first.sum())
+        bodies = table.column("body").take(pa.array(order)).to_pylist()
+        sets = [np.unique(shingle_hashes(b, words).view("uint64")) for b in bodies]
+        found = similar_forest(sets, table.column("fp").to_numpy()[order].view("uint64"), split)
+        ends = same[order[np.array(found, dtype="int64").reshape(-1, 2)]]
+        return pa.Table.from_arrays([pa.array(ends[:, 0]), pa.array(ends[:, 1])], schema=arrow)
+
+    return dealt.groupBy("root", "lo", "hi").applyInArrow(run, schema)
+
+
+def keep_one_similar(docs: DataFrame, words: int = SIMILAR_WORDS) -> DataFrame:
+    """docs with one row, the one with the smallest doc_id, of each component of texts whose sets of shingles are SIMILAR."""
+    key = F.xxhash64("doc_id", "text")
+    marked = checkpoint(sketches(docs, key, words))
+    least = F.min(F.struct(F.col("doc_id").isNull().alias("unnamed"), "doc_id", "row")).alias("least")
+    classes = checkpoint(marked.groupBy("same").agg(least, F.first("fp").alias("fp"), F.first("bands").alias("bands")))
+    roots = components(similar_links(docs, key, classes.select("same", "least.row", "fp", "bands"), words))
+    tied = classes.join(roots, classes.same == roots.node, "left").select("least", F.coalesce("root", "same").alias("root"))
+    return _rows_kept(docs, key, marked, tied)

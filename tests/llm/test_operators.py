@@ -324,3 +324,35 @@ def test_copies_are_found_whatever_the_projection_keeps():
     table = np.c_[np.zeros((decontamination.TERMS, 4)), np.ones(decontamination.TERMS)].astype("float32")
     leaks = decontamination.Items(rows, table).leaks([None, b"", *texts], table)
     assert {(row, k) for row, k, *_ in leaks} == {(k + 2, k) for k in range(len(rows))}
+
+
+def test_near_dedup_stage_equals_all_pairs(spark, monkeypatch):
+    """The stage keeps one of each component of five-word Jaccard similarity 0.8, with blocks of any size."""
+    import corpus_pipeline
+
+    rng = np.random.default_rng(4)
+    texts = [*TEXTS, None, " "]
+    for n in (40, 90, 300, 1500):
+        for _ in range(6):
+            base = rng.choice(WORDS, n)
+            texts.append(" ".join(base))
+            for changes in (1, n // 60, n // 45, n // 25):
+                copy = base.copy()
+                copy[rng.choice(n, changes, replace=False)] = "changed"
+                texts.append(" ".join(copy))
+
+    def grams(text):
+        w = (text or "").lower().split()
+        return {tuple(w[k : k + 5]) for k in range(len(w) - 4)} or {tuple(w)}
+
+    sets, root = [grams(t) for t in texts], list(range(len(texts)))
+    for i in range(len(texts)):
+        for j in range(i):
+            if len(sets[i] & sets[j]) >= 0.8 * len(sets[i] | sets[j]) and root[i] != root[j]:
+                low, high = sorted((root[i], root[j]))
+                root = [low if r == high else r for r in root]
+    assert len(set(root)) < len(texts) - 40
+    for block in (2, simhash.SIMILAR_BLOCK):
+        monkeypatch.setattr(simhash.similar_links, "__defaults__", (simhash.SIMILAR_WORDS, block))
+        kept = {r["doc_id"] for r in corpus_pipeline.one_of_each_group(spark, frame(spark, texts), "").select("doc_id").collect()}
+        assert kept == set(root)
