@@ -17,10 +17,14 @@ from ..functions.metrics import Metric, get
 
 #: More centers than this go through the block kernel instead of a literal.
 LITERAL_CENTERS = 256
+#: Centers that the driver takes; more are an error.
+MOST_CENTERS = 1_000_000
 
 
 def center_rows(centers: DataFrame | list) -> list[tuple[int, object]]:
-    rows = centers if isinstance(centers, list) else [(r["pid"], r["pt"]) for r in centers.select("pid", "pt").limit(1_000_000).collect()]
+    rows = centers if isinstance(centers, list) else [(r["pid"], r["pt"]) for r in centers.select("pid", "pt").limit(MOST_CENTERS + 1).collect()]
+    if len(rows) > MOST_CENTERS:
+        raise ValueError(f"more than {MOST_CENTERS} centers")
     return sorted(rows, key=lambda r: r[0])
 
 

@@ -139,7 +139,7 @@ def feat_words(spark, sf_dir):
 
 @query("SELECT user_id AS pid, event_type, CAST(count(*) AS DOUBLE) AS n FROM events GROUP BY 1, 2")
 def feat_pivot(spark, sf_dir):
-    kinds = sorted(r[0] for r in src.table(spark, sf_dir, "events").select("event_type").distinct().limit(64).collect())
+    kinds = src.event_types(src.table(spark, sf_dir, "events"))
     named = F.array(*[F.lit(k) for k in kinds])
     return src.user_types(spark, sf_dir).select("pid", F.explode(F.arrays_zip(named.alias("k"), F.col("pt").alias("v"))).alias("e")).select("pid", F.col("e.k").alias("event_type"), F.col("e.v").alias("n")).where("n > 0")
 
@@ -222,7 +222,7 @@ def rel_pivot(spark, sf_dir):
 @query("SELECT user_id, event_type, count(*) AS n FROM events GROUP BY 1, 2")
 def rel_unpivot(spark, sf_dir):
     e = src.table(spark, sf_dir, "events")
-    kinds = sorted(r[0] for r in e.select("event_type").distinct().limit(64).collect())
+    kinds = src.event_types(e)
     wide = e.groupBy("user_id").pivot("event_type", kinds).count()
     return wide.unpivot("user_id", kinds, "event_type", "n").where("n is not null")
 

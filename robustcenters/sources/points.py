@@ -5,6 +5,8 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
+#: Event types that become columns; more are an error.
+MOST_TYPES = 10_000
 LINE_KEY = ["l_orderkey", "l_partkey", "l_suppkey", "l_linenumber", "l_extendedprice"]
 
 
@@ -123,7 +125,7 @@ def orders_2d(spark, sf_dir):
 
 
 def customer_nation(spark, sf_dir):
-    joined = table(spark, sf_dir, "customer").join(F.broadcast(table(spark, sf_dir, "nation").limit(1000)), F.col("c_nationkey") == F.col("n_nationkey"))
+    joined = table(spark, sf_dir, "customer").join(table(spark, sf_dir, "nation"), F.col("c_nationkey") == F.col("n_nationkey"))
     return from_columns(joined, "c_custkey", [F.col("c_acctbal") / 11000, "n_nationkey", "n_regionkey"])
 
 
@@ -140,9 +142,19 @@ def embeddings(spark, sf_dir, first: int | None = None):
     return table(spark, sf_dir, "embeddings").select(F.col("vec_id").cast("bigint").alias("pid"), (v if first is None else F.slice(v, 1, first)).alias("pt"))
 
 
+def event_types(events: DataFrame) -> list[str]:
+    """All event types in order; refuses nulls and more than MOST_TYPES, so that none is left out unsaid."""
+    kinds = [r[0] for r in events.select("event_type").distinct().limit(MOST_TYPES + 1).collect()]
+    if len(kinds) > MOST_TYPES:
+        raise ValueError(f"more than {MOST_TYPES} event types")
+    if None in kinds:
+        raise ValueError("an event has no type")
+    return sorted(kinds)
+
+
 def user_types(spark, sf_dir):
     events = table(spark, sf_dir, "events")
-    kinds = sorted(r[0] for r in events.select("event_type").distinct().limit(64).collect())
+    kinds = event_types(events)
     counts = events.groupBy("user_id").pivot("event_type", kinds).count().na.fill(0)
     return from_columns(counts, "user_id", [f"`{k}`" for k in kinds])
 

@@ -41,3 +41,23 @@ def test_validation(spark):
     with pytest.raises(ValueError):
         points.validate(bad)
     assert points.validate(bad, "drop").count() == 2
+
+
+def test_no_rows_are_capped_unsaid(spark, tmp_path, monkeypatch):
+    from robustcenters.operators import cost
+    from robustcenters.sources import points
+
+    d = str(tmp_path)
+    spark.range(300).selectExpr("id % 7 AS user_id", "concat('t', id % 100) AS event_type").write.parquet(f"{d}/events.parquet")
+    spark.range(2500).selectExpr("CAST(id AS INT) AS n_nationkey", "1 AS n_regionkey").write.parquet(f"{d}/nation.parquet")
+    spark.range(2500).selectExpr("id AS c_custkey", "CAST(id AS INT) AS c_nationkey", "1.0D AS c_acctbal").write.parquet(f"{d}/customer.parquet")
+    want = {(r["user_id"], r["event_type"]): r["count"] for r in spark.read.parquet(f"{d}/events.parquet").groupBy("user_id", "event_type").count().collect()}
+    assert {(r["user_id"], r["event_type"]): r["n"] for r in catalog.queries()["rel_pivot"](spark, d).collect()} == want
+    assert {(r["pid"], r["event_type"]): r["n"] for r in catalog.queries()["feat_pivot"](spark, d).collect()} == want
+    assert points.customer_nation(spark, d).count() == 2500
+    monkeypatch.setattr(points, "MOST_TYPES", 99)
+    monkeypatch.setattr(cost, "MOST_CENTERS", 2499)
+    with pytest.raises(ValueError):
+        points.user_types(spark, d)
+    with pytest.raises(ValueError):
+        cost.center_rows(points.customer_nation(spark, d))
