@@ -9,11 +9,13 @@
    rank and length pick the planned slot. Every number is 64 bits wide.
 
 Defined results: null text is empty and packs as the single end id; repeated rows are packed each; an empty
-table gives no rows; other columns are not read. Ties of rank are broken by (bucket, doc_id, piece).
+table gives no rows; other columns are not read. Ties of rank are broken by (bucket, doc_id, piece). Texts of any
+length are tokenised whole, runs of white space of any length included; a task holds one long text and its ids.
 """
 
 from __future__ import annotations
 
+import json
 import re
 import zlib
 from bisect import insort
@@ -33,22 +35,36 @@ CACHE_WORDS = 150_000
 SPECIAL, SPECIAL_ID = "<|endoftext|>", 50256
 
 #: A blank before a non-blank starts a pre-token whatever stands before it, so words between such blanks can be
-#: tokenised alone. A blank before white space, or at the end, is the only case that needs the whole text.
-UNSAFE = re.compile(r" (?:\s|$)")
+#: tokenised alone. A blank before white space or at the end, and long runs of white space, need the whole text.
+UNSAFE = re.compile(r" (?:\s|$)|\s{200}")
+
+
+def byte_ranks(path: str) -> dict[bytes, int]:
+    """Token bytes and ids of a byte-level BPE file, whose ids are the order of its merges."""
+    with open(path, encoding="utf-8") as file:
+        vocabulary = json.load(file)["model"]["vocab"]
+    # the file writes each byte as a character: printable ones as themselves, the rest from 256 on
+    plain = [b for b in range(256) if 33 <= b <= 126 or 161 <= b <= 172 or b >= 174]
+    other = [b for b in range(256) if b not in plain]
+    byte_of = {chr(b): b for b in plain} | {chr(256 + k): b for k, b in enumerate(other)}
+    return {bytes(byte_of[c] for c in token): rank for token, rank in vocabulary.items() if token != SPECIAL}
 
 
 class WordTokenizer:
-    """Ids of the byte-level BPE tokenizer file as little-endian uint32 bytes, with a cache of words."""
+    """Ids of the byte-level BPE tokenizer file as little-endian uint32 bytes, with a cache of words.
 
-    def __init__(self, ranks_path: str | None = None):
-        import base64
+    Words come from the file's ranks; texts whose white space binds words together go whole through the ``tokenizers``
+    library, which has no limit on the length of a run.
+    """
 
+    def __init__(self, path: str | None = None):
         import public_tokenizers
         import tiktoken
+        from tokenizers import Tokenizer
 
-        with open(ranks_path or public_tokenizers.path("byte_bpe_50k.tiktoken"), "rb") as lines:
-            ranks = {base64.b64decode(a): int(b) for a, b in map(bytes.split, lines)}
-        self.encode = tiktoken.Encoding("words", pat_str=public_tokenizers.PATTERN, mergeable_ranks=ranks, special_tokens={}).encode_ordinary
+        path = path or public_tokenizers.path("byte_bpe_50k.json")
+        self.encode = tiktoken.Encoding("words", pat_str=public_tokenizers.PATTERN, mergeable_ranks=byte_ranks(path), special_tokens={}).encode_ordinary
+        self.whole = Tokenizer.from_file(path)
         self.cache: dict[str, bytes] = {}
 
     def _raw(self, text: str) -> bytes:
@@ -63,15 +79,12 @@ class WordTokenizer:
         return got
 
     def ids(self, text: str) -> bytes:
+        if UNSAFE.search(text):
+            return np.array(self.whole.encode(text, add_special_tokens=False).ids, dtype="<u4").tobytes()
         if SPECIAL in text:
-            return np.array([SPECIAL_ID], dtype="<u4").tobytes().join(self._plain(x) for x in text.split(SPECIAL))
-        return self._plain(text)
-
-    def _plain(self, text: str) -> bytes:
+            return np.array([SPECIAL_ID], dtype="<u4").tobytes().join(self.ids(x) for x in text.split(SPECIAL))
         if not text:
             return b""
-        if UNSAFE.search(text):
-            return self._raw(text)
         first, *rest = text.split(" ")
         get, word = self.cache.get, self._word
         return (self._raw(first) if first else b"") + b"".join([get(w) or word(w) for w in rest])
@@ -147,10 +160,11 @@ def plan(histogram: dict[int, int], capacity: int = CAPACITY) -> list[tuple[int,
 def pack(digests: DataFrame, capacity: int = CAPACITY, bucket_rows: int = 20_000) -> DataFrame:
     """Give every piece (any columns beside doc_id, piece, length) its sequence_id and offset."""
     spark = digests.sparkSession
-    kept = checkpoint(digests)
+    kept = checkpoint(digests.withColumn("_mark", F.monotonically_increasing_id()))
     total = kept.count()
     buckets = max(1, -(-total // bucket_rows))
-    kept = kept.withColumn("_bucket", F.pmod(F.xxhash64("doc_id", "piece"), F.lit(buckets)).cast("int"))
+    # repeated rows share doc_id and piece, so the mark spreads them
+    kept = kept.withColumn("_bucket", F.pmod(F.xxhash64("_mark"), F.lit(buckets)).cast("int"))
     # per length, counts of buckets: at most capacity rows for each bucket
     counts = kept.groupBy("length", "_bucket").agg(F.count("*").alias("_n"))
     before = Window.partitionBy("length").orderBy("_bucket").rowsBetween(Window.unboundedPreceding, -1)
