@@ -1,109 +1,248 @@
 """Line dedup by a fixed-depth tree of line templates.
 
-A line's leaf is its number of tokens and its leading tokens, tokens with digits masked. Below the leaf a line is
-cut into at most ``FIELDS`` fields (single tokens in short lines, runs of tokens in long ones). A field that another
-document's line of the same leaf has at the same place is constant, the others are the template's variable
-fields. A line whose share of fields seen in an earlier document (a smaller doc_id) reaches ``SIMILARITY`` is an
-instance of a recurring template and is dropped; the first document keeps it, so no text is lost altogether.
-
-Leaves that lines of one document only reach are left after one count; only the other lines' field hashes are
-shuffled, pre-aggregated in each task.
-
-Defined results: lines with fewer than ``MIN_TOKENS`` tokens stay; a null text stays null; repeated rows with one
-doc_id count as one document; a null doc_id sorts first; an empty table gives no rows; all columns of docs are kept.
+A line's leaf is its number of tokens and its ``DEPTH`` leading tokens; tokens with digits are masked. Below the leaf the
+rest of the line is cut into at most ``FIELDS`` fields (single tokens in short lines, runs of tokens in longer ones).
+A template is a leaf, the fields that it leaves open and the values of all other ones; up to 1 - ``SIMILARITY`` of the
+fields may be open, the leading tokens not counted, and ``LEAST_CLOSED`` closed ones have an unmasked token. A template recurs if ``LEAST`` documents or
+more have a line that matches it in every closed field. A line that matches a recurring template of which another
+document with a smaller doc_id has a line is dropped; a template's lines in its first document stay, unless they
+match another recurring template that is older still.
+
+Lines over ``LONG`` tokens are cut at anchors, tokens whose hash is the least within ``REACH`` tokens on both sides, so that
+a passage inside longer lines is cut alike wherever it stands. The segments are verbatim templates; those that
+recur are dropped where neighbours of ``RUN`` tokens together do, and the rest of the line stays. Of a passage at most
+the segments at its two ends, in part other text, remain.
+
+Rows of hashes travel, and equal lines are merged before templates are formed, so a line or template that a third
+of all documents have is one row there; where its places are joined, frequent keys are broadcast. Texts are shuffled once,
+by the join with what is to be dropped.
+
+Defined results: lines with fewer than ``MIN_TOKENS`` unmasked tokens stay; a null text stays null; repeated rows with one
+doc_id count as one document; a null doc_id sorts first; an empty table gives no rows; texts of any length are read whole
+(a task holds one, and eight bytes for each of its bytes while it is hashed); all columns of docs are kept, whatever
+their names.
 """
 
 from __future__ import annotations
 
-import re
+from itertools import combinations
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from .common import arrow_schema, checkpoint, chunks
+from .common import arrow_schema, checkpoint, chunks, join_hot, run_hashes, written
 
 DEPTH = 3
 FIELDS = 8
 SIMILARITY = 0.7
 MIN_TOKENS = 3
-DIGIT = re.compile(rb"\S*[0-9]\S*")
-MASK = b"<*>"
+#: Unmasked fields that a template with open fields has at least.
+LEAST_CLOSED = 2
+#: Documents that have a template before it recurs.
+LEAST = 2
+LONG, REACH, RUN = 24, 5, 20
+MASK = np.uint64(0x5851F42D4C957F2D)
+#: Base of the second hash.
+OTHER = 0xD1342543DE82EF95
 
-LINES = "row long, doc_id long, line int, leaf long, fields array<long>"
+BLANK = np.zeros(256, dtype=bool)
+BLANK[[9, 10, 11, 12, 13, 32]] = True
+DIGITS = np.zeros(256, dtype=bool)
+DIGITS[48:58] = True
 
+UNITS = "row long, doc_id long, unit int, leaf long, open int, fields array<long>"
 
-def template(line: bytes, depth: int = DEPTH, fields: int = FIELDS) -> tuple[bytes, list[bytes]] | None:
-    """(leaf, fields) of a line; None if it is too short."""
-    tokens = (DIGIT.sub(MASK, line) if any(d in line for d in b"0123456789") else line).split()
-    n = len(tokens)
-    if n < MIN_TOKENS:
-        return None
-    cuts = range(n + 1) if n <= fields else [n * k // fields for k in range(fields + 1)]
-    return b"%d " % n + b" ".join(tokens[:depth]), [b" ".join(tokens[a:b]) for a, b in zip(cuts, cuts[1:])]
 
+class Parsed:
+    """The units (lines and segments of long lines) of several texts.
 
-def line_keys(docs: DataFrame, row) -> DataFrame:
-    """A row for each line: hashes of its leaf and of (leaf, place, field)."""
-    arrow = arrow_schema(docs.sparkSession, LINES)
+    For each unit: text, number within the text, line within the text, first and last token; ``long`` tells segments.
+    Tokens have starts and ends in ``data`` and hashes, of which ``masked`` ones are those with digits.
+    """
 
-    def run(batches):
-        from xxhash import xxh3_64_intdigest
+    def __init__(self, bodies: list[bytes | None]):
+        bodies = [b or b"" for b in bodies]
+        data = np.frombuffer(b"\n".join([*bodies, b""]), dtype="uint8")
+        flips = np.flatnonzero(np.diff(BLANK[data].astype("int8"), prepend=1, append=1))
+        self.starts, self.ends = flips[::2], flips[1::2]
+        self.hashes = run_hashes(data, self.starts, self.ends)
+        digits = np.r_[0, np.cumsum(DIGITS[data], dtype="int64")]
+        self.masked = digits[self.ends] > digits[self.starts]
+        breaks = np.flatnonzero(data == 10)
+        line = np.searchsorted(breaks, self.starts)
+        lines = np.cumsum([0, *(b.count(b"\n") + 1 for b in bodies)])
+        self.bases = np.cumsum([0, *(len(b) + 1 for b in bodies)])
+        first = np.flatnonzero(np.diff(line, prepend=-1))
+        last = np.r_[first[1:], len(line)]
+        cut = np.zeros(len(line) + 1, dtype=bool)
+        cut[first] = True
+        of_long = np.repeat(last - first > LONG, last - first)
+        cut[:-1] |= np.r_[False, self._anchors(line)[:-1]] & of_long if len(line) else False
+        at = np.flatnonzero(cut[:-1])
+        self.first, self.last = at, np.r_[at[1:], len(line)] if len(at) else at
+        self.line = line[at]
+        self.long = of_long[at]
+        self.text = np.searchsorted(lines, self.line, side="right") - 1
+        self.line = self.line - lines[self.text]
+        self.unit = np.arange(len(at)) - np.searchsorted(self.text, self.text)
+
+    def _anchors(self, line: np.ndarray) -> np.ndarray:
+        """Whether a segment ends with the token."""
+        h, found = self.hashes, np.ones(len(line), dtype=bool)
+        for d in range(1, REACH + 1):
+            same = line[d:] == line[:-d]
+            found[d:] &= ~same | (h[d:] < h[:-d])
+            found[:-d] &= ~same | (h[:-d] <= h[d:])
+        return found
+
+    def keys(self) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
+        """(units, leaf, open fields allowed, fields, list offsets) of the units that are compared."""
+        masked = np.r_[0, np.cumsum(self.masked)]
+        size = self.last - self.first
+        unmasked = size - (masked[self.last] - masked[self.first])
+        own = np.flatnonzero(self.long | (unmasked >= MIN_TOKENS))
+        first, last, long, size = self.first[own], self.last[own], self.long[own], size[own]
+        h = np.where(self.masked, MASK, self.hashes)
+        head = np.minimum(first + DEPTH, last)
+        leaf = run_hashes(h, first, np.where(long, first, head), OTHER) ^ size.astype("uint64") * np.uint64(OTHER)
+        leaf[long] = run_hashes(self.hashes, first[long], last[long], OTHER)
+        rest = np.where(long, 0, last - head)
+        count = np.where(long | (rest < 4), 1, np.minimum(rest, FIELDS))
+        at = np.r_[0, np.cumsum(count)]
+        of = np.repeat(np.arange(len(own)), count)
+        k = np.arange(len(of)) - at[of]
+        lo, hi = (np.where(long[of], x, head[of] + rest[of] * (k + j) // count[of]) for j, x in ((0, first[of]), (1, last[of])))
+        fields = run_hashes(h, lo, hi)
+        verbatim = long[of]
+        fields[verbatim] = run_hashes(self.hashes, lo[verbatim], hi[verbatim])
+        closed = np.add.reduceat((masked[hi] - masked[lo] < hi - lo).astype("int64"), at[:-1]) if len(of) else np.zeros(0, dtype="int64")
+        allowed = np.clip(np.floor((1 - SIMILARITY) * count + 1e-9), 0, np.maximum(closed - LEAST_CLOSED, 0))
+        return own, leaf, np.where(count > 1, allowed, 0).astype("int32"), fields, at
+
+
+def unit_keys(docs: DataFrame, row: Column) -> DataFrame:
+    """A row for each unit: hashes of its leaf and fields, and how many of these may be open."""
+    arrow = arrow_schema(docs.sparkSession, UNITS)
+    signed = lambda x: pa.array(np.ascontiguousarray(x).view("int64"))
 
+    def run(batches):
         for part in chunks(batches):
-            out = [], [], [], [], [], [0]
-            for key, doc, body in zip(*(c.to_pylist() for c in part.columns[2:]), part.column(1).to_pylist()):
-                for at, line in enumerate(body.split(b"\n") if body else ()):
-                    found = template(line)
-                    if found is None:
-                        continue
-                    leaf = xxh3_64_intdigest(found[0])
-                    out[0].append(key)
-                    out[1].append(doc)
-                    out[2].append(at)
-                    out[3].append(leaf)
-                    out[4].extend([xxh3_64_intdigest(f, leaf + k & 0xFFFFFFFFFFFFFFFF) for k, f in enumerate(found[1])])
-                    out[5].append(len(out[4]))
-            fields = pa.array(np.array(out[4], dtype="uint64").view("int64"))
-            columns = [pa.array(c, t) for c, t in zip(out[:3], arrow.types)] + [pa.array(np.array(out[3], dtype="uint64").view("int64"))]
-            yield pa.RecordBatch.from_arrays([*columns, pa.ListArray.from_arrays(pa.array(out[5], pa.int32()), fields).cast(arrow.types[4])], schema=arrow)
-
-    order = F.coalesce(F.col("doc_id").cast("bigint"), F.lit(-(1 << 63)))
-    return docs.select(F.lit(None).cast("bigint").alias("doc_id"), F.col("text").cast("binary").alias("body"), row.alias("row"), order.alias("order")).mapInArrow(run, LINES)
-
-
-def recurring_lines(docs: DataFrame, similarity: float = SIMILARITY) -> DataFrame:
-    """(row, line): the lines to drop, row being the hash of doc_id and text."""
-    lines = checkpoint(line_keys(docs, F.xxhash64("doc_id", "text")))
-    leaves = lines.groupBy("leaf").agg(F.min("doc_id").alias("a"), F.max("doc_id").alias("b")).where("a < b").select("leaf")
-    shared = lines.join(leaves, "leaf").select("row", "doc_id", "line", F.size("fields").alias("n"), F.explode("fields").alias("field"))
-    shared = checkpoint(shared)
-    first = shared.groupBy("field").agg(F.min("doc_id").alias("first"), F.max("doc_id").alias("last")).where("first < last").select("field", "first")
-    seen = shared.join(first, "field").where("first < doc_id").groupBy("row", "line", "n").agg(F.count("*").alias("known"))
-    return seen.where(F.col("known") >= F.col("n") * similarity).select("row", "line")
-
-
-def drop_recurring_lines(docs: DataFrame, similarity: float = SIMILARITY, report: bool = False) -> DataFrame:
-    """docs with the recurring lines taken out of text (and n_chars renewed, where there is one).
-
-    With report: doc_id, text, n_lines, n_dropped, chars_dropped.
+            parsed = Parsed(part.column(1).to_pylist())
+            own, leaf, allowed, fields, at = parsed.keys()
+            text = pa.array(parsed.text[own])
+            lists = pa.ListArray.from_arrays(pa.array(at, pa.int32()), signed(fields))
+            yield pa.RecordBatch.from_arrays([part.column(2).take(text), part.column(0).take(text), pa.array(parsed.unit[own], pa.int32()), signed(leaf), pa.array(allowed), lists.cast(arrow.types[5])], schema=arrow)
+
+    return docs.select(_order().alias("doc_id"), F.col("text").cast("binary").alias("body"), row.alias("row")).mapInArrow(run, UNITS)
+
+
+def _order() -> Column:
+    return F.coalesce(F.col("doc_id").cast("bigint"), F.lit(-(1 << 63)))
+
+
+def _openings(size: int, most: int) -> list[tuple[int, ...]]:
+    return list(combinations(range(size), size - most))
+
+
+def _template_keys(distinct: DataFrame) -> DataFrame:
+    """distinct with ``template``, a row for each choice of open fields: a hash of what is closed."""
+    cases = F.array(F.xxhash64("fields"))
+    for size in range(4, FIELDS + 1):
+        for most in range(1, int((1 - SIMILARITY) * size + 1e-9) + 1):
+            closed = F.array(*[F.xxhash64(F.lit(i), *[F.col("fields")[k] for k in kept]) for i, kept in enumerate(_openings(size, most))])
+            cases = F.when((F.size("fields") == size) & (F.col("open") == most), closed).otherwise(cases)
+    return distinct.withColumn("template", F.explode(cases))
+
+
+def recurring_units(docs: DataFrame, least: int = LEAST) -> DataFrame:
+    """(doc_id, row, unit): what is to be dropped; row is the hash of the text."""
+    units = written(unit_keys(docs, F.xxhash64("text")))
+    # equal lines are one row
+    distinct = units.groupBy("leaf", "open", "fields").agg(F.min("doc_id").alias("a"), F.max("doc_id").alias("b"), F.count("*").alias("n"))
+    distinct = written(distinct)
+    several = distinct.where("open > 0")
+    leaves = several.groupBy("leaf").agg(F.min("a").alias("a"), F.max("b").alias("b"), F.count("*").alias("n")).where("a < b").select("leaf", "n")
+    several = join_hot(several.withColumnRenamed("n", "places"), checkpoint(leaves), ["leaf"], "n").withColumnRenamed("places", "n")
+    keyed = checkpoint(_template_keys(several).select("leaf", "open", "fields", "n", "a", "b", "template"))
+    key = ["leaf", "open", "template"]
+    templates = keyed.groupBy(*key).agg(F.min("a").alias("first"), F.max("b").alias("last"), F.count("*").alias("n")).where("first < last")
+    templates = checkpoint(templates.select(*key, "first", "n"))
+    matched = join_hot(keyed, templates.withColumnRenamed("n", "lines"), key, "lines")
+    if least > 2:
+        matched = _reached(units, matched, key, least)
+    verbatim = distinct.where("open = 0 and a < b").select("leaf", "open", "fields", "n", F.col("a").alias("first"))
+    if least > 2:
+        verbatim = _reached(units, verbatim.withColumn("template", F.xxhash64("fields")), key, least).select(verbatim.columns)
+    line = ["leaf", "open", "fields"]
+    found = matched.groupBy(*line).agg(F.min("first").alias("first"), F.max("n").alias("n")).unionByName(verbatim.select(*line, "first", "n"))
+    return join_hot(units, checkpoint(found), line, "n").where("first < doc_id").select("doc_id", "row", "unit")
+
+
+def _reached(units: DataFrame, matched: DataFrame, key: list[str], least: int) -> DataFrame:
+    """Rows of matched whose template has lines of at least ``least`` documents."""
+    matched = checkpoint(matched)
+    lines = checkpoint(matched.groupBy("leaf", "open", "fields").agg(F.max("n").alias("n"), F.collect_set("template").alias("templates")))
+    documents = join_hot(units, lines, ["leaf", "open", "fields"], "n").select("doc_id", "leaf", "open", F.explode("templates").alias("template"))
+    reached = documents.distinct().groupBy(*key).agg(F.count("*").alias("documents")).where(F.col("documents") >= least)
+    return matched.join(reached.select(*key), key, "left_semi")
+
+
+def without(body: bytes, gone: list[int]) -> bytes:
+    """The text without the units: whole lines, and runs of segments of at least RUN tokens."""
+    parsed, drop = Parsed([body]), np.zeros(0, dtype=bool)
+    drop = np.isin(parsed.unit, gone)
+    size = parsed.last - parsed.first
+    groups = np.flatnonzero(np.r_[True, (drop[1:] != drop[:-1]) | (parsed.line[1:] != parsed.line[:-1])]) if len(drop) else []
+    cuts: dict[int, list[tuple[int, int]]] = {}
+    for lo, hi in zip(groups, np.r_[groups[1:], len(drop)] if len(drop) else []):
+        if drop[lo] and (not parsed.long[lo] or size[lo:hi].sum() >= RUN):
+            cuts.setdefault(int(parsed.line[lo]), []).append((int(parsed.starts[parsed.first[lo]]), int(parsed.ends[parsed.last[hi - 1] - 1])))
+    out, base = [], 0
+    for k, line in enumerate(body.split(b"\n")):
+        if k not in cuts:
+            out.append(line)
+        else:
+            kept, at = [], base
+            for lo, hi in cuts[k]:
+                kept.append(body[at:lo].strip())
+                at = hi
+            kept.append(body[at : base + len(line)].strip())
+            left = b" ".join(x for x in kept if x)
+            if left:
+                out.append(left)
+        base += len(line) + 1
+    return b"\n".join(out)
+
+
+def drop_recurring_lines(docs: DataFrame, least: int = LEAST, report: bool = False) -> DataFrame:
+    """docs with the recurring lines and segments taken out of text (and n_chars renewed, where there is one).
+
+    With report: doc_id, text, n_lines (of the text as it was), n_dropped (lines and segments), chars_dropped.
     """
-    gone = recurring_lines(docs, similarity).groupBy("row").agg(F.array_sort(F.collect_set("line")).alias("_gone")).withColumnRenamed("row", "_row")
-    held = docs.withColumn("_row", F.xxhash64("doc_id", "text")).join(gone, "_row", "left")
-    parts = F.split("text", "\n", -1)
-    kept = F.when(F.col("_gone").isNull(), F.col("text")).otherwise(
-        F.array_join(F.filter(parts, lambda x, i: ~F.array_contains("_gone", i)), "\n")
-    )
+    gone = recurring_units(docs, least).groupBy("doc_id", "row").agg(F.collect_set("unit").alias("gone"))
+    held = docs.select(F.struct(*docs.columns).alias("doc"), _order().alias("doc_id"), F.xxhash64("text").alias("row"))
+    held = held.join(gone.hint("shuffle_hash"), ["doc_id", "row"], "left")
+
+    @F.pandas_udf("string")
+    def clean(body, units):
+        import pandas as pd
+
+        return pd.Series([None if b is None else without(bytes(b), u).decode("utf-8", "replace") for b, u in zip(body, units)], dtype=object)
+
+    text = F.col("doc.text")
+    some = F.col("gone").isNotNull()
+    held = held.withColumn("clean", clean(F.when(some, text.cast("binary")), F.col("gone")))
+    kept = F.when(some, F.col("clean")).otherwise(text)
     if report:
-        return held.select("doc_id", kept.alias("clean"), "text", "_gone").select(
-            "doc_id",
-            F.col("clean").alias("text"),
-            F.size(F.split("text", "\n", -1)).alias("n_lines"),
-            F.coalesce(F.size("_gone"), F.lit(0)).alias("n_dropped"),
-            (F.length("text") - F.length("clean")).alias("chars_dropped"),
+        return held.select(
+            F.col("doc.doc_id").alias("doc_id"),
+            kept.alias("text"),
+            (F.length(text) - F.length(F.replace(text, F.lit("\n"), F.lit(""))) + 1).alias("n_lines"),
+            F.when(some, F.size("gone")).otherwise(0).alias("n_dropped"),
+            (F.length(text) - F.length(kept)).alias("chars_dropped"),
         )
-    out = held.withColumn("text", kept)
-    if "n_chars" in docs.columns:
-        out = out.withColumn("n_chars", F.length("text").cast(dict(docs.dtypes)["n_chars"]))
-    return out.select(*docs.columns)
+    size = [c for c in docs.columns if c == "n_chars"]
+    column = {"text": kept} | {c: F.length(kept).cast(docs.schema[c].dataType) for c in size}
+    return held.select(*[column.get(c, F.col(f"doc.`{c}`")).alias(c) for c in docs.columns])
