@@ -1,86 +1,90 @@
 """Quality classifier by co-training.
 
-Two views of a document: its text content (shapes of words, hashed) and its page metadata (source, language,
-size, layout of lines). A logistic model of each view starts from a bounded sample of labelled documents; over
-rounds each view hands its most confident pseudo-labels on an unlabelled pool (bounded as well) to the other.
-Both are then calibrated on labelled documents kept aside, and their calibrated log odds are added for all documents.
-
-Defined results: null metadata are a value of their own; a null or empty text has only the empty-text feature; texts are
-read whole; repeated rows are scored each; if labels of a class are missing everything is kept with probability
-1; an empty table gives no rows; labels that are null or belong to no document are not used; other columns are ignored.
+Two views of a document that share nothing: its text content (words and shapes of words, hashed) and its page metadata
+(source, language and recorded length; the text is not looked at). A logistic model of each view starts from a bounded
+sample of labelled documents. In each round both score every other document; the most confident ``SHARE`` at either
+end, by thresholds over all of them, become pseudo-labels, of which the other view is given a bounded sample. Both are
+then calibrated on labelled documents kept aside, and their calibrated log odds are added for all documents.
+
+Texts are read once: what the views see is written as a narrow table that the rounds work on.
+
+Defined results: null metadata are a value of their own; a null or empty text has only the empty-text feature; texts of any
+length are read whole; repeated rows are scored each and labelled ones with one doc_id learned once; if labels of a class are
+missing everything is kept with probability 1; an empty table gives no rows; labels that are null or belong to no document
+are not used, of several labels the largest counts; ties of hashes fall by doc_id; other columns are ignored, missing
+metadata columns count as null.
 """
 
 from __future__ import annotations
 
+import math
 import re
 import zlib
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from .common import arrow_schema, chunks
+from .common import BASE, add_blocks, arrow_schema, chunks, lowest_hashes, written
 
-TEXT_SIZE, META_SIZE = 512, 128
-LABELLED, POOL = 6000, 6000
-ROUNDS, SHARE = 4, 0.05
+#: Buckets of word shapes, of words and of a text's shares; buckets of metadata.
+SHAPES, WORDS, SHARES, META_SIZE = 512, 2048, 4, 192
+TEXT_SIZE = SHAPES + WORDS + SHARES
+#: Labelled documents to fit on, and pseudo-labels of a class that a view is given in a round.
+LABELLED, GIVEN = 6000, 500
+ROUNDS, SHARE, CONFIDENT = 3, 0.05, 1.5
 #: A document is rejected below this probability of good quality.
 KEEP = 0.5
+#: Bins of the log odds, from -LOGIT to LOGIT.
+LOGIT, BINS = 30.0, 1200
 
-SHAPES = bytes(65 if 65 <= b <= 90 else 97 if 97 <= b <= 122 or b >= 128 else 48 if 48 <= b <= 57 else b for b in range(256))
+CLASSES = bytes(65 if 65 <= b <= 90 else 97 if 97 <= b <= 122 or b >= 128 else 48 if 48 <= b <= 57 else b for b in range(256))
 RUNS = re.compile(rb"(.)\1+", re.S)
+#: A value of a view: its bucket and its size.
+VALUE = np.dtype([("at", "<u2"), ("x", "<f2")])
 
 
-def shape_bucket(word: bytes) -> int:
-    """Bucket of a word's shape: runs of letters, digits and signs each as one character."""
-    return zlib.crc32(RUNS.sub(rb"\1", word.translate(SHAPES))[:8]) % (TEXT_SIZE - 8)
+def word_buckets(word: bytes) -> tuple[int, int]:
+    """Buckets of a word's shape, runs of letters, digits and signs each as one character, and of the word in lower case."""
+    return zlib.crc32(RUNS.sub(rb"\1", word.translate(CLASSES))[:8]) % SHAPES, SHAPES + zlib.crc32(word.lower()) % WORDS
 
 
-def text_view(body: bytes | None, cache: dict[bytes, int]) -> np.ndarray:
-    """Shares of word shapes, and of repeated words and windows."""
-    out = np.zeros(TEXT_SIZE, dtype="float32")
+def text_view(body: bytes | None, cache: dict[bytes, tuple[int, int]]) -> np.ndarray:
+    """Roots of the shares of shapes and words, and shares of repeated words and windows."""
     words = (body or b"").split()
     n = len(words)
     if not n:
-        out[TEXT_SIZE - 8] = 1
-        return out
-    buckets = []
+        return np.array([(TEXT_SIZE - 1, 1)], dtype=VALUE)
+    buckets: list[int] = []
     for w in words:
         b = cache.get(w)
         if b is None:
             if len(cache) >= 300_000:
                 cache.clear()
-            b = cache[w] = shape_bucket(w)
-        buckets.append(b)
-    out[: TEXT_SIZE - 8] = np.sqrt(np.bincount(buckets, minlength=TEXT_SIZE - 8) / n)
-    grams = set(zip(words, words[1:], words[2:], words[3:]))
-    out[TEXT_SIZE - 7] = 1 - len(grams) / max(1, n - 3)
-    out[TEXT_SIZE - 6] = 1 - len(set(words)) / n
-    out[TEXT_SIZE - 5] = n < 10
-    out[TEXT_SIZE - 4] = min(1.0, len(body) / n / 12)
-    return out
-
-
-def meta_view(body: bytes | None, lang: str | None, source: str | None) -> np.ndarray:
-    """Source, language, size and line layout; no word is looked at."""
-    out = np.zeros(META_SIZE, dtype="float32")
-    for k, (name, value) in enumerate((("lang", lang), ("source", source), ("both", f"{lang}/{source}"))):
-        out[zlib.crc32(f"{name}={value}".encode()) % 80] += 0.5 if k == 2 else 1
-    body = body or b""
-    size = len(body)
-    out[80 + min(15, size.bit_length())] = 1
-    lines = body.split(b"\n")
-    lengths = [len(x) for x in lines]
-    out[96 + min(7, len(lines).bit_length())] = 1
-    mean = size / len(lines)
-    out[104 + min(9, int(mean).bit_length())] = 1
-    out[114] = sum(x < 30 for x in lengths) / len(lines)
-    out[115] = 1 - len(set(lines)) / len(lines)
-    signs = sum(body.count(c) for c in (b"|", b"#", b"*", b"$", b"%", b"&", b"<", b">", b"!", b"="))
-    out[116] = min(1.0, 10 * signs / max(1, size))
-    out[117] = min(1.0, body.count(b".") * 40 / max(1, size))
-    out[118] = min(1.0, body.count(b" ") * 4 / max(1, size))
+            b = cache[w] = word_buckets(w)
+        buckets += b
+    out = np.zeros(TEXT_SIZE, dtype="float32")
+    out[: SHAPES + WORDS] = np.sqrt(np.bincount(buckets, minlength=SHAPES + WORDS) / n)
+    out[-4:-1] = 1 - len(set(zip(words, words[1:], words[2:], words[3:]))) / max(1, n - 3), 1 - len(set(words)) / n, n < 10
+    at = np.flatnonzero(out)
+    view = np.empty(len(at), dtype=VALUE)
+    view["at"], view["x"] = at, out[at]
+    return view
+
+
+def meta_view(lang: str | None, source: str | None, size: int | None) -> np.ndarray:
+    """Source, language, both, and the recorded length in steps of half an octave."""
+    step = 63 if size is None else min(62, int(2 * math.log2(max(0, size) + 1)))
+    at = [zlib.crc32(f"{name}={value}".encode()) % 128 for name, value in (("lang", lang), ("source", source), ("both", f"{lang}/{source}"))]
+    return np.array([(k, 1) for k in [*at, 128 + step]], dtype=VALUE)
+
+
+def dense(views: list[bytes], size: int) -> np.ndarray:
+    out = np.zeros((len(views), size), dtype="float32")
+    for row, view in enumerate(views):
+        view = np.frombuffer(view, dtype=VALUE)
+        np.add.at(out[row], view["at"], view["x"])
     return out
 
 
@@ -89,67 +93,136 @@ class Logistic:
         self.w, self.b = np.zeros(size), 0.0
 
     def fit(self, x: np.ndarray, y: np.ndarray, weight: np.ndarray, ridge: float = 1e-3, steps: int = 250) -> "Logistic":
-        w, b = np.zeros(x.shape[1]), 0.0
+        """Adaptive-moment descent from the weights as they are; x has single precision, and so has all that meets it."""
+        w, b = self.w.astype("float32"), self.b
         m, v = np.zeros(len(w) + 1), np.zeros(len(w) + 1)
         weight = weight / weight.sum()
         for step in range(1, steps + 1):
-            p = 1 / (1 + np.exp(-np.clip(x @ w + b, -30, 30)))
-            err = weight * (p - y)
-            g = np.r_[x.T @ err + ridge * w, err.sum()]
+            p = 1 / (1 + np.exp(-np.clip(x @ w + np.float32(b), -30, 30)))
+            err = (weight * (p - y)).astype("float32")
+            g = np.r_[err @ x + ridge * w, err.sum()]
             m, v = 0.9 * m + 0.1 * g, 0.99 * v + 0.01 * g * g
             move = 0.1 * (m / (1 - 0.9**step)) / (np.sqrt(v / (1 - 0.99**step)) + 1e-9)
-            w, b = w - move[:-1], b - move[-1]
-        self.w, self.b = w, b
+            w, b = w - move[:-1].astype("float32"), b - move[-1]
+        self.w, self.b = w.astype("float64"), float(b)
         return self
 
     def logit(self, x: np.ndarray) -> np.ndarray:
-        return np.clip(x @ self.w + self.b, -30, 30)
+        return np.clip(x @ self.w + self.b, -LOGIT, LOGIT)
+
+    def sparse_logit(self, views: list[bytes]) -> np.ndarray:
+        """Log odds of packed views, none of which is empty."""
+        flat = np.frombuffer(b"".join(views), dtype=VALUE)
+        size = np.array([len(v) for v in views]) // VALUE.itemsize
+        parts = self.w[flat["at"]] * flat["x"]
+        return np.clip(np.add.reduceat(parts, np.cumsum(size) - size) + self.b, -LOGIT, LOGIT) if len(views) else np.zeros(0)
 
 
 def calibrate(logit: np.ndarray, y: np.ndarray) -> tuple[float, float]:
-    """Slope and intercept of the true log odds on the model's, by Newton steps with a weak prior on slope 1."""
+    """Slope and intercept of the true log odds on the model's, by short Newton steps with a weak prior on slope 1."""
     a, b = 1.0, 0.0
     x = np.c_[logit, np.ones(len(logit))]
-    for _ in range(30):
+    for _ in range(200):
         p = 1 / (1 + np.exp(-np.clip(a * logit + b, -30, 30)))
         g = x.T @ (y - p) - np.array([a - 1, b]) * 0.5
         h = (x * (p * (1 - p))[:, None]).T @ x + np.eye(2) * 0.5
-        step = np.linalg.solve(h, g)
+        step = np.clip(np.linalg.solve(h, g), -0.25, 0.25)
         a, b = a + step[0], b + step[1]
         if abs(step).max() < 1e-8:
             break
     return max(a, 0.0), b
 
 
-def co_train(text: np.ndarray, meta: np.ndarray, y: np.ndarray, text_pool: np.ndarray, meta_pool: np.ndarray, rounds: int = ROUNDS, share: float = SHARE):
-    """((model, slope, intercept) of text, of metadata, log prior odds)."""
+def fitted(x: np.ndarray, y: np.ndarray, given: np.ndarray, target: np.ndarray, last: Logistic | None) -> Logistic:
+    """A model of labelled rows and of pseudo-labelled ones, which count less; both classes weigh the same. It goes on from the last one."""
+    weight = np.r_[np.ones(len(y)), np.full(len(target), 0.3)]
+    target = np.r_[y, target]
+    for c in (0, 1):
+        weight[target == c] /= max(1.0, weight[target == c].sum())
+    model = Logistic(x.shape[1])
+    if last is not None:
+        model.w, model.b = last.w, last.b
+    return model.fit(np.concatenate([x, given]), target, weight, steps=250 if last is None else 60)
+
+
+def thresholds(bins: np.ndarray, share: float = SHARE) -> tuple[float, float, int, int]:
+    """Log odds below and above which a view is confident, and how many documents are on either side."""
+    edges = np.linspace(-LOGIT, LOGIT, BINS + 1)
+    most = share * bins.sum()
+    low = int(np.searchsorted(np.cumsum(bins), most, side="right"))
+    high = BINS - int(np.searchsorted(np.cumsum(bins[::-1]), most, side="right"))
+    low = min(max(low, 1), int(np.searchsorted(edges, -CONFIDENT)))
+    high = max(min(high, BINS - 1), int(np.searchsorted(edges, CONFIDENT)))
+    return float(edges[low]), float(edges[high]), int(bins[:low].sum()), int(bins[high:].sum())
+
+
+def pseudo_labels(others: DataFrame, models: list[tuple[Logistic, float, float]], given: int = GIVEN) -> list[tuple[int, int, float, bytes]]:
+    """(view to be told, row, label, that view) of a bounded sample of what the other view is confident of, over all documents.
+
+    models: with slope and intercept of each view's evidence, the log odds beyond the prior ones.
+    """
+    spark = others.sparkSession
+    shared = spark.sparkContext.broadcast(models)
+    schema = "block int, counts binary"
+    arrow = arrow_schema(spark, schema)
+
+    def logits(part):
+        return [np.clip(a * m.sparse_logit(part.column(1 + k).to_pylist()) + b, -LOGIT, LOGIT) for k, (m, a, b) in enumerate(shared.value)]
+
+    def bin_of(logit):
+        return np.minimum(((logit + LOGIT) * (BINS / (2 * LOGIT))).astype("int64"), BINS - 1)
+
+    def count(batches):
+        bins = np.zeros((2, BINS), dtype="int64")
+        for part in batches:
+            for k, logit in enumerate(logits(part)):
+                bins[k] += np.bincount(bin_of(logit), minlength=BINS)
+        yield pa.RecordBatch.from_arrays([pa.array([0, 1], pa.int32()), pa.array([b.tobytes() for b in bins], pa.binary())], schema=arrow)
+
+    def add(table):
+        total = sum(np.frombuffer(x, dtype="int64") for x in table.column("counts").to_pylist())
+        return pa.Table.from_pydict({"block": [table.column("block")[0].as_py()], "counts": [total.tobytes()]}, schema=arrow)
+
+    cuts = [thresholds(np.frombuffer(bytes(r["counts"]), dtype="int64")) for r in add_blocks(others.mapInArrow(count, schema), schema, add)]
+    if not cuts:
+        return []
+    schema = "told int, row long, label double, view binary"
+    chosen = arrow_schema(spark, schema)
+
+    def choose(batches):
+        for part in batches:
+            rows = part.column(0).to_numpy()
+            chance = ((rows.astype("uint64") * np.uint64(BASE)) >> np.uint64(11)) / 2**53
+            out = []
+            for k, logit in enumerate(logits(part)):
+                low, high, n_low, n_high = cuts[k]
+                bins = np.linspace(-LOGIT, LOGIT, BINS + 1)[bin_of(logit)]
+                for label, sure, n in ((0.0, bins < low, n_low), (1.0, bins >= high, n_high)):
+                    out += [(1 - k, int(rows[i]), label, part.column(2 - k)[i].as_py()) for i in np.flatnonzero(sure & (chance * n < given)).tolist()]
+            yield pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(list(zip(*out)) or [[]] * 4, chosen.types)], schema=chosen)
+
+    found = others.mapInArrow(choose, schema).collect()  # about ``given`` rows for each view and class
+    return sorted((r["told"], r["row"], r["label"], bytes(r["view"])) for r in found)
+
+
+def co_train(own: list, others: DataFrame, rounds: int = ROUNDS):
+    """((model, slope, intercept) of text, of metadata, log prior odds). own: labelled (y, text, meta), others: (row, text, meta)."""
+    y = np.array([r[0] for r in own], dtype="float64")
+    views = [dense([r[1] for r in own], TEXT_SIZE), dense([r[2] for r in own], META_SIZE)]
     aside = np.arange(len(y)) % 4 == 0
-    fit, views, pools = ~aside, [text, meta], [text_pool, meta_pool]
-    given = [{}, {}]
-    models = [None, None]
-    for turn in range(rounds + 1):
-        for k in (0, 1):
-            rows = np.array(sorted(given[k]), dtype="int64")
-            x = np.concatenate([views[k][fit], pools[k][rows]])
-            target = np.r_[y[fit], [given[k][i] for i in rows.tolist()]]
-            weight = np.r_[np.ones(fit.sum()), np.full(len(rows), 0.3)]
-            for c in (0, 1):
-                weight[target == c] /= max(1.0, weight[target == c].sum())
-            models[k] = Logistic(x.shape[1]).fit(x, target, weight)
-        if turn == rounds or not len(text_pool):
-            break
-        for k in (0, 1):
-            logit = models[k].logit(pools[k])
-            order, n = np.argsort(logit, kind="stable"), max(1, int(share * len(logit)))
-            for i in order[:n].tolist():
-                if logit[i] < -1.5:
-                    given[1 - k].setdefault(i, 0.0)
-            for i in order[-n:].tolist():
-                if logit[i] > 1.5:
-                    given[1 - k].setdefault(i, 1.0)
     y_aside = y[aside]
     prior = float(np.log((y_aside.sum() + 1) / (len(y_aside) - y_aside.sum() + 1)))
-    return [(m, *calibrate(m.logit(v[aside]), y_aside)) for m, v in zip(models, views)], prior
+    given: list[dict[int, tuple[float, bytes]]] = [{}, {}]
+    models: list = [(None,), (None,)]
+    for turn in range(rounds + 1):
+        for k, view in enumerate(views):
+            told = [given[k][i] for i in sorted(given[k])]
+            model = fitted(view[~aside], y[~aside], dense([v for _, v in told], view.shape[1]), np.array([x for x, _ in told]), models[k][0])
+            models[k] = model, *calibrate(model.logit(view[aside]), y_aside)
+        if turn == rounds:
+            return models, prior
+        for k, row, label, view in pseudo_labels(others, [(m, a, b - prior) for m, a, b in models]):
+            given[k].setdefault(row, (label, view))
 
 
 def combine(text_logit: np.ndarray, meta_logit: np.ndarray, prior: float) -> np.ndarray:
@@ -157,86 +230,86 @@ def combine(text_logit: np.ndarray, meta_logit: np.ndarray, prior: float) -> np.
     return 1 / (1 + np.exp(-np.clip(text_logit + meta_logit - prior, -30, 30)))
 
 
-def _viewed(docs: DataFrame):
-    null = F.lit(None).cast("string")
-    pick = lambda c: F.col(c).cast("string") if c in docs.columns else null
-    return docs.select(F.col("doc_id").cast("bigint").alias("doc_id"), F.col("text").cast("binary").alias("body"), pick("lang").alias("lang"), pick("source").alias("source"))
+VIEWS = "doc_id long, text binary, meta binary"
 
 
-def fit(docs: DataFrame, labels: DataFrame, labelled: int = LABELLED, pool: int = POOL):
-    """Models from bounded samples in the order of a hash; None if a class has no labelled document."""
-    spark = docs.sparkSession
-    known = labels.where("quality is not null and doc_id is not null").groupBy(F.col("doc_id").cast("bigint").alias("doc_id")).agg(F.max("quality").cast("int").alias("y"))
-    order = F.xxhash64("doc_id")
-    chosen = known.orderBy(order, "doc_id").limit(labelled)
-    viewed = _viewed(docs)
-    rest = viewed.select("doc_id").where("doc_id is not null").orderBy(F.xxhash64("doc_id", F.lit(1)), "doc_id").limit(pool).distinct().join(F.broadcast(chosen), "doc_id", "left_anti")
-    ids = F.broadcast(chosen.unionByName(rest.withColumn("y", F.lit(-1))))  # at most labelled + pool rows of two numbers
-    schema = "doc_id long, y int, text binary, meta binary"
-    arrow = arrow_schema(spark, schema)
+def views_of(docs: DataFrame) -> DataFrame:
+    """(doc_id, text, meta) with both views packed."""
+    arrow = arrow_schema(docs.sparkSession, VIEWS)
 
     def run(batches):
-        cache: dict[bytes, int] = {}
+        cache: dict[bytes, tuple[int, int]] = {}
         for part in chunks(batches):
-            rows = [(d, y, text_view(b, cache).tobytes(), meta_view(b, lang, source).tobytes()) for d, b, lang, source, y in zip(*(c.to_pylist() for c in part.columns))]
-            yield pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(zip(*rows), arrow.types)], schema=arrow)
-
-    rows = viewed.join(ids, "doc_id").select("doc_id", "body", "lang", "source", "y").mapInArrow(run, schema).collect()
-    rows = sorted({r["doc_id"]: r for r in rows}.values(), key=lambda r: zlib.crc32(str(r["doc_id"]).encode()))
-    unpack = lambda rows, name, size: np.frombuffer(b"".join(bytes(r[name]) for r in rows), dtype="float32").reshape(-1, size).astype("float64")
-    own, other = [r for r in rows if r["y"] >= 0], [r for r in rows if r["y"] < 0]
-    y = np.array([r["y"] for r in own], dtype="float64")
-    if len(own) < 8 or not 0 < y.sum() < len(y):
+            doc, body, *meta = (c.to_pylist() for c in part.columns)
+            yield pa.RecordBatch.from_arrays([pa.array(doc, pa.int64()), pa.array([text_view(b, cache).tobytes() for b in body]), pa.array([meta_view(*m).tobytes() for m in zip(*meta)])], schema=arrow)
+
+    return docs.select(F.col("doc_id").cast("bigint").alias("doc_id"), F.col("text").cast("binary").alias("body"), *_metadata(docs)).mapInArrow(run, VIEWS)
+
+
+def _metadata(docs: DataFrame) -> list[Column]:
+    kinds = {"lang": "string", "source": "string", "n_chars": "bigint"}
+    return [(F.col(c) if c in docs.columns else F.lit(None)).cast(t).alias(c) for c, t in kinds.items()]
+
+
+def fit(views: DataFrame, labels: DataFrame, labelled: int = LABELLED):
+    """Models from a bounded sample of labelled documents and all others; None if a class has no labelled document. views: (row, doc_id, text, meta)."""
+    known = labels.where("quality is not null and doc_id is not null").groupBy(F.col("doc_id").cast("bigint").alias("doc_id")).agg(F.max("quality").cast("int").alias("y"))
+    chosen = F.broadcast(lowest_hashes(known, F.xxhash64("doc_id"), labelled, "doc_id"))  # at most ``labelled`` rows of two numbers
+    own = views.join(chosen, "doc_id").groupBy("doc_id").agg(F.max("y").alias("y"), F.min(F.struct("text", "meta")).alias("views")).collect()
+    own = sorted(own, key=lambda r: (zlib.crc32(str(r["doc_id"]).encode()), r["doc_id"]))
+    own = [(r["y"], bytes(r["views"]["text"]), bytes(r["views"]["meta"])) for r in own]
+    if len(own) < 8 or not 0 < sum(r[0] for r in own) < len(own):
         return None
-    return co_train(unpack(own, "text", TEXT_SIZE), unpack(own, "meta", META_SIZE), y, unpack(other, "text", TEXT_SIZE), unpack(other, "meta", META_SIZE))
+    return co_train(own, views.join(chosen, "doc_id", "left_anti").select("row", "text", "meta"))
 
 
 RESULT = "doc_id long, p_text double, p_meta double, quality double, kept boolean"
 
 
+def _numbered(docs: DataFrame) -> DataFrame:
+    return written(views_of(docs).withColumn("row", F.xxhash64("doc_id", F.monotonically_increasing_id())))
+
+
 def score(docs: DataFrame, labels: DataFrame, keep: float = KEEP) -> DataFrame:
     """doc_id, p_text, p_meta, quality, kept of every document."""
     spark = docs.sparkSession
-    shared = spark.sparkContext.broadcast(fit(docs, labels))
+    views = _numbered(docs)
+    shared = spark.sparkContext.broadcast(fit(views, labels))
     arrow = arrow_schema(spark, RESULT)
-    sigmoid = lambda x: 1 / (1 + np.exp(-np.clip(x, -30, 30)))
+    sigmoid = lambda x: 1 / (1 + np.exp(-np.clip(x, -LOGIT, LOGIT)))
 
     def run(batches):
-        cache: dict[bytes, int] = {}
-        for part in chunks(batches):
-            n = part.num_rows
+        for part in batches:
             if shared.value is None:
-                found = [np.ones(n)] * 3
+                found = [np.ones(part.num_rows)] * 3
             else:
-                views, prior = shared.value
-                bodies, langs, sources = (part.column(k).to_pylist() for k in (1, 2, 3))
-                data = np.stack([text_view(b, cache) for b in bodies]), np.stack([meta_view(*x) for x in zip(bodies, langs, sources)])
-                logits = [a * m.logit(x) + b for (m, a, b), x in zip(views, data)]
+                models, prior = shared.value
+                logits = [a * m.sparse_logit(part.column(k).to_pylist()) + b for k, (m, a, b) in enumerate(models, 1)]
                 found = [sigmoid(logits[0]), sigmoid(logits[1]), combine(*logits, prior)]
             yield pa.RecordBatch.from_arrays([part.column(0), *(pa.array(x) for x in found), pa.array(found[2] >= keep)], schema=arrow)
 
-    return _viewed(docs).mapInArrow(run, RESULT)
+    return views.select("doc_id", "text", "meta").mapInArrow(run, RESULT)
 
 
 def keep_good(docs: DataFrame, labels: DataFrame, keep: float = KEEP) -> DataFrame:
     """docs without the rejected rows; the verdict is made where the text is read, so texts are not shuffled."""
     spark = docs.sparkSession
-    shared = spark.sparkContext.broadcast(fit(docs, labels))
+    shared = spark.sparkContext.broadcast(fit(_numbered(docs), labels))
 
     @F.pandas_udf("boolean")
-    def good(body, lang, source):
+    def good(body, lang, source, size):
         import pandas as pd
 
         if shared.value is None:
             return pd.Series(np.ones(len(body), dtype=bool))
-        views, prior = shared.value
-        cache: dict[bytes, int] = {}
+        models, prior = shared.value
+        cache: dict[bytes, tuple[int, int]] = {}
         out = np.zeros(len(body), dtype=bool)
+        sizes = [None if pd.isna(x) else int(x) for x in size]
         for at in range(0, len(body), 512):
-            rows = list(zip(body[at : at + 512], lang[at : at + 512], source[at : at + 512]))
-            data = np.stack([text_view(b, cache) for b, _, _ in rows]), np.stack([meta_view(*x) for x in rows])
-            logits = [a * m.logit(x) + b for (m, a, b), x in zip(views, data)]
-            out[at : at + 512] = combine(*logits, prior) >= keep
+            cut = slice(at, at + 512)
+            data = [text_view(b, cache).tobytes() for b in body[cut]], [meta_view(*x).tobytes() for x in zip(lang[cut], source[cut], sizes[cut])]
+            out[cut] = combine(*(a * m.sparse_logit(x) + b for (m, a, b), x in zip(models, data)), prior) >= keep
         return pd.Series(out)
 
-    return docs.where(good(F.col("text").cast("binary"), F.col("lang").cast("string"), F.col("source").cast("string")))
+    return docs.where(good(F.col("text").cast("binary"), *_metadata(docs)))
