@@ -2,12 +2,13 @@
 
 P(grade <= j) is a logistic function of a threshold minus one linear score, so all ordered thresholds share the
 weights. Features are words and word beginnings; the ones that set toxic documents apart are selected by
-counts over a bounded sample of labelled documents that is reduced in the cluster. Labels say toxic or not; severity
-grades of toxic training documents come from the thirds of their share of toxic words. All documents are
-scored; the output is the distribution's mean (expected severity) and the likeliest grade.
+counts over a bounded sample of labelled documents that is reduced in the cluster. Labels say toxic or not, so severity
+grades have to be derived: toxic training documents of either half of the sample are graded by the thirds of their share of
+words that the other half's counts call toxic. The share of words that the counts of all call toxic is one feature among the
+others, so the grade is not a number that the model is given, but it is no independent judgement either. All documents are scored; the output is the distribution's mean (expected severity) and the likeliest grade.
 
 Defined results: a null or empty text has no features and scores as the intercept does; texts are read whole; repeated
-rows are scored each; without toxic or clean labels every document has severity 0; an empty table gives no rows; labels that are
+rows are scored each, equal labelled texts learned once; without toxic or clean labels every document has severity 0; an empty table gives no rows; labels that are
 null or belong to no document are not used; other columns are ignored.
 """
 
@@ -18,7 +19,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import arrow_schema, checkpoint, chunks, text_bytes
+from .common import arrow_schema, checkpoint, chunks, lowest_hashes, text_bytes
 
 GRADES = 4
 #: Labelled documents to fit on (half of them toxic, if there are so many), and features to keep.
@@ -40,8 +41,7 @@ def features_of(word: bytes) -> list[bytes]:
 def sampled(docs: DataFrame, labels: DataFrame, label: str, size: int) -> DataFrame:
     """(doc_id, label) of at most ``size`` labelled documents, in the order of a hash, half of each class first."""
     known = labels.where(F.col(label).isNotNull() & F.col("doc_id").isNotNull()).groupBy(F.col("doc_id").cast("bigint").alias("doc_id")).agg(F.max(label).cast("int").alias("label"))
-    order = F.xxhash64("doc_id")
-    parts = [known.where(F.col("label") == k).orderBy(order, "doc_id").limit(size // 2) for k in (0, 1)]
+    parts = [lowest_hashes(known.where(F.col("label") == k), F.xxhash64("doc_id"), size // 2, "doc_id") for k in (0, 1)]
     return parts[0].unionByName(parts[1])
 
 
@@ -99,74 +99,83 @@ def feature_kernel(index_of, grown: int = 300_000):
     return find
 
 
-def sparse(body: bytes | None, find, lexicon: frozenset) -> tuple[dict[int, float], float]:
-    """Feature values and the share of words that are in the lexicon."""
+def sparse(body: bytes | None, find, words: frozenset, extra: int) -> dict[int, float]:
+    """Feature values of a text; feature ``extra`` is its share of words whose own feature is kept."""
     hits: dict[int, int] = {}
-    words = (body or b"").lower().split()
-    toxic = 0
-    for word in words:
+    tokens, toxic = (body or b"").lower().split(), 0
+    for word in tokens:
         got = find(word)
         if got:
-            toxic += not lexicon.isdisjoint(got)
+            toxic += not words.isdisjoint(got)
             for k in got:
                 hits[k] = hits.get(k, 0) + 1
-    return {k: float(np.log1p(c)) for k, c in hits.items()}, toxic / max(1, len(words))
+    values = {k: float(np.log1p(c)) for k, c in hits.items()}
+    if toxic:
+        values[extra] = float(2.5 * np.log1p(100 * toxic / len(tokens)))
+    return values
+
+
+def words_in(index: dict[bytes, int]) -> frozenset:
+    return frozenset(i for f, i in index.items() if f.startswith(b"w="))
 
 
 def fit(docs: DataFrame, labels: DataFrame, sample: int = SAMPLE) -> tuple[dict[bytes, int], Ordinal]:
     spark = docs.sparkSession
     chosen = sampled(docs, labels, "toxic", sample)
-    # at most ``sample`` rows of two numbers
-    texts = text_bytes(docs).join(F.broadcast(chosen), "doc_id").select("doc_id", "body", "label")
-    texts = checkpoint(texts.dropDuplicates(["body"]))  # copies of one text are one example
-    schema = "feature binary, label int"
+    # at most ``sample`` rows of two numbers; copies of one text are one example
+    texts = text_bytes(docs).join(F.broadcast(chosen), "doc_id").groupBy("body").agg(F.max("label").alias("label"))
+    texts = checkpoint(texts.withColumn("half", F.pmod(F.xxhash64("body"), F.lit(2)).cast("int")))
+    schema = "feature binary, label int, half int"
     arrow = arrow_schema(spark, schema)
 
     def explode(batches):
         for part in chunks(batches):
-            found: list[bytes] = []
-            of: list[int] = []
-            for body, label in zip(part.column(1).to_pylist(), part.column(2).to_pylist()):
+            columns: tuple[list, list, list] = [], [], []
+            for body, label, half in zip(*(c.to_pylist() for c in part.columns)):
                 own = {f for w in set((body or b"").lower().split()) for f in features_of(w)}
-                found.extend(own)
-                of.extend([label] * len(own))
-            yield pa.RecordBatch.from_arrays([pa.array(found, pa.binary()), pa.array(of, pa.int32())], schema=arrow)
+                for column, values in zip(columns, (own, [label] * len(own), [half] * len(own))):
+                    column.extend(values)
+            yield pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(columns, arrow.types)], schema=arrow)
 
-    sizes = {r["label"]: r["count"] for r in texts.groupBy("label").count().collect()}
-    clean, toxic = sizes.get(0, 0), sizes.get(1, 0)
-    if not clean or not toxic:
+    sizes = {(r["label"], r["half"]): r["count"] for r in texts.groupBy("label", "half").count().collect()}
+    totals = [[sum(sizes.get((label, h), 0) for h in halves) for label in (0, 1)] for halves in ((0, 1), (0,), (1,))]
+    if not all(totals[0]):
         return {}, Ordinal(np.zeros(1), np.array([35.0] * (GRADES - 1)))
-    counts = texts.mapInArrow(explode, schema).groupBy("feature").agg(F.sum("label").alias("t"), F.sum(1 - F.col("label")).alias("c"))
-    odds = F.log((F.col("t") + 0.5) / (toxic + 1)) - F.log((F.col("c") + 0.5) / (clean + 1))
-    chosen = counts.where(F.col("t") >= max(LEAST_DOCS, LEAST_SHARE * toxic)).withColumn("odds", odds).where(F.col("odds") > LEAST_LOG_ODDS)
-    kept = chosen.orderBy(F.desc(F.col("odds") * F.sqrt("t")), "feature").limit(FEATURES).collect()
-    index = {bytes(r["feature"]): i for i, r in enumerate(kept)}
-    lexicon = frozenset(i for f, i in index.items() if f.startswith(b"w="))
-    shared = spark.sparkContext.broadcast(index)
+    sums = [F.sum(((F.col("label") == label) & F.col("half").isin(halves)).cast("int")).alias(f"n{label}_{k}") for k, halves in enumerate(([0, 1], [0], [1])) for label in (0, 1)]
+    counts = checkpoint(texts.mapInArrow(explode, schema).groupBy("feature").agg(*sums))
+    found = []
+    for k, (clean, toxic) in enumerate(totals):
+        odds = F.log((F.col(f"n1_{k}") + 0.5) / (toxic + 1)) - F.log((F.col(f"n0_{k}") + 0.5) / (clean + 1))
+        able = counts.where(F.col(f"n1_{k}") >= max(LEAST_DOCS, LEAST_SHARE * toxic)).withColumn("odds", odds).where(F.col("odds") > LEAST_LOG_ODDS)
+        found.append([bytes(r["feature"]) for r in able.orderBy(F.desc(F.col("odds") * F.sqrt(f"n1_{k}")), "feature").limit(FEATURES).collect()])
+    index = {f: i for i, f in enumerate(found[0])}
+    # the words by which a text is graded are those of the other half
+    lexicon = [frozenset(f[2:] for f in found[2 - half] if f.startswith(b"w=")) for half in (0, 1)]
+    shared = spark.sparkContext.broadcast((index, lexicon))
     schema = "label int, share double, columns array<int>, values array<double>"
     narrow = arrow_schema(spark, schema)
 
     def encode(batches):
-        find = feature_kernel(shared.value)
+        index, lexicon = shared.value
+        find, own = feature_kernel(index), words_in(index)
         for part in chunks(batches):
             rows = []
-            for body, label in zip(part.column(1).to_pylist(), part.column(2).to_pylist()):
-                values, share = sparse(body, find, lexicon)
+            for body, label, half in zip(*(c.to_pylist() for c in part.columns)):
+                words = [w.strip(STRIP) for w in (body or b"").lower().split()] if label else []
+                share = sum(w in lexicon[half] for w in words) / max(1, len(words))
+                values = sparse(body, find, own, len(index))
                 rows.append((label, share, list(values), list(values.values())))
             yield pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(zip(*rows), narrow.types)], schema=narrow)
 
-    rows = texts.mapInArrow(encode, schema).collect()  # at most ``sample`` rows of the kept features
+    rows = texts.select("body", "label", "half").mapInArrow(encode, schema).collect()  # at most ``sample`` rows of the kept features
     label = np.array([r["label"] for r in rows])
     share = np.array([r["share"] for r in rows])
-    cuts = np.quantile(share[label == 1], [1 / 3, 2 / 3]) if (label == 1).any() else [0, 0]
+    cuts = np.quantile(share[label == 1], [1 / 3, 2 / 3])
     grades = np.where(label == 1, 1 + (share > cuts[0]) + (share > cuts[1]), 0).astype("int64")
     at = np.repeat(np.arange(len(rows)), [len(r["columns"]) for r in rows]).astype("int64")
     columns = np.array([c for r in rows for c in r["columns"]], dtype="int64")
     values = np.array([x for r in rows for x in r["values"]], dtype="float64")
-    # one more feature, shared by all: the share of toxic words
-    extra = len(index)
-    at, columns, values = np.r_[at, np.arange(len(rows))], np.r_[columns, np.full(len(rows), extra)], np.r_[values, 10 * np.log1p(100 * share) / 4]
-    return index, Ordinal.fit(at, columns, values, grades, extra + 1)
+    return index, Ordinal.fit(at, columns, values, grades, len(index) + 1)
 
 
 RESULT = "doc_id long, toxic boolean, severity int, expected_severity double, p_toxic double"
@@ -180,13 +189,11 @@ def score(docs: DataFrame, labels: DataFrame, sample: int = SAMPLE) -> DataFrame
 
     def run(batches):
         index, model = shared.value
-        lexicon = frozenset(i for f, i in index.items() if f.startswith(b"w="))
-        find = feature_kernel(index)
+        find, own = feature_kernel(index), words_in(index)
         for part in chunks(batches):
             scores = np.zeros(part.num_rows)
             for i, body in enumerate(part.column(1).to_pylist()):
-                values, share = sparse(body, find, lexicon)
-                scores[i] = sum(model.weights[k] * x for k, x in values.items()) + model.weights[-1] * 10 * np.log1p(100 * share) / 4
+                scores[i] = sum(model.weights[k] * x for k, x in sparse(body, find, own, len(index)).items())
             p = model.distribution(scores)
             mean = p @ np.arange(GRADES)
             columns = [part.column(0), pa.array(p[:, 0] < 0.5), pa.array(p.argmax(axis=1).astype("int32")), pa.array(mean), pa.array(1 - p[:, 0])]
