@@ -5,8 +5,10 @@ sorted by the curve index and the order is cut into shards, so that each shard c
 dimension and files can be pruned by all of them. Ranks come from a range sort with a count for each
 partition; no row is gathered.
 
+Dimensions are the columns source, lang and n_chars and the size of the text; a column that docs lacks counts as null.
+
 Defined results: null metadata take cell 0 of their dimension; a null text has no bytes and the checksum of the empty
-string; ties of the curve are broken by doc_id, size and checksum; repeated rows get slots of their own; an empty table
+string; texts of any length are read whole in the JVM; ties of the curve are broken by doc_id, size and checksum; repeated rows get slots of their own; an empty table
 gives no rows; other columns are ignored.
 """
 
@@ -73,7 +75,7 @@ def by_hash(column: Column, bits: int = BITS) -> Column:
 
 
 def by_log(column: Column, bits: int = BITS) -> Column:
-    """A cell for a magnitude: quarter powers of two, capped at the last cell, which changes only the order's locality."""
+    """A cell for a magnitude: thirds of an octave, capped at the last cell, which changes only the order's locality."""
     return F.coalesce(F.least(F.floor(F.log2(F.greatest(column.cast("double"), F.lit(0.0)) + 1) * 3), F.lit((1 << bits) - 1)), F.lit(0))
 
 
@@ -83,22 +85,25 @@ def global_rank(rows: DataFrame, order: list[str], partitions: int) -> tuple[Dat
     sorted_rows = checkpoint(rows.repartitionByRange(partitions, *order).sortWithinPartitions(*order).withColumn("_mark", mark))
     at = F.shiftright("_mark", 33).cast("int")
     sizes = {r[0]: r[1] for r in sorted_rows.groupBy(at.alias("p")).count().collect()}  # a row for each partition
-    bases, total = {}, 0
+    bases, total = [], 0
     for p in sorted(sizes):
-        bases[p], total = total, total + sizes[p]
-    base = F.element_at(F.create_map(*[F.lit(v) for p, b in bases.items() for v in (p, b)]), at) if bases else F.lit(0)
-    return sorted_rows.withColumn("rank", (base + F.col("_mark").bitwiseAND(F.lit((1 << 33) - 1))).cast("bigint")).drop("_mark"), total
+        bases.append((p, total))
+        total += sizes[p]
+    table = F.broadcast(rows.sparkSession.createDataFrame(bases, "_at int, _base long"))  # as many rows as partitions
+    ranked = sorted_rows.withColumn("_at", at).join(table, "_at")
+    return ranked.withColumn("rank", F.col("_base") + F.col("_mark").bitwiseAND(F.lit((1 << 33) - 1))).select(*rows.columns, "rank"), total
 
 
 def shard_documents(docs: DataFrame, shards: int = SHARDS, bits: int = BITS) -> DataFrame:
     """doc_id, size, text_crc32, law 'rows', shard, slot, grown_shard, hilbert_index: counts at most one apart."""
     body = F.coalesce(F.col("text").cast("binary"), F.lit(b""))
     size = (F.octet_length(body) + 8).cast("bigint")
+    column = lambda name: F.col(name) if name in docs.columns else F.lit(None).cast("string")
     rows = docs.select(
         F.col("doc_id").cast("bigint").alias("doc_id"),
         size.alias("size"),
         F.crc32(body).alias("text_crc32"),
-        curve(by_hash(F.col("source"), bits), by_hash(F.col("lang"), bits), by_log(size, bits), by_log(F.col("n_chars"), bits), bits=bits).alias("hilbert_index"),
+        curve(by_hash(column("source"), bits), by_hash(column("lang"), bits), by_log(size, bits), by_log(column("n_chars"), bits), bits=bits).alias("hilbert_index"),
     )
     counted = docs.sparkSession.conf.get("spark.sql.shuffle.partitions")
     ranked, total = global_rank(rows, ["hilbert_index", "doc_id", "size", "text_crc32"], max(int(counted), 1))
