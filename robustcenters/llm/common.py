@@ -77,9 +77,8 @@ def join_hot(big: DataFrame, small: DataFrame, on: list[str], weight: str, share
     """
     total = small.agg(F.sum(weight)).first()[0] or 0
     hot = F.col(weight) * share > total
-    frequent = F.broadcast(small.where(hot).drop(weight))
     rest = big.join(F.broadcast(small.where(hot).select(*on)), on, "left_anti")
-    return big.join(frequent, on).unionByName(rest.join(small.where(~hot).drop(weight), on))
+    return big.join(F.broadcast(small.where(hot)), on).unionByName(rest.join(small.where(~hot), on))
 
 
 def add_blocks(parts: DataFrame, schema: str, add: Callable[[pa.Table], pa.Table], together: int = 256) -> list:

@@ -2,15 +2,18 @@
 
 Fingerprints are made next to the scan; after that only (fingerprint, smallest doc_id) travels. Equal
 fingerprints are merged first, so a group of copies is one row however large it is. Two fingerprints within
-``radius`` of each other agree on all bits of at least ``clean`` of ``bands`` bands (pigeonhole), so a row for
-each choice of two clean bands brings every such pair into one bucket. A bucket over ``block`` rows is cut into
+``radius`` of each other agree on all bits of at least ``clean`` of ``radius + clean`` bands (pigeonhole), so a row for
+each choice of clean bands brings every such pair into one bucket; larger tables take more clean bands, so that keys are
+longer and buckets stay small. A bucket over ``block`` rows is cut into
 pairs of blocks, which are groups of their own. Inside a group the bit planes are stored vertically: 64 distances advance by one bitwise
 operation in carry-save counters, and a tile is abandoned once all of its distances exceed the radius. A group
 returns a spanning forest of what it linked, never all pairs. Components are found by alternating star
 operations on checkpointed links.
 
-Defined results: null or wordless texts have the fingerprint zero and link like others; repeated rows are
-kept; a component of which all ids are null has a null id; an empty table gives no rows.
+Defined results: null or wordless texts have the fingerprint zero and link like others; texts of any length are read whole (a
+task holds one, its words and eight bytes for each shingle); repeated rows are kept by ``near_duplicates``; a component of
+which all ids are null has a null id; ties of ids fall by the text's hash; an empty table gives no rows; other columns, of any
+name, are ignored or kept as they are.
 """
 
 from __future__ import annotations
@@ -22,14 +25,13 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from .common import arrow_schema, checkpoint, chunks, text_bytes
+from .common import arrow_schema, checkpoint, chunks, join_hot, text_bytes
 
 RADIUS = 4
 SHINGLE_WORDS = 4
 SEED = 42
-#: Of radius + 2 bands two are always equal: with radius 4, 15 keys of 20 to 22 bits.
-BLOCK = 2048
-
+#: Rows of a bucket that are compared as one block, and the most rows that a bucket should have on average.
+BLOCK, BUCKET = 2048, 512
 
 #: Near copies of a stage on word shingles: five words, Jaccard similarity. Texts that agree on all minima of a band may be near
 #: copies (of similarity 0.8: 0.9996 of the pairs); their fingerprints are compared within WIDE bits (0.8 is 10 bits on
@@ -212,9 +214,15 @@ def _group_links(group: np.ndarray, fp: np.ndarray, first: np.ndarray, radius: i
     return a, b
 
 
-def links(distinct: DataFrame, radius: int = RADIUS, block: int = BLOCK) -> DataFrame:
+def clean_bands(rows: int, radius: int = RADIUS) -> int:
+    """How many bands, of as many and ``radius`` more, a key has: two, three or four, so that buckets have BUCKET rows at most on average."""
+    return next((c for c in (2, 3) if rows <= BUCKET << 64 * c // (radius + c)), 4)
+
+
+def links(distinct: DataFrame, radius: int = RADIUS, block: int = BLOCK, clean: int | None = None) -> DataFrame:
     """(a, b): links whose components are those of all pairs of ``distinct.fp`` within the radius."""
-    masks = band_masks(radius + 2, 2)
+    clean = clean or clean_bands(distinct.count(), radius)
+    masks = band_masks(radius + clean, clean)
     signed = lambda m: m - (1 << 64) if m >> 63 else m
     keyed = distinct.select("fp", F.posexplode(F.array(*[F.col("fp").bitwiseAND(F.lit(signed(m))) for m in masks])).alias("band", "part"))
     # a bucket over ``block`` rows becomes pairs of blocks, each a group of its own
@@ -265,12 +273,14 @@ def components(edges: DataFrame, max_rounds: int = 60) -> DataFrame:
     for _ in range(max_rounds):
         # large star: larger neighbours go to the smallest of the neighbourhood
         near = both.select("v", "u").union(both.select(F.col("u").alias("v"), F.col("v").alias("u")))
-        least = near.groupBy("v").agg(F.least(F.min("u"), F.col("v")).alias("m"))
-        large = near.where("u > v").join(least, "v").select(F.col("u").alias("v"), F.col("m").alias("u")).distinct()
+        larger = F.count_if(F.col("u") > F.col("v")).alias("n")
+        least = checkpoint(near.groupBy("v").agg(F.least(F.min("u"), F.col("v")).alias("m"), larger).where("n > 0"))
+        large = join_hot(both.select(F.col("u").alias("v"), F.col("v").alias("u")), least, ["v"], "n").select(F.col("u").alias("v"), F.col("m").alias("u"))
+        large = checkpoint(large.distinct())
         # small star: smaller neighbours and the node itself go to the smallest
-        low = large.groupBy("v").agg(F.min("u").alias("m"))
-        small = large.join(low, "v").select(F.col("u").alias("v"), F.col("m").alias("u")).where("v <> u").union(low.select("v", F.col("m").alias("u"))).distinct()
-        both = checkpoint(small)
+        low = checkpoint(large.groupBy("v").agg(F.min("u").alias("m"), F.count("*").alias("n")))
+        several = join_hot(large, low.where("n > 1"), ["v"], "n").select(F.col("u").alias("v"), F.col("m").alias("u")).where("v <> u")
+        both = checkpoint(several.union(low.select("v", F.col("m").alias("u"))).distinct())
         now = both.agg(F.count("*"), F.sum(F.xxhash64("v", "u").cast("decimal(38,0)"))).first()
         if tuple(now) == last:
             break
@@ -283,39 +293,54 @@ def components(edges: DataFrame, max_rounds: int = 60) -> DataFrame:
 def near_duplicates(docs: DataFrame, radius: int = RADIUS, words: int = SHINGLE_WORDS, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """doc_id, fingerprint (16 hex digits), component_id: the smallest doc_id reachable by links."""
     marked = checkpoint(fingerprints(docs, words, id_col, text_col))
-    classes = checkpoint(marked.groupBy("fp").agg(F.min("doc_id").alias("least")))
-    roots = components(links(classes.select("fp"), radius))
-    tied = classes.join(roots, classes.fp == roots.node, "left").select("fp", "least", F.coalesce("root", "fp").alias("root"))
-    # only classes that have links can share a root; the rest are their own component
-    linked = tied.groupBy("root").agg(F.min("least").alias("component_id"))
-    named = tied.join(linked, "root").select("fp", "component_id")
-    return marked.join(named, "fp").select("doc_id", F.lpad(F.lower(F.hex("fp")), 16, "0").alias("fingerprint"), "component_id")
+    classes = checkpoint(marked.groupBy("fp").agg(F.min("doc_id").alias("least"), F.count("*").alias("n")))
+    roots = checkpoint(components(links(classes.select("fp"), radius)))
+    # only classes that have links share a root; all others are their own component
+    linked = checkpoint(roots.unionByName(roots.select(F.col("root").alias("node"), "root").distinct()).withColumnRenamed("node", "fp").join(classes, "fp"))
+    least = checkpoint(linked.groupBy("root").agg(F.min("least").alias("component_id"), F.count("*").alias("classes")))
+    named = join_hot(linked.select("root", "fp", "n"), least, ["root"], "classes").select("fp", "component_id", "n")
+    alone = classes.join(linked.select("fp"), "fp", "left_anti").select("fp", F.col("least").alias("component_id"), "n")
+    ids = join_hot(marked, checkpoint(named.unionByName(alone)), ["fp"], "n")
+    return ids.select("doc_id", F.lpad(F.lower(F.hex("fp")), 16, "0").alias("fingerprint"), "component_id")
+
+
+#: Stands for a null doc_id where rows are matched.
+UNNAMED = -(1 << 63)
+
+
+def _named(docs: DataFrame) -> Column:
+    return F.coalesce(F.col("doc_id").cast("bigint"), F.lit(UNNAMED))
 
 
 def keep_one(docs: DataFrame, radius: int = RADIUS, words: int = SHINGLE_WORDS) -> DataFrame:
     """docs with one row of each component, the one with the smallest doc_id; of repeated rows one stays.
 
-    Rows are matched by a hash of doc_id and text, so only the hashes of the kept rows travel to the texts.
+    Rows are matched by doc_id and a hash of the text, so only the hashes of the kept rows travel to the texts.
     """
-    key = F.xxhash64("doc_id", "text")
-    marked = checkpoint(fingerprints(docs, words, row=key))
-    classes = checkpoint(marked.groupBy("fp").agg(F.min(F.struct(F.col("doc_id").isNull().alias("unnamed"), "doc_id", "row")).alias("least")))
+    marked = checkpoint(fingerprints(docs.withColumn("doc_id", _named(docs)), words, row=F.xxhash64("text")))
+    classes = checkpoint(marked.groupBy("fp").agg(_least()))
     roots = components(links(classes.select("fp"), radius))
     tied = classes.join(roots, classes.fp == roots.node, "left").select("least", F.coalesce("root", "fp").alias("root"))
-    return _rows_kept(docs, key, marked, tied)
+    return _rows_kept(docs, marked, tied)
+
+
+def _least() -> Column:
+    """The row of the smallest doc_id, unnamed ones last."""
+    return F.min(F.struct((F.col("doc_id") == UNNAMED).alias("unnamed"), "doc_id", "row")).alias("least")
 
 
-def _rows_kept(docs: DataFrame, key: Column, marked: DataFrame, tied: DataFrame) -> DataFrame:
+def _rows_kept(docs: DataFrame, marked: DataFrame, tied: DataFrame) -> DataFrame:
     """The rows of docs that are the least of tied's roots, each once."""
-    kept = tied.groupBy("root").agg(F.min("least").alias("least")).select(F.col("least.row").alias("_row"))
-    again = marked.groupBy("row").agg(F.count("*").alias("n")).where("n > 1").select(F.col("row").alias("_row"), F.lit(True).alias("_again"))
-    found = docs.withColumn("_row", key).join(kept.join(again, "_row", "left"), "_row")
-    once = found.where("_again is null").select(*docs.columns)
-    return once.unionByName(found.where("_again").dropDuplicates(["_row"]).select(*docs.columns))
+    again = marked.groupBy("doc_id", "row").agg(F.count("*").alias("n")).where("n > 1").select("doc_id", "row", F.lit(True).alias("again"))
+    kept = tied.groupBy("root").agg(F.min("least").alias("least")).select("least.doc_id", "least.row").join(again, ["doc_id", "row"], "left")
+    found = docs.select(F.struct(*docs.columns).alias("doc"), _named(docs).alias("doc_id"), F.xxhash64("text").alias("row")).join(kept, ["doc_id", "row"])
+    once = found.where("again is null").select("doc")
+    first = found.where("again").groupBy("doc_id", "row").agg(F.first("doc").alias("doc")).select("doc")
+    return once.unionByName(first).select(*[F.col(f"doc.`{c}`").alias(c) for c in docs.columns])
 
 
-def sketches(docs: DataFrame, row: Column, words: int = SIMILAR_WORDS) -> DataFrame:
-    """(doc_id, row, same, fp, bands): a hash of the set of shingles, the fingerprint, and a hash of the minima of each band."""
+def sketches(docs: DataFrame, words: int = SIMILAR_WORDS) -> DataFrame:
+    """(doc_id, row: a hash of the text, same, fp, bands): a hash of the set of shingles, the fingerprint, and a hash of the minima of each band."""
     schema = "doc_id long, row long, same long, fp long, bands array<long>"
     arrow = arrow_schema(docs.sparkSession, schema)
 
@@ -341,7 +366,7 @@ def sketches(docs: DataFrame, row: Column, words: int = SIMILAR_WORDS) -> DataFr
             flat = pa.ListArray.from_arrays(pa.array(range(0, BANDS * part.num_rows + 1, BANDS), pa.int32()), pa.array(bands.ravel().view("int64")))
             yield pa.RecordBatch.from_arrays([part.column(0), part.column(2), pa.array(same.view("int64")), pa.array(fp.view("int64")), flat.cast(arrow.types[4])], schema=arrow)
 
-    return text_bytes(docs, "doc_id", "text", row.alias("row")).mapInArrow(run, schema)
+    return text_bytes(docs.withColumn("doc_id", _named(docs)), "doc_id", "text", F.xxhash64("text").alias("row")).mapInArrow(run, schema)
 
 
 def similar_forest(sets: list[np.ndarray], fp: np.ndarray, split: int | None = None, similarity: float = SIMILAR) -> list[tuple[int, int]]:
@@ -370,23 +395,28 @@ def similar_forest(sets: list[np.ndarray], fp: np.ndarray, split: int | None = N
     return found
 
 
-def similar_links(docs: DataFrame, key: Column, classes: DataFrame, words: int = SIMILAR_WORDS, block: int = SIMILAR_BLOCK) -> DataFrame:
+def similar_links(docs: DataFrame, classes: DataFrame, words: int = SIMILAR_WORDS, block: int = SIMILAR_BLOCK) -> DataFrame:
     """(a, b) of classes' ``same``: links whose components are those of the similar pairs that share a band.
 
     Texts that share bands, over any number of steps, make a group; each text that is in one is sent to it once, or, if
-    the group has more than ``block``, to pairs of blocks. Classes have same, row, fp, bands.
+    the group has more than ``block``, to pairs of blocks. Classes have same, doc_id, row, n (rows of the table that
+    have both), fp, bands.
     """
     keyed = classes.select("same", F.explode("bands").alias("band"))
-    shared = keyed.groupBy("band").agg(F.min("same").alias("b"), F.count("*").alias("n")).where("n > 1").select("band", "b")
-    groups = checkpoint(components(keyed.join(shared, "band").select(F.col("same").alias("a"), "b")))
+    shared = checkpoint(keyed.groupBy("band").agg(F.min("same").alias("b"), F.count("*").alias("n")).where("n > 1"))
+    groups = checkpoint(components(join_hot(keyed, shared, ["band"], "n").select(F.col("same").alias("a"), "b")))
     groups = groups.unionByName(groups.select(F.col("root").alias("node"), "root").distinct())
     sizes = groups.groupBy("root").agg(F.count("*").alias("size"))
     cells = F.ceil(F.col("size") / block).cast("int")
     own = F.pmod(F.xxhash64("node"), cells.cast("bigint")).cast("int")
     pairs = F.transform(F.sequence(F.lit(0), cells - 1), lambda c: F.struct(F.least(own, c).alias("lo"), F.greatest(own, c).alias("hi")))
-    members = groups.join(sizes, "root").join(classes.select("same", "row", "fp"), F.col("node") == F.col("same")).select("root", own.alias("cell"), pairs.alias("pairs"), "same", "row", "fp")
-    texts = text_bytes(docs, "doc_id", "text", key.alias("row")).select("row", "body")
-    dealt = members.join(texts, "row").select("root", "cell", F.explode("pairs").alias("pair"), "same", "fp", "body")
+    sized = join_hot(groups, checkpoint(sizes), ["root"], "size")
+    members = sized.join(classes, F.col("node") == F.col("same")).select("root", own.alias("cell"), pairs.alias("pairs"), "same", "doc_id", "row", "n", "fp")
+    texts = docs.select(_named(docs).alias("doc_id"), F.xxhash64("text").alias("row"), F.col("text").cast("binary").alias("body"))
+    held = members.join(texts, ["doc_id", "row"])
+    # of repeated rows one is sent
+    held = held.where("n = 1").unionByName(held.where("n > 1").groupBy("same").agg(*[F.first(c).alias(c) for c in held.columns if c != "same"]).select(*held.columns))
+    dealt = held.select("root", "cell", F.explode("pairs").alias("pair"), "same", "fp", "body")
     dealt = dealt.select("root", "pair.lo", "pair.hi", (F.col("cell") == F.col("pair.lo")).alias("first"), "same", "fp", "body")
     schema = "a long, b long"
     arrow = arrow_schema(docs.sparkSession, schema)
@@ -409,10 +439,10 @@ def similar_links(docs: DataFrame, key: Column, classes: DataFrame, words: int =
 
 def keep_one_similar(docs: DataFrame, words: int = SIMILAR_WORDS) -> DataFrame:
     """docs with one row, the one with the smallest doc_id, of each component of texts whose sets of shingles are SIMILAR."""
-    key = F.xxhash64("doc_id", "text")
-    marked = checkpoint(sketches(docs, key, words))
-    least = F.min(F.struct(F.col("doc_id").isNull().alias("unnamed"), "doc_id", "row")).alias("least")
-    classes = checkpoint(marked.groupBy("same").agg(least, F.first("fp").alias("fp"), F.first("bands").alias("bands")))
-    roots = components(similar_links(docs, key, classes.select("same", "least.row", "fp", "bands"), words))
+    marked = checkpoint(sketches(docs, words))
+    rows = marked.groupBy("same", "doc_id", "row").agg(F.count("*").alias("n"), F.first("fp").alias("fp"), F.first("bands").alias("bands"))
+    least = F.min(F.struct((F.col("doc_id") == UNNAMED).alias("unnamed"), "doc_id", "row", "n")).alias("least")
+    classes = checkpoint(rows.groupBy("same").agg(least, F.first("fp").alias("fp"), F.first("bands").alias("bands")))
+    roots = components(similar_links(docs, classes.select("same", "least.doc_id", "least.row", "least.n", "fp", "bands"), words))
     tied = classes.join(roots, classes.same == roots.node, "left").select("least", F.coalesce("root", "same").alias("root"))
-    return _rows_kept(docs, key, marked, tied)
+    return _rows_kept(docs, marked, tied)
