@@ -6,7 +6,8 @@ token may be inside a secret, and only candidates may begin one (a hard constrai
 outside, so the chain falls apart at them, and as features look no further than the cut tokens, decoding the cuts
 equals decoding the whole text. Tags are begin, inside and outside; weights are trained on a bounded sample of
 cuts, half of them from documents with base spans, tagged by the values in these spans, with the name before the value hidden
-in part of the copies so that shape and file features have to speak too. Viterbi decoding adds the spans that no
+in part of the copies so that shape and file features have to speak too; words without a name that look like such values
+(characters and length) are left out, as they may be secrets. Viterbi decoding adds the spans that no
 base pattern covers.
 
 Defined results: a null or empty text has no spans and the digest of the empty string; texts of any length are read whole;
@@ -351,7 +352,17 @@ def learn(found: DataFrame, sample: int = SAMPLE_CUTS) -> Field | None:
                 inside = [(s - c["start"], e - c["start"]) for s, e in values if s < c["start"] + c["last"] and e > c["start"] + c["first"]]
                 cuts.append((c["text"], c["first"], c["last"], r["file"], inside))
         halves.append(cuts[: sample // 2])
-    return train(halves[0] + halves[1]) if any(c[4] for c in halves[0]) else None
+    cuts = halves[0] + halves[1]
+    known = {look(t) for cut in cuts for s, e, t, m in marked(*cut[:3]) if m == 2 and any(lo < e and s < hi for lo, hi in cut[4])}
+    if not known:
+        return None
+    # what looks like a known value but has no name may be a secret: it is no example of either
+    clear = [cut for cut in cuts if cut[4] or not any(m == 2 and look(t) in known for _, _, t, m in marked(*cut[:3]))]
+    return train(clear)
+
+
+def look(token: str) -> tuple[str, int]:
+    return charset(token), min(len(token), 48) // 4
 
 
 def find_secrets(docs: DataFrame, sample: int = SAMPLE_CUTS, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:

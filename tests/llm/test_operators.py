@@ -131,8 +131,9 @@ def test_field_learns_unnamed_secrets():
     samples = []
     for _ in range(150):
         s = "".join(rng.choice(list("0123456789abcdef"), 20))
-        samples.append((f"said the password={s} now", "f", [(9, 18 + len(s))]))
-        samples.append((f"mail joe{rng.integers(10, 99)}smith@site99ab.org soon", "f", []))
+        samples.append((f"said the password={s} now", 9, 18 + len(s), "f", [(18, 18 + len(s))]))
+        mail = f"mail joe{rng.integers(10, 99)}smith@site99ab.org soon"
+        samples.append((mail, 5, len(mail) - 5, "f", []))
     field = secrets.train(samples)
     text = "value 4f9a0c77e1b2d3a48899 here"
     assert [text[s:e] for s, e in secrets.decode(field, text, "f")] == ["4f9a0c77e1b2d3a48899"]
@@ -143,7 +144,7 @@ def test_field_viterbi_equals_enumeration():
 
     rng = np.random.default_rng(5)
     field = secrets.Field(rng.normal(size=(secrets.BUCKETS, 3)), np.array([[0.3, 0.1, -1], [0.2, 0, 0.1], [0, -1e9, 0.5]]))
-    rows = [[1, 2], None, [3], [4, 5], [6]]
+    rows = [([1, 2], True), None, ([3], True), ([4, 5], False), ([6], True)]
     score = field.scores(rows)
     best = max(itertools.product(range(3), repeat=5), key=lambda p: sum(score[i, t] for i, t in enumerate(p)) + sum(field.moves[a, b] for a, b in zip(p, p[1:])))
     assert field.viterbi(rows) == "".join(secrets.TAGS[t] for t in best)
@@ -170,8 +171,54 @@ def test_forward_recursion_is_exact():
             log += np.log10(c)
             a = (a / c) @ move * emit[x]
         assert abs(log + np.log10(a.sum()) - g) < 1e-3
-    starts, moves, emissions = hmm.expected_counts([t for t in texts if len(t)], *(x.astype("float32") for x in (start, move, emit)))
-    assert abs(emissions.sum() - sum(map(len, texts))) < 0.05 and abs(starts.sum() - 4) < 0.01
+
+
+def brute_counts(texts, start, move, emit):
+    """Expected counts and log10 likelihood by forward and backward sums over one text at a time."""
+    starts, moves, emissions, total = np.zeros(len(start)), np.zeros_like(move), np.zeros(emit.T.shape), 0.0
+    for x in texts:
+        n = len(x)
+        a, b, c = np.zeros((n, len(start))), np.ones((n, len(start))), np.zeros(n)
+        for t in range(n):
+            a[t] = (start if t == 0 else a[t - 1] @ move) * emit[x[t]]
+            c[t] = a[t].sum()
+            a[t] /= c[t]
+        for t in range(n - 2, -1, -1):
+            b[t] = move @ (emit[x[t + 1]] * b[t + 1]) / c[t + 1]
+        starts += a[0] * b[0]
+        for t in range(n):
+            emissions[:, x[t]] += a[t] * b[t]
+            if t:
+                moves += a[t - 1][:, None] * move * (emit[x[t]] * b[t] / c[t])
+        total += np.log10(c).sum()
+    return starts, moves, emissions, total
+
+
+def test_counts_are_those_of_whole_texts(monkeypatch):
+    rng = np.random.default_rng(0)
+    k, s = 3, 7
+    model = rng.dirichlet(np.ones(k)), rng.dirichlet(np.ones(k), k), np.ascontiguousarray(rng.dirichlet(np.ones(s), k).T)
+    texts = [rng.integers(0, s, n).astype("uint16") for n in (1, 5, 200, 63, 64, 65, 128, 700, 3000)]
+    expected = brute_counts(texts, *model)
+    for group in (hmm.GROUP, 4):
+        monkeypatch.setattr(hmm, "GROUP", group)
+        for found, known in zip(hmm.expected_counts([*texts, texts[0][:0]], *(x.astype("float32") for x in model)), expected):
+            assert np.abs(found - known).max() < 1e-3
+
+
+def test_rounds_never_lower_the_likelihood():
+    """The likelihood with the smoothing counts as a prior rises in every round."""
+    rng = np.random.default_rng(1)
+    texts = [np.r_[rng.integers(0, 4, n), rng.integers(4, 9, n)].astype("uint16") for n in rng.integers(1, 90, 60)]
+    unigram = np.bincount(np.concatenate(texts), minlength=9) + 0.5
+    unigram /= unigram.sum()
+    start, emit = rng.dirichlet(np.ones(2)), rng.dirichlet(np.ones(9), 2).T
+    model, last = tuple(x.astype("float32") for x in (start, rng.dirichlet(np.ones(2), 2), np.ascontiguousarray(emit))), -np.inf
+    for _ in range(12):
+        *counts, likelihood = hmm.expected_counts(texts, *model)
+        prior = np.log10(model[0]).sum() + 0.5 * np.log10(model[1]).sum() + hmm.PRIOR * (unigram[:, None] * np.log10(model[2])).sum()
+        assert likelihood + prior > last - 1e-2
+        last, model = likelihood + prior, hmm.maximise(*counts, unigram)
 
 
 def test_scores_base(spark):
@@ -356,3 +403,223 @@ def test_near_dedup_stage_equals_all_pairs(spark, monkeypatch):
         monkeypatch.setattr(simhash.similar_links, "__defaults__", (simhash.SIMILAR_WORDS, block))
         kept = {r["doc_id"] for r in corpus_pipeline.one_of_each_group(spark, frame(spark, texts), "").select("doc_id").collect()}
         assert kept == set(root)
+
+
+def test_ids_of_long_white_space_and_of_all_documents(spark, small):
+    import public_tokenizers
+    from tokenizers import Tokenizer
+
+    tokenizer, words = Tokenizer.from_file(public_tokenizers.path("byte_bpe_50k.json")), packing.WordTokenizer()
+    texts = [" " * 1_000_000, "\n" * 1_000_000 + "a", " \n\t" * 100_000 + "b c", "a" * 300_000 + " b", "x<|endoftext|>  y <|endoftext|>", "\x1c\x1d a \x85 b\u3000c"]
+    texts += [r["text"] or "" for r in spark.read.parquet(f"{small}/documents.parquet").collect()]
+    for text in texts:
+        assert np.frombuffer(words.ids(text), dtype="<u4").tolist() == tokenizer.encode(text, add_special_tokens=False).ids
+    rows = packing.pack_documents(frame(spark, [" " * 1_000_000, "\n" * 300_000])).collect()
+    assert sum(r["length"] for r in rows) == 1_000_001 + len(tokenizer.encode("\n" * 300_000, add_special_tokens=False).ids) + 1
+
+
+def test_bounded_samples_and_joins(spark):
+    from pyspark.sql import functions as F
+
+    from robustcenters.llm import common
+
+    rows = spark.range(20_000).withColumn("h", F.xxhash64("id"))
+    every = sorted((r["h"] >> 1 & 0x7FFFFFFFFFFFFFFF, r["id"]) for r in rows.collect())
+    assert {r["id"] for r in common.lowest_hashes(rows, F.col("h"), 500, "id").collect()} == {i for _, i in every[:500]}
+    assert common.lowest_hashes(rows.limit(0), F.col("h"), 5, "id").count() == 0
+    big = spark.range(3000).select(F.when(F.col("id") < 1000, 0).otherwise(F.col("id") % 700).alias("k"), "id")
+    small = big.groupBy("k").agg(F.count("*").alias("n"), F.min("id").alias("least")).where("k <> 5")
+    assert sorted(map(tuple, common.join_hot(big, small, ["k"], "n", 20).collect())) == sorted(map(tuple, big.join(small, "k").collect()))
+
+
+def brute_line_dedup(rows, least):
+    """Kept texts by comparing every pair of lines and of segments, with the parser's cuts but no hashes."""
+    import itertools
+
+    parsed = line_dedup.Parsed([(t or "").encode() for _, t in rows])
+    data = parsed.data.tobytes()
+    token = [data[s:e] for s, e in zip(parsed.starts.tolist(), parsed.ends.tolist())]
+    masked = [b"<*>" if any(48 <= c <= 57 for c in t) else t for t in token]
+    keys = []
+    for text, unit, long, lo, hi in zip(*(x.tolist() for x in (parsed.text, parsed.unit, parsed.long, parsed.first, parsed.last))):
+        if long:
+            keys.append((text, unit, {tuple(token[lo:hi])}))
+            continue
+        own = masked[lo:hi]
+        if sum(t != b"<*>" for t in own) < line_dedup.MIN_TOKENS:
+            continue
+        head, rest = tuple(own[: line_dedup.DEPTH]), own[line_dedup.DEPTH :]
+        count = len(rest) if len(rest) < 4 else min(len(rest), line_dedup.FIELDS)
+        fields = [tuple(rest[len(rest) * k // count : len(rest) * (k + 1) // count]) for k in range(count)]
+        closed = sum(any(t != b"<*>" for t in f) for f in fields)
+        most = 0 if len(rest) < 4 else max(0, min(int((1 - line_dedup.SIMILARITY) * count + 1e-9), closed - line_dedup.LEAST_CLOSED))
+        keys.append((text, unit, {(len(own), most, head, opened, tuple(f for k, f in enumerate(fields) if k not in opened)) for opened in itertools.combinations(range(count), most)}))
+    order = [-(1 << 63) if i is None else i for i, _ in rows]
+    have = collections.defaultdict(set)
+    for text, _, templates in keys:
+        for t in templates:
+            have[t].add(order[text])
+    gone = collections.defaultdict(list)
+    for text, unit, templates in keys:
+        if any(len(have[t]) >= least and min(have[t]) < order[text] for t in templates):
+            gone[text].append(unit)
+    return {i: None if t is None else line_dedup.without([t.encode()], [gone[k]])[0].decode() for k, (i, t) in enumerate(rows)}
+
+
+def test_line_dedup_equals_brute_force(spark, monkeypatch):
+    rng = np.random.default_rng(6)
+    words = ["".join(x) for x in rng.choice(list("abcdefghij"), (400, 5))]
+    passage = " ".join(rng.choice(words, 80))
+    texts = ["The cat is black", "The cat is white", "a b c p q r y z", "a b c p q k l m", "a b c t u r n o", None, "", " \n \n", "1 2 3 4 5 6", "9 8 7 6 5 4"]
+    texts += ["login from 10.0.0.1 at 12:00 by joe", "login from 10.9.9.9 at 13:59 by ann", "x " + passage + " zz", passage, "more\n" + " ".join(rng.choice(words, 30)) + " " + passage]
+    for n in (4, 7, 9, 14, 24, 25, 60, 400):
+        for _ in range(3):
+            base = rng.choice(words, n)
+            for changes in (0, 0, 1, 2, n // 6):
+                copy = base.copy()
+                copy[rng.choice(n, changes, replace=False)] = "changed%d" % rng.integers(1, 4) if rng.random() < 0.5 else "other"
+                texts.append(" ".join(copy) + "\n" + " ".join(rng.choice(words, 9)))
+    rows = [(None if k == 30 else k, t) for k, t in enumerate(texts)]
+    docs = spark.createDataFrame([(*r, "u", 1) for r in rows], "doc_id long, text string, _row string, gone int")
+    for least, frequent in ((2, 2000), (3, 10**9)):
+        monkeypatch.setattr(line_dedup, "FREQUENT", frequent)
+        found = {r["doc_id"]: r["text"] for r in line_dedup.drop_recurring_lines(docs, least).collect()}
+        assert found == brute_line_dedup(rows, least)
+        assert least > 2 or sum(found[i] != t for i, t in rows) > 30
+    assert found[0] == texts[0] and found[1] == texts[1] and found[2] == texts[2]
+    assert line_dedup.drop_recurring_lines(docs).columns == docs.columns
+
+
+def test_passages_inside_lines_go(spark):
+    """Of passages of 60 words in the middle of other lines no copy keeps a run of 50 words, the first document keeps all."""
+    rng = np.random.default_rng(8)
+    say = lambda n: " ".join("t%d" % x for x in rng.integers(0, 10**6, n))
+    passages = [say(60) for _ in range(40)]
+    texts = [say(40) + " " + p + " " + say(50) for p in passages for _ in range(3)] + [say(150) for _ in range(20)]
+    kept = [r["text"] for r in line_dedup.drop_recurring_lines(frame(spark, texts)).orderBy("doc_id").collect()]
+    assert kept[120:] == texts[120:] and [kept[k] for k in range(0, 120, 3)] == [texts[k] for k in range(0, 120, 3)]
+    runs = [set(zip(*[p.split()[k:] for k in range(50)])) for p in passages]
+    copies = [k for k in range(120) if k % 3]
+    assert not any(runs[k // 3] & set(zip(*[kept[k].split()[j:] for j in range(50)])) for k in copies)
+
+
+def test_cuts_decode_like_whole_texts():
+    rng = np.random.default_rng(3)
+    field = secrets.Field(rng.normal(size=(secrets.BUCKETS, 3)), np.array([[0.3, 0.1, -1], [0.2, 0, 0.1], [0, -1e9, 0.5]]))
+    pieces = ["password", "=", ":", "'", '"', " ", "  ", "\n", ".", "ab12cd34ef", "deadBeefCafe", "word", "é", "12345678", "key=", "foo_bar-9/zz", "!!", "a.b.c9d8e7f6g5.h"]
+    total = 0
+    for _ in range(2000):
+        text = "".join(rng.choice(pieces, int(rng.integers(1, 60))))
+        whole = secrets.decode(field, text, "f")
+        assert whole == [(at + s, at + e) for at, lo, hi, cut in secrets.snippets(text.encode()) for s, e in secrets.decode(field, cut, "f", lo, hi)]
+        total += len(whole)
+    assert total > 1000
+
+
+def test_base_spans_equal_the_patterns(spark, small):
+    import hashlib
+    import re
+
+    assign = re.compile(r"(password|passwd|secret|token|api_?key)[\"']?\x20*[:=]\x20*[\"']?([A-Za-z0-9+/_.=-]+)", re.I | re.A)
+    kinds = {"assign": (assign, 6), "access": (re.compile("AKIA[A-Z0-9]+"), 20), "hex": (re.compile("[0-9a-f]+"), 24)}
+    rng = np.random.default_rng(2)
+    pieces = ["password", "PASSWD", "api_key", "apikey", "secret", "=", " : ", "'", '"', " ", "\n", "é", "AKIA", "ABCDEF0123456789", "ab12cd34", "deadbeef" * 3, ".", "tokEn", "ſecret", "x"]
+    texts = ["".join(rng.choice(pieces, int(n))) for n in rng.integers(0, 40, 300)] + [None, "", "a" * 200_000 + " token=abcdef1"]
+    texts += [r["text"] for r in spark.read.parquet(f"{small}/documents.parquet").collect()]
+    rows = {r["doc_id"]: r for r in secrets.find_secrets(frame(spark, texts)).collect()}
+    for i, text in enumerate(texts):
+        spans = [(m.start(), k, m.end()) for k, (name, (p, least)) in enumerate(kinds.items()) for m in p.finditer(text or "") if len(m[2] if name == "assign" else m[0]) >= least]
+        base = ",".join(f"{list(kinds)[k]}:{s}:{e}" for s, k, e in sorted(spans))
+        assert rows[i]["base_sha256"] == hashlib.sha256(base.encode()).hexdigest()
+        assert [rows[i][f"n_{n}"] for n in kinds] == [sum(k == j for _, k, _ in spans) for j in range(3)]
+        assert set(filter(None, base.split(","))) <= set(rows[i]["spans"].split(","))
+
+
+def test_unnamed_secrets_are_found(spark):
+    """Trained on named values, the field finds values without a name that no base pattern covers; nothing else."""
+    rng = np.random.default_rng(4)
+    say = lambda n: " ".join(rng.choice(WORDS, n))
+    value = lambda: "".join(rng.choice(list("0123456789abcdef"), 20))
+    texts = [f"{say(30)} token = \"{value()}\" {say(20)} call 555-{rng.integers(1000, 9999)} {say(9)}" for _ in range(200)]
+    hidden = [(say(30), value(), say(20) + f" call 555-{rng.integers(1000, 9999)} paid 4{rng.integers(10**14, 10**15)} today") for _ in range(100)]
+    rows = {r["doc_id"]: r for r in secrets.find_secrets(frame(spark, [*texts, *(f"{a} given \"{v}\" {b}" for a, v, b in hidden)])).collect()}
+    found = [rows[200 + k]["spans"] for k in range(100)]
+    places = [f"crf:{len(a) + 8}:{len(a) + 28}" for a, _, _ in hidden]
+    right = sum(p in f.split(",") for p, f in zip(places, found))
+    assert right >= 95 and sum(len(f.split(",")) for f in found if f) <= right + 5
+    assert all(rows[k]["n_crf"] == 0 and rows[k]["n_assign"] == 1 for k in range(200))
+
+
+def test_fingerprints_equal_brute_force(spark):
+    import xxhash
+
+    texts = [*TEXTS, " ".join(WORDS), "Ünï CODE Abc", "a\x0bb\x0cc d e"]
+    rows = {r["doc_id"]: r["fingerprint"] for r in simhash.near_duplicates(frame(spark, texts)).collect()}
+    for i, text in enumerate(texts):
+        words = (text or "").encode().lower().split()
+        grams = [b" ".join(words[k : k + 4]) for k in range(max(1, len(words) - 3))] if words else []
+        hashes = [xxhash.xxh64_intdigest(g, 42) for g in grams]
+        assert rows[i] == "%016x" % sum(1 << b for b in range(64) if 2 * sum(h >> b & 1 for h in hashes) > len(hashes))
+
+
+def test_links_do_not_depend_on_bands(spark):
+    rng = np.random.default_rng(9)
+    base = rng.integers(0, 1 << 62, 30, dtype="int64")
+    fps = np.unique([int(b) ^ sum(1 << int(k) for k in rng.choice(62, n, replace=False)) for b in base for n in (0, 1, 3, 4, 4, 5)])
+    df = spark.createDataFrame([(int(x),) for x in fps], "fp long")
+    found = [sorted(map(tuple, simhash.components(simhash.links(df, 4, 2048, clean)).collect())) for clean in (2, 3, 4)]
+    assert found[0] and found[0] == found[1] == found[2]
+    assert [simhash.clean_bands(n) for n in (0, 10**8, 10**10, 10**13)] == [2, 2, 3, 4]
+
+
+def test_dedup_keeps_columns_and_repeated_rows(spark):
+    rows = [(1, "one two three four five six", "a", 7), (1, "one two three four five six", "b", 8), (None, "one two three four five six", "c", 9), (None, "quite another text of eight words in all", "d", 1), (3, None, "e", 2), (4, "", "f", 3)]
+    docs = spark.createDataFrame(rows, "doc_id long, text string, _row string, row int")
+    for f in (simhash.keep_one, simhash.keep_one_similar):
+        kept = f(docs)
+        assert kept.columns == docs.columns
+        assert sorted((r["doc_id"] or 0, r["text"] or "") for r in kept.collect()) == [(0, "quite another text of eight words in all"), (1, "one two three four five six"), (3, "")]
+
+
+def test_shards_equal_brute_force_and_prune(spark, small):
+    import math
+
+    docs = spark.read.parquet(f"{small}/documents.parquet").unionByName(frame(spark).drop("body"))
+    rows = hilbert.shard_documents(docs).collect()
+    plain = sorted((r["doc_id"], len((r["text"] or "").encode()) + 8, zlib.crc32((r["text"] or "").encode())) for r in docs.collect())
+    assert plain == sorted((r["doc_id"], r["size"], r["text_crc32"]) for r in rows)
+    ordered = sorted(rows, key=lambda r: (r["hilbert_index"], r["doc_id"], r["size"], r["text_crc32"]))
+    each, more = divmod(len(rows), 24)
+    places = [(s, k) for s in range(24) for k in range(each + (s < more))]
+    assert [(r["shard"], r["slot"]) for r in ordered] == places and all(r["law"] == "rows" and r["grown_shard"] is None for r in rows)
+    sources = collections.defaultdict(set)
+    lang = {r["doc_id"]: (r["source"], r["lang"]) for r in docs.collect()}
+    for r in rows:
+        sources[lang[r["doc_id"]][1]].add(r["shard"])
+    assert sum(len(x) for x in sources.values()) < 0.8 * 24 * len(sources)  # shards leave out languages
+    assert hilbert.shard_documents(docs.select("doc_id", "text")).count() == len(rows)
+    assert math.isfinite(each)
+
+
+def test_empty_tables_nulls_and_repeated_rows(spark, small):
+    """All operators: no rows of no rows; null ids, repeated rows and a very long text do no harm."""
+    from robustcenters.llm import cotraining, toxicity
+
+    labels, bench = (spark.read.parquet(f"{small}/{t}.parquet") for t in ("labels", "benchmark"))
+    rows = [(None, "some text of a few words here"), (None, "some text of a few words here"), (5, "some text of a few words here"), (5, "some text of a few words here"), (6, None), (7, "w" * 2_000_000), (8, "long words " * 100_000), (None, None)]
+    docs = spark.createDataFrame([(*r, "en", None, None, "x") for r in rows], "doc_id long, text string, lang string, source string, n_chars long, row string")
+    runs = {
+        "packing": lambda d: packing.pack_documents(d).select("doc_id").distinct(),
+        "secrets": secrets.find_secrets,
+        "rules": quality_rules.judge,
+        "quality": lambda d: cotraining.score(d, labels),
+        "lines": line_dedup.drop_recurring_lines,
+        "hmm": lambda d: hmm.score_documents(d, states=2, frequent=50),
+        "toxicity": lambda d: toxicity.score(d, labels),
+        "shards": hilbert.shard_documents,
+        "simhash": simhash.near_duplicates,
+    }
+    for name, run in runs.items():
+        assert run(docs.limit(0)).count() == 0, name
+        assert run(docs).count() == (5 if name == "packing" else len(rows)), name
+    assert decontamination.find_leaks(docs, bench).count() == 0
