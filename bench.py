@@ -39,7 +39,7 @@ def main() -> None:
     try:
         from robustcenters.llm.queries import QUERIES as more
 
-        runs |= {n: f for n, f in more.items() if n.startswith(("op3_", "op9_", "op10_"))}
+        runs |= {n: f for n, f in more.items() if n.startswith("op")}
     except ImportError:
         pass
     took = {}

@@ -7,6 +7,8 @@ import math
 DIRECT_CAP = math.sqrt(3 / 8) - 0.5
 REFINED_CAP = (math.sqrt(3) - math.sqrt(2)) / 6
 LOCAL_SEARCH_RATIO = 274
+#: Seedings of which an approximation ratio is proven on every run; for the others beta is an assumption.
+SEEDING_RATIO = {"exact": 1.0}
 
 
 def kprime(k: int, z: int, center_factor: float = 1.0, outlier_factor: float = 1.0) -> int:

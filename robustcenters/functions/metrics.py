@@ -23,6 +23,8 @@ class Metric:
     is_metric: bool
     expr: Callable[[Column, Column], Column]
     block: Callable[[np.ndarray, np.ndarray], np.ndarray]
+    #: The column against a vector that is known, coordinate by coordinate; without higher-order functions.
+    near: Callable[[Column, list[float]], Column] | None = None
 
     def load(self, column: pa.Array | pa.ChunkedArray) -> np.ndarray:
         """Payload column to a numpy array of n entries (objects for strings and sets)."""
@@ -45,6 +47,13 @@ def _fold(a: Column, b: Column, term) -> Column:
     return F.aggregate(F.zip_with(a, b, term), F.lit(0.0), lambda s, x: s + x)
 
 
+def _sum(terms) -> Column:
+    total = F.lit(0.0)
+    for x in terms:
+        total = total + x
+    return total
+
+
 def _chunked(step: Callable[[np.ndarray, np.ndarray], np.ndarray]) -> Callable[[np.ndarray, np.ndarray], np.ndarray]:
     """Keep the (rows, columns, dimension) temporary of a vector kernel under about 32 MB."""
 
@@ -57,19 +66,37 @@ def _chunked(step: Callable[[np.ndarray, np.ndarray], np.ndarray]) -> Callable[[
     return run
 
 
-def _objects(one: Callable) -> Callable[[np.ndarray, np.ndarray], np.ndarray]:
-    return lambda a, b: np.array([[one(x, y) for y in b] for x in a], dtype="float64").reshape(len(a), len(b))
+def _distinct(step: Callable[[list, list], np.ndarray]) -> Callable[[np.ndarray, np.ndarray], np.ndarray]:
+    """A kernel on the distinct values of both sides, spread to all pairs."""
+
+    def run(a: np.ndarray, b: np.ndarray) -> np.ndarray:
+        x, i = np.unique(a.astype(str), return_inverse=True)
+        y, j = np.unique(b.astype(str), return_inverse=True)
+        return step(x.tolist(), y.tolist()).reshape(len(x), len(y))[np.ix_(i, j)]
+
+    return run
 
 
-def edit_distance(x: str, y: str) -> int:
-    if x == y:
-        return 0
-    row = list(range(len(y) + 1))
-    for i, c in enumerate(x, 1):
-        last, row[0] = row[0], i
-        for j, d in enumerate(y, 1):
-            last, row[j] = row[j], min(row[j] + 1, row[j - 1] + 1, last + (c != d))
-    return row[-1]
+def edit_distances(a: list[str], b: list[str]) -> np.ndarray:
+    """Levenshtein distances of every string of a to all of b at once.
+
+    A row of the usual table is taken for all of b together; the step along a row is a running minimum.
+    """
+    sizes = np.array([len(y) for y in b], dtype="int64")
+    width = int(sizes.max(initial=0))
+    codes = np.full((len(b), width), -1, dtype="int64")
+    for j, y in enumerate(b):
+        codes[j, : len(y)] = [ord(c) for c in y]
+    along, out = np.arange(width + 1), np.zeros((len(a), len(b)))
+    for i, x in enumerate(a):
+        row = np.tile(along, (len(b), 1))
+        for at, c in enumerate(x, 1):
+            new = np.empty_like(row)
+            new[:, 0] = at
+            new[:, 1:] = np.minimum(row[:, 1:] + 1, row[:, :-1] + (codes != ord(c)))
+            row = np.minimum.accumulate(new - along, axis=1) + along
+        out[i] = row[np.arange(len(b)), sizes]
+    return out
 
 
 def jaccard(x: frozenset, y: frozenset) -> float:
@@ -153,15 +180,15 @@ def weighted_sum(name: str, parts: list[tuple[float, "Metric", list[int]]]) -> M
 
 
 ABS = Metric("abs", "scalar", True, lambda a, b: F.abs(a - b), lambda a, b: np.abs(a[:, None] - b[None]))
-L1 = Metric("l1", "vector", True, lambda a, b: _fold(a, b, lambda x, y: F.abs(x - y)), _chunked(lambda a, b: np.abs(a[:, None] - b[None]).sum(-1)))
-L2 = Metric("l2", "vector", True, lambda a, b: F.sqrt(_fold(a, b, lambda x, y: (x - y) * (x - y))), _chunked(lambda a, b: np.sqrt(((a[:, None] - b[None]) ** 2).sum(-1))))
-LINF = Metric("linf", "vector", True, lambda a, b: F.array_max(F.zip_with(a, b, lambda x, y: F.abs(x - y))), _chunked(lambda a, b: np.abs(a[:, None] - b[None]).max(-1)))
+L1 = Metric("l1", "vector", True, lambda a, b: _fold(a, b, lambda x, y: F.abs(x - y)), _chunked(lambda a, b: np.abs(a[:, None] - b[None]).sum(-1)), lambda a, c: _sum(F.abs(a[i] - x) for i, x in enumerate(c)))
+L2 = Metric("l2", "vector", True, lambda a, b: F.sqrt(_fold(a, b, lambda x, y: (x - y) * (x - y))), _chunked(lambda a, b: np.sqrt(((a[:, None] - b[None]) ** 2).sum(-1))), lambda a, c: F.sqrt(_sum((a[i] - x) * (a[i] - x) for i, x in enumerate(c))))
+LINF = Metric("linf", "vector", True, lambda a, b: F.array_max(F.zip_with(a, b, lambda x, y: F.abs(x - y))), _chunked(lambda a, b: np.abs(a[:, None] - b[None]).max(-1)), lambda a, c: F.greatest(*[F.abs(a[i] - x) for i, x in enumerate(c)], F.lit(0.0)))
 SQUARED = Metric("squared_l2", "vector", False, lambda a, b: _fold(a, b, lambda x, y: (x - y) * (x - y)), _chunked(lambda a, b: ((a[:, None] - b[None]) ** 2).sum(-1)))
 ANGULAR = Metric("angular", "vector", True, lambda a, b: F.acos(_cos(a, b)), lambda a, b: np.arccos(np.clip(_unit(a) @ _unit(b).T, -1, 1)))
 COSINE = Metric("one_minus_cos", "vector", False, lambda a, b: 1 - _cos(a, b), lambda a, b: 1 - np.clip(_unit(a) @ _unit(b).T, -1, 1))
 HAMMING = Metric("hamming", "vector", True, lambda a, b: F.size(F.filter(F.zip_with(a, b, lambda x, y: x != y), lambda x: x)).cast("double"), _chunked(lambda a, b: (a[:, None] != b[None]).sum(-1).astype("float64")))
-DISCRETE = Metric("discrete", "string", True, lambda a, b: (a != b).cast("double"), _objects(lambda x, y: float(x != y)))
-EDIT = Metric("edit", "string", True, lambda a, b: F.levenshtein(a, b).cast("double"), _objects(edit_distance))
+DISCRETE = Metric("discrete", "string", True, lambda a, b: (a != b).cast("double"), _distinct(lambda x, y: (np.array(x)[:, None] != np.array(y)[None]).astype("float64")))
+EDIT = Metric("edit", "string", True, lambda a, b: F.levenshtein(a, b).cast("double"), _distinct(edit_distances))
 JACCARD = Metric(
     "jaccard", "set", True,
     lambda a, b: F.when(F.size(F.array_union(a, b)) == 0, 0.0).otherwise(1 - F.size(F.array_intersect(a, b)) / F.size(F.array_union(a, b))),
@@ -179,6 +206,17 @@ BALANCE_AND_PLACE = weighted_sum("balance_and_place", [(1.0, ABS, [0]), (1.0, UL
 REGISTRY = {m.name: m for m in (ABS, L1, L2, LINF, SQUARED, ANGULAR, COSINE, HAMMING, DISCRETE, EDIT, JACCARD, HAVERSINE, ULTRA, BALANCE_AND_PLACE)}
 
 
+def lookup(name: str, table: list[list[float]], most: int = 1000) -> Metric:
+    """A metric given by its matrix; payloads are indices. Small matrices only, as the table becomes a literal."""
+    matrix = np.array(table, dtype="float64")
+    if matrix.shape != (len(table), len(table)) or len(table) > most or (matrix != matrix.T).any() or matrix.diagonal().any() or (matrix < 0).any():
+        raise ValueError("need a symmetric matrix without negative entries, zero on the diagonal, of a bounded size")
+    triangle = bool((matrix[:, None, :] <= matrix[:, :, None] + matrix[None, :, :] + 1e-9).all()) if len(table) <= 200 else False
+    flat = F.lit(matrix.ravel().tolist())
+    at = lambda a, b: F.element_at(flat, (a * len(table) + b + 1).cast("int"))
+    return Metric(name, "scalar", triangle, at, lambda a, b: matrix[np.ix_(a.astype("int64"), b.astype("int64"))])
+
+
 def get(metric: str | Metric) -> Metric:
     return metric if isinstance(metric, Metric) else REGISTRY[metric]
 
@@ -189,9 +227,28 @@ def register(metric: Metric) -> Metric:
     return metric
 
 
-def axiom_violations(points: DataFrame, metric: str | Metric, slack: float = 1e-9) -> DataFrame:
-    """One row (identity, symmetry, triangle): violations over all triples of a small point table (a sample of P)."""
+#: Points of which all triples are looked at.
+MOST_TRIPLES = 400
+
+
+def axiom_violations_along(points: DataFrame, metric: str | Metric, slack: float = 1e-9) -> DataFrame:
+    """One row (identity, symmetry, triangle, triples): violations over a whole table, each point with the next two ids."""
     m = get(metric)
+    one, two = (points.select((F.col("pid") - n).alias("pid"), F.col("pt").alias(c)) for n, c in ((1, "y"), (2, "z")))
+    d = lambda a, b: m.expr(F.col(a), F.col(b))
+    t = points.select("pid", F.col("pt").alias("x")).join(one, "pid").join(two, "pid")
+    t = t.select(d("x", "x").alias("xx"), d("x", "y").alias("xy"), d("y", "x").alias("yx"), d("y", "z").alias("yz"), d("x", "z").alias("xz"))
+    return t.agg(
+        F.count_if(F.abs("xx") > 1e-6).alias("identity"), F.count_if(F.abs(F.col("xy") - F.col("yx")) > slack).alias("symmetry"),
+        F.count_if(F.col("xz") > F.col("xy") + F.col("yz") + slack).alias("triangle"), F.count("*").alias("triples"),
+    )
+
+
+def axiom_violations(points: DataFrame, metric: str | Metric, slack: float = 1e-9) -> DataFrame:
+    """One row (identity, symmetry, triangle): violations over all triples of a small point table, whose size is checked."""
+    m, n = get(metric), points.count()
+    if n > MOST_TRIPLES:
+        raise ValueError(f"{n} points are over {MOST_TRIPLES}; use axiom_violations_along")
     a, b = points.select(F.col("pid").alias("i"), F.col("pt").alias("x")), points.select(F.col("pid").alias("j"), F.col("pt").alias("y"))
     d = a.crossJoin(b).select("i", "j", m.expr(F.col("x"), F.col("y")).alias("d"))
     there, back, on = d, d.select(F.col("j").alias("i"), F.col("i").alias("j"), F.col("d").alias("r")), d.select(F.col("i").alias("j"), F.col("j").alias("h"), F.col("d").alias("e"))

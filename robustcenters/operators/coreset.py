@@ -18,10 +18,13 @@ from pyspark.sql.types import DoubleType, IntegerType, LongType, StructField, St
 
 from ..functions import bounds
 from ..functions.metrics import Metric, get
+from ..shared import checkpoint
 from ..sources import points as sources
 from . import kernels
+from .cost import MAX_BROADCAST
 
-MAX_BROADCAST = 256 << 20
+#: Rows that one task compacts; more are an error.
+MAX_COMPACT = 200_000
 
 
 def _payload(points: DataFrame):
@@ -63,8 +66,11 @@ def seed(points: DataFrame, k: int, method: str = "dsq", metric="l2", power: int
     return narrow(points).groupBy("part_id").applyInArrow(run, schema)
 
 
-def seed_rounds(points: DataFrame, k: int, metric="l2", power: int = 2, rounds: int = 5, seed_value: int = 42) -> list[tuple[int, object]]:
-    """Oversampled seeding across the cluster for large k: every round keeps points by a hash against their share of the cost."""
+def seed_rounds(points: DataFrame, k: int, metric="l2", power: int = 2, rounds: int = 5, seed_value: int = 42, reduce: bool = False) -> list[tuple[int, object]]:
+    """Oversampled seeding across the cluster for large k: every round keeps points by a hash against their share of the cost.
+
+    With reduce, k of them are kept by weighted seeding on the mass that each one is nearest to.
+    """
     from . import cost
 
     first = points.orderBy(F.xxhash64("pid", F.lit(seed_value))).limit(1).collect()[0]
@@ -76,8 +82,18 @@ def seed_rounds(points: DataFrame, k: int, metric="l2", power: int = 2, rounds:
         if phi <= 0:
             break
         u = F.pmod(F.xxhash64("pid", F.lit(seed_value + r)), F.lit(1 << 30)) / float(1 << 30)
-        picked = a.where(u < F.lit(2.0 * k) * w * F.pow("dist", F.lit(power)) / phi).select("pid", "pt").limit(20 * k).collect()
+        # 2k rows are expected; an excess that chance does not explain is an error and never cut
+        picked = a.where(u < F.lit(2.0 * k) * w * F.pow("dist", F.lit(power)) / phi).select("pid", "pt").limit(20 * k + 1000).collect()
+        if len(picked) == 20 * k + 1000:
+            raise ValueError("far more seeds were drawn than expected; are ids repeated?")
         chosen.update({p["pid"]: p["pt"] for p in picked})
+    if reduce and len(chosen) > k:
+        m, rows = get(metric), sorted(chosen.items())
+        mass = {r["cid"]: r["w"] for r in cost.assign(points, rows, metric).groupBy("cid").agg(F.sum(w).alias("w")).collect()}
+        pts = m.load(pa.array([p for _, p in rows], to_arrow_schema(points.select("pt").schema)[0].type))
+        weights = np.array([float(mass.get(i, 0)) for i, _ in rows])
+        kept = kernels.SEEDINGS["swap"](m, pts, weights, k, power, _rng(seed_value, 0))
+        return [rows[i] for i in kept.tolist()]
     return sorted(chosen.items())
 
 
@@ -105,12 +121,26 @@ def _balls(table: pa.Table, picked: np.ndarray, mass: np.ndarray) -> pa.Table:
     return pa.table([out["pid"], out["pt"], pa.array(mass), out["part_id"]], names=["pid", "pt", "w", "part_id"])
 
 
+def _bytes_of(points: DataFrame):
+    """About how many bytes a payload takes."""
+    kind = dict(points.dtypes)["pt"]
+    if kind == "string":
+        return F.octet_length("pt")
+    if kind == "array<string>":
+        return F.aggregate("pt", F.lit(0), lambda s, x: s + F.octet_length(x) + 4)
+    return 8 * F.size("pt") if kind.startswith("array") else F.lit(8)
+
+
 def reference_table(points: DataFrame, references) -> pa.Table:
     """References on the driver as an Arrow table; their bytes are checked, since they grow with k, z and the parts."""
     if isinstance(references, pa.Table):
         table = references
     elif isinstance(references, DataFrame):
-        table = references.select("pid", "pt").toArrow()
+        references = checkpoint(references.select("pid", "pt"))
+        size = references.agg(F.coalesce(F.sum(16 + _bytes_of(references)), F.lit(0))).first()[0]
+        if size > MAX_BROADCAST:
+            raise ValueError(f"references of about {size} bytes are over the broadcast limit; use the refined variant, more levels or a larger gamma")
+        table = references.toArrow()
     else:
         rows = sorted(references)
         table = pa.table({"pid": pa.array([r[0] for r in rows], pa.int64()), "pt": pa.array([r[1] for r in rows], to_arrow_schema(points.select("pt").schema)[0].type)})
@@ -164,7 +194,11 @@ def compact(first: DataFrame, k: int, delta: float, radius: float, seeding: str
         picked, mass, _, _ = kernels.ball_cover(m, pts, near, w, delta, radius)
         return _balls(table, picked, mass)
 
-    return first.select("pid", "pt", "w", group.cast("int").alias("part_id")).groupBy("part_id").applyInArrow(run, schema)
+    grouped = first.select("pid", "pt", "w", group.cast("int").alias("part_id"))
+    largest = grouped.groupBy("part_id").count().agg(F.max("count")).first()[0] or 0
+    if largest > MAX_COMPACT:
+        raise ValueError(f"{largest} rows are too many for one task; add levels, use a smaller fan_in or a larger gamma")
+    return grouped.groupBy("part_id").applyInArrow(run, schema)
 
 
 @dataclass
@@ -183,16 +217,6 @@ class Coreset:
     stats: dict = field(default_factory=dict)
 
 
-def checkpoint(df: DataFrame) -> DataFrame:
-    """Reliable checkpoint in the folder that the cluster names (a temporary one in tests)."""
-    import tempfile
-
-    context = df.sparkSession.sparkContext
-    if context.getCheckpointDir() is None:
-        context.setCheckpointDir(context.getConf().get("spark.checkpoint.dir") or tempfile.mkdtemp(prefix="checkpoints-"))
-    return df.checkpoint(eager=True)
-
-
 def build(
     points: DataFrame, k: int, z: int, gamma: float, variant: str = "refined", metric="l2", power: int = 2, beta: float = 1.0, parts: int | None = None,
     seeding: str = "dsq", scheme: str = "hash", pick: str = "lowest_id", strict: bool = False, center_factor: float = 1.0, outlier_factor: float = 1.0,
@@ -202,7 +226,8 @@ def build(
     m = get(metric)
     if strict and not m.is_metric:
         raise ValueError(f"{m.name} lacks the triangle inequality")
-    certified = bounds.check_gamma(gamma, variant, strict, power) and m.is_metric
+    proven = seeding in bounds.SEEDING_RATIO and beta >= bounds.SEEDING_RATIO[seeding]
+    certified = bounds.check_gamma(gamma, variant, strict, power) and m.is_metric and proven
     k_prime = bounds.kprime(k, z, center_factor, outlier_factor)
     delta = bounds.delta(gamma, beta, power)
     if parts is None:

@@ -97,6 +97,15 @@ def seed_exact(m, points, w, k, power, rng, limit: int = 200_000):
 SEEDINGS = {"first_ids": seed_first, "farthest": seed_farthest, "dsq": seed_dsq, "swap": seed_swap, "exact": seed_exact}
 
 
+def _takers(m: Metric, points: np.ndarray, covered: np.ndarray, centers: np.ndarray, threshold: np.ndarray, block: int = 256) -> np.ndarray:
+    """Of each of ``centers``, how many of ``covered`` it takes; the others have 0."""
+    out = np.zeros(len(points), dtype="int64")
+    for at in range(0, len(covered), block):
+        own = covered[at : at + block]
+        out[centers] += (distances(m, points[own], points[centers]) <= threshold[own][:, None]).sum(axis=0)
+    return out
+
+
 def ball_cover(m: Metric, points: np.ndarray, reference: np.ndarray, w: np.ndarray, delta: float, radius: float, pick: str = "lowest_id", rng=None) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
     """Greedy balls: (picked indices, their masses, proxy index of every point, proxy distance).
 
@@ -113,12 +122,9 @@ def ball_cover(m: Metric, points: np.ndarray, reference: np.ndarray, w: np.ndarr
     place = np.empty(n, dtype="int64")
     place[order] = np.arange(n)
     alive = alive[np.argsort(place[alive], kind="stable")]
+    takes = _takers(m, points, alive, alive, threshold) if pick == "densest" else None
     while len(alive):
-        q = alive[0]
-        if pick == "densest" and len(alive) > 1:
-            probe = alive[: min(len(alive), 32)]
-            taken = (distances(m, points[alive], points[probe]) <= threshold[alive][:, None]).sum(axis=0)
-            q = probe[int(taken.argmax())]
+        q = alive[0] if takes is None else alive[int(takes[alive].argmax())]
         d = distances(m, points[alive], points[q : q + 1])[:, 0]
         take = (d <= threshold[alive]) | (alive == q)
         own = alive[take]
@@ -126,4 +132,6 @@ def ball_cover(m: Metric, points: np.ndarray, reference: np.ndarray, w: np.ndarr
         picked.append(int(q))
         mass.append(int(w[own].sum()))
         alive = alive[~take]
+        if takes is not None and len(alive):
+            takes -= _takers(m, points, own, alive, threshold)
     return np.array(picked, dtype="int64"), np.array(mass, dtype="int64"), proxy, at

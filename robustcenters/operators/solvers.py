@@ -64,7 +64,7 @@ def exhaustive(d, w, k, z, power=2, max_combinations=300_000, **_) -> Solution:
     return _finish(d, w, chosen, z, power, {"trials": math.comb(n, k), "alpha": 1})
 
 
-def starting_centers(d, w, k, init="first_ids", seed=42) -> list[int]:
+def starting_centers(d, w, k, init="first_ids", seed=42, power=2) -> list[int]:
     n = len(w)
     k = min(k, n)
     if init == "first_ids":
@@ -73,7 +73,7 @@ def starting_centers(d, w, k, init="first_ids", seed=42) -> list[int]:
     chosen = [0] if init == "farthest" else [int(rng.choice(n, p=w / w.sum()))]
     while len(chosen) < k:
         near = d[:, chosen].min(axis=1)
-        mass = near if init == "farthest" else w * near**2
+        mass = near if init == "farthest" else w * near**power
         if mass.sum() <= 0:
             break
         chosen.append(int(mass.argmax()) if init == "farthest" else int(rng.choice(n, p=mass / mass.sum())))
@@ -119,49 +119,52 @@ def best_swap(d, w, centers, z, power, stats: dict) -> list[int]:
 
 
 def trimmed_swap(d, w, k, z, power=2, eps=0.1, init="first_ids", max_passes=60, outlier_cap: int | None = None, seed=42, **_) -> Solution:
-    """Local search whose outlier mass only grows (ratio 274, k centers).
+    """Local search whose outlier mass only grows (ratio 274 with k centers, if it ends by itself).
 
     A pass takes the cheaper of two options: swaps on the inliers and z more units forgotten (masses add up, they do
-    not overlap), or the best swap over everything, joined with its own z farthest units (the larger mass counts).
+    not overlap), or the best swap over everything, joined with its own z farthest units (the larger mass counts). It is
+    kept if the cost falls by the factor 1 - eps / k against the pair that the pass began with. With ``outlier_cap`` only
+    options within it are open, the swaps with the mass as it was among them; if a better one was closed, no ratio is reported.
     """
-    stats: dict = {"alpha": 274, "passes": 0, "trials": 0, "moves": 0}
-    centers = starting_centers(d, w, k, init, seed)
+    stats: dict = {"alpha": 274, "passes": 0, "trials": 0, "moves": 0, "stopped_by_cap": False}
+    centers = starting_centers(d, w, k, init, seed, power)
     out = trim(d[:, centers].min(axis=1), w, z)
     value = lambda c, o: float(((w - o) * d[:, c].min(axis=1) ** power).sum())
     now, stop = value(centers, out), eps / max(1, k)
-    stats["start_cost"], stats["stopped_by_cap"] = now, False
+    stats["start_cost"], settled = now, False
     for _ in range(max_passes):
         swapped = swap_search(d, w - out, centers, power, stop, stats)
         more = out + trim(np.where(w > out, d[:, swapped].min(axis=1), -1), w - out, z)
         moved = best_swap(d, w, swapped, z, power, stats)
         joined = np.maximum(out, trim(d[:, moved].min(axis=1), w, z))
-        options = [(value(swapped, more), swapped, more), (value(moved, joined), moved, joined)]
-        cost, new, mass = min(options, key=lambda x: x[0])
-        kept = value(swapped, out)
-        if kept <= now:
-            centers, now = swapped, kept
-        if not cost < (1 - stop) * now:
+        options = [(value(swapped, more), swapped, more), (value(moved, joined), moved, joined), (value(swapped, out), swapped, out)]
+        able = [x for x in options if outlier_cap is None or x[2].sum() <= max(outlier_cap, out.sum())]
+        cost, new, mass = min(able, key=lambda x: x[0])
+        stats["stopped_by_cap"] |= len(able) < len(options) and min(x[0] for x in options) < (1 - stop) * min(now, cost)
+        settled = not cost < (1 - stop) * now
+        if cost <= now:
+            centers, out, now = new, mass, cost
+        if settled:
             break
-        if outlier_cap is not None and mass.sum() > outlier_cap:
-            stats["stopped_by_cap"] = True
-            break
-        centers, out, now = new, mass, cost
         stats["passes"] += 1
     # for the final centers the farthest units of the same mass are never dearer
     out = trim(d[:, centers].min(axis=1), w, int(out.sum()))
     stats["outlier_mass"] = int(out.sum())
+    if stats["stopped_by_cap"] or not settled:
+        stats["alpha"] = None
     return _finish(d, w, centers, z, power, stats, out)
 
 
-def multi_swap(d, w, k, z, power=2, eps=0.5, swap_size=2, max_moves=200, candidate_cap=400, allow=("swap", "add", "drop"), init="dsq", seed=42, **_) -> Solution:
+def multi_swap(d, w, k, z, power=2, eps=0.5, swap_size=2, max_moves=200, candidate_cap: int | None = 400, allow=("swap", "add", "drop"), init="dsq", seed=42, dimension: float | None = None, **_) -> Solution:
     """Exchange up to swap_size centers for up to swap_size points under the trimmed cost, with at most (1 + eps) k centers.
 
-    Single exchanges are searched in full; larger ones over the points with the largest share of the cost (a cap,
-    which makes the search a heuristic and is reported).
+    Single exchanges are searched in full; larger ones over the points with the largest share of the cost, as many as
+    ``candidate_cap`` allows (a heuristic, reported), or over all with candidate_cap=None. The ratio 1 + eps is reported only for
+    a search that was not capped, ended by itself and exchanged as many points as the doubling dimension, if given, asks for.
     """
     n, most = len(w), max(k, math.floor((1 + eps) * k))
-    stats: dict = {"alpha": 1 + eps, "trials": 0, "moves": 0, "capped": False}
-    centers = starting_centers(d, w, k, init, seed)
+    stats: dict = {"alpha": None, "trials": 0, "moves": 0, "capped": False, "settled": False}
+    centers = starting_centers(d, w, k, init, seed, power)
     now, stop = trimmed_cost(d, w, centers, z, power), eps / max(1, k)
     stats["start_cost"] = now
 
@@ -174,7 +177,7 @@ def multi_swap(d, w, k, z, power=2, eps=0.5, swap_size=2, max_moves=200, candida
                 kind = "add" if not q else "drop" if not u else "swap"
                 if q == u == 0 or kind not in allow or not 1 <= len(centers) - q + u <= most:
                     continue
-                pool = wide if u <= 1 and q <= 1 else rank[: max(2, int(candidate_cap ** (1 / max(1, u))))]
+                pool = wide if u <= 1 and q <= 1 or candidate_cap is None else rank[: max(2, int(candidate_cap ** (1 / max(1, u))))]
                 stats["capped"] |= len(pool) < len(wide)
                 for gone in combinations(range(len(centers)), q):
                     rest = [c for i, c in enumerate(centers) if i not in gone]
@@ -190,22 +193,25 @@ def multi_swap(d, w, k, z, power=2, eps=0.5, swap_size=2, max_moves=200, candida
                 best, found = c, option
                 break
         if found is None:
+            stats["settled"] = True
             break
         centers, now = found, best
         stats["moves"] += 1
+    if stats["settled"] and not stats["capped"] and dimension is not None and swap_size >= max(1.0, dimension / eps) ** (dimension / eps):
+        stats["alpha"] = 1 + eps
     return _finish(d, w, centers, z, power, stats)
 
 
 def plain_then_trim(d, w, k, z, power=2, eps=0.1, init="dsq", seed=42, **_) -> Solution:
     """Swaps that ignore outliers, trimmed at the end."""
     stats: dict = {"alpha": None}
-    centers = swap_search(d, w, starting_centers(d, w, k, init, seed), power, eps / max(1, k), stats)
+    centers = swap_search(d, w, starting_centers(d, w, k, init, seed, power), power, eps / max(1, k), stats)
     return _finish(d, w, centers, z, power, stats)
 
 
 def alternate(d, w, k, z, power=2, iterations=30, init="dsq", seed=42, **_) -> Solution:
     """Trim, then move every center to its cluster's medoid; the cost never rises."""
-    centers = starting_centers(d, w, k, init, seed)
+    centers = starting_centers(d, w, k, init, seed, power)
     now, stats = trimmed_cost(d, w, centers, z, power), {"alpha": None, "passes": 0}
     for _ in range(iterations):
         table = d[:, centers]

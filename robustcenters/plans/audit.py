@@ -72,11 +72,46 @@ def outlier_pr(flagged: DataFrame, planted: DataFrame) -> DataFrame:
     return both.agg(hits.alias("hits"), f.alias("flagged"), p.alias("planted"), F.try_divide(hits, f).alias("precision"), F.try_divide(hits, p).alias("recall"))
 
 
-def spread(points: DataFrame, metric) -> DataFrame:
-    """One row: largest over smallest positive distance of a small table."""
+def _nodes(plan):
+    """All operators of a physical plan, through adaptive stages."""
+    name = plan.getClass().getSimpleName()
+    if name == "AdaptiveSparkPlanExec":
+        yield from _nodes(plan.executedPlan())
+        return
+    yield name, plan
+    if name.endswith("QueryStageExec"):
+        yield from _nodes(plan.plan())
+        return
+    children = plan.children()
+    for i in range(children.size()):
+        yield from _nodes(children.apply(i))
+
+
+def exchanges(df: DataFrame) -> int:
+    """Shuffles in the physical plan of a table."""
+    return sum(name == "ShuffleExchangeExec" for name, _ in _nodes(df._jdf.queryExecution().executedPlan()))
+
+
+def engine_cost(df: DataFrame) -> dict[str, int]:
+    """Runs a table's plan and reads from it how many shuffles it had and how many rows and bytes they wrote."""
+    df._jdf.queryExecution().executedPlan().execute().count()
+    out = {"exchanges": 0, "rows_shuffled": 0, "bytes_shuffled": 0}
+    for name, plan in _nodes(df._jdf.queryExecution().executedPlan()):
+        if name == "ShuffleExchangeExec":
+            metrics = plan.metrics()
+            out["exchanges"] += 1
+            out["rows_shuffled"] += metrics.apply("shuffleRecordsWritten").value()
+            out["bytes_shuffled"] += metrics.apply("shuffleBytesWritten").value()
+    return out
+
+
+def spread(points: DataFrame, metric, most: int = 20_000) -> DataFrame:
+    """One row: largest over smallest positive distance of a small table, whose size is checked."""
     from ..functions.metrics import get
 
-    m = get(metric)
+    m, n = get(metric), points.count()
+    if n > most:
+        raise ValueError(f"all pairs of {n} points are over the limit of {most}")
     pairs = points.select(F.col("pid").alias("i"), F.col("pt").alias("x")).join(points.select(F.col("pid").alias("j"), F.col("pt").alias("y")), F.col("i") < F.col("j"))
     d = pairs.select(m.expr(F.col("x"), F.col("y")).alias("d")).where("d > 0")
     return d.agg((F.max("d") / F.min("d")).alias("spread"))

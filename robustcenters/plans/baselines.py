@@ -18,7 +18,7 @@ def sequential(points: DataFrame, spec: RobustSpec) -> Model:
     return model_of(cs.with_weight(points).select("pid", "pt", "w"), spec)
 
 
-def per_part_outlier_solver(points: DataFrame, spec: RobustSpec, parts: int = 4) -> Model:
+def per_part_outlier_solver(points: DataFrame, spec: RobustSpec, parts: int = 4, solver: str = "trimmed_swap", **options) -> Model:
     """An outlier solver in every part; its weighted centers and kept outliers are solved again."""
     import numpy as np
     import pyarrow as pa
@@ -32,7 +32,7 @@ def per_part_outlier_solver(points: DataFrame, spec: RobustSpec, parts: int = 4)
         table = table.sort_by("pid")
         w, pts = table["w"].to_numpy(), m.load(table["pt"])
         d = np.round(m.block(pts, pts), 9)
-        s = solvers.alternate(d, w, min(spec.k, len(w)), min(spec.z, int(w.sum()) - 1), spec.power)
+        s = solvers.SOLVERS[solver](d, w, min(spec.k, len(w)), min(spec.z, int(w.sum()) - 1), spec.power, **({"init": "dsq", "outlier_cap": 2 * spec.z} | options))
         mass = np.bincount(d[:, s.centers].argmin(axis=1), weights=w - s.outliers, minlength=len(s.centers)).astype("int64")
         total = s.outliers.copy()
         total[s.centers] += mass
@@ -48,12 +48,12 @@ def outlier_blind_coreset(points: DataFrame, spec: RobustSpec) -> Model:
     return model_of(build(points, replace(spec, z=0)).rows, spec)
 
 
-def compare_variants(points: DataFrame, spec: RobustSpec) -> list[tuple[str, int, int, float]]:
-    """(variant, reference rows, coreset rows, solution cost) of direct, refined and one-round."""
+def compare_variants(points: DataFrame, spec: RobustSpec) -> list[tuple[str, int, int, float, int]]:
+    """(variant, reference rows, coreset rows, solution cost, mass) of direct, refined and one-round."""
     out = []
     for variant in ("direct", "refined", "one_round"):
         c = build(points, replace(spec, variant=variant))
-        out.append((variant, c.reference.num_rows if c.reference is not None else 0, c.rows.count(), model_of(c.rows, spec).cost))
+        out.append((variant, c.reference.num_rows if c.reference is not None else 0, c.rows.count(), model_of(c.rows, spec).cost, int(c.rows.agg(F.sum("w")).first()[0])))
     return out
 
 

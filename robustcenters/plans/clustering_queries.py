@@ -11,6 +11,7 @@ from pyspark.sql import functions as F
 from ..functions import bounds, metrics
 from ..operators import coreset as cs
 from ..operators import cost, solvers
+from ..shared import shared_folder
 from ..sources import points as src
 from . import audit, baselines
 from . import oracles as o
@@ -64,11 +65,11 @@ for _m in ("l2", "angular"):
 _WORDS = "SELECT {id} AS pid, list_distinct([v for v in string_split_regex(lower(text), '[^a-z]+') if v <> '']) AS x, 1 AS w FROM {t}"
 
 
-@query("WITH " + o.assigned(_WORDS.format(id="doc_id", t="documents") + " WHERE doc_id < 200", "SELECT pid AS cid, x AS cx FROM (" + _WORDS.format(id="item_id", t="benchmark") + ") WHERE pid < 20", "jaccard") + " SELECT pid, cid, round(dist, 6) AS dist FROM a WHERE dist < 1")
+@query("WITH " + o.assigned(_WORDS.format(id="doc_id", t="documents"), "SELECT pid AS cid, x AS cx FROM (" + _WORDS.format(id="item_id", t="benchmark") + ")", "jaccard") + " SELECT pid, cid, round(dist, 6) AS dist FROM a WHERE dist < 1")
 def assign_foreign_centers(spark, sf_dir):
-    """Benchmark passages as centers of documents; the id range is the fixture's (SQL side has no set join)."""
-    docs = src.doc_words(spark, sf_dir).where("pid < 200")
-    centers = src.from_words(src.table(spark, sf_dir, "benchmark"), "item_id", "text").where("pid < 20")
+    """Benchmark passages as centers of all documents."""
+    docs = src.doc_words(spark, sf_dir)
+    centers = src.from_words(src.table(spark, sf_dir, "benchmark"), "item_id", "text")
     return rounded(cost.assign(docs, centers, "jaccard").where("dist < 1").select("pid", "cid", "dist"), "dist")
 
 
@@ -142,12 +143,16 @@ def range_cut_threshold(spark, sf_dir):
 
 # exact optima and inequalities
 
-_S = o.SUPPLIER + " WHERE s_suppkey <= 40"
+_S = o.SUPPLIER
 
 
-def _suppliers(spark, sf_dir, n=40):
-    """Brute force is cubic, so its fixture is the first suppliers."""
-    return src.supplier_scalar(spark, sf_dir).where(F.col("pid") <= n)
+def _suppliers(spark, sf_dir):
+    return src.supplier_scalar(spark, sf_dir)
+
+
+def _nations(spark, sf_dir):
+    """All nations by their customers' mean balance, of mass one: 25 points at any size, for what is cubic or worse."""
+    return src.nation_balances(spark, sf_dir).select("pid", "pt")
 
 
 @query(o.optimum(_S, "abs", 2, 0))
@@ -172,15 +177,15 @@ def opt_kmedian_bruteforce(spark, sf_dir):
 
 @query(o.checks("more centers are no worse"))
 def extra_centers_inequality(spark, sf_dir):
-    p = _suppliers(spark, sf_dir, 14)
+    p = _nations(spark, sf_dir)
     a, b = cost.optimum(p, 3, 0, "abs").first()["cost"], cost.optimum(p, 2, 1, "abs").first()["cost"]
     return ok_rows(spark, {"more centers are no worse": a <= b + 1e-9})
 
 
-@query("SELECT 0::BIGINT AS violations, count(*) AS triples FROM supplier a, supplier b, supplier c WHERE a.s_suppkey <= 20 AND b.s_suppkey <= 20 AND c.s_suppkey <= 20")
+@query(f"SELECT 0::BIGINT AS violations, count(*) AS triples FROM ({o.NATIONS}) a, ({o.NATIONS}) b, ({o.NATIONS}) c")
 def relaxed_triangle_violations(spark, sf_dir):
-    """d(p,r)^2 <= (1+c) d(p,q)^2 + (1+1/c) d(q,r)^2 on all triples of a small set, for several c."""
-    p = _suppliers(spark, sf_dir, 20)
+    """d(p,r)^2 <= (1+c) d(p,q)^2 + (1+1/c) d(q,r)^2 on all triples of nations, for several c."""
+    p = _nations(spark, sf_dir)
     a, b, c = (p.select(F.col("pid").alias(f"i{n}"), F.col("pt").alias(f"x{n}")) for n in "abc")
     sq = lambda x, y: F.pow(F.col(x) - F.col(y), F.lit(2))
     bad = F.lit(False)
@@ -189,23 +194,65 @@ def relaxed_triangle_violations(spark, sf_dir):
     return a.crossJoin(b).crossJoin(c).agg(F.count_if(bad).alias("violations"), F.count("*").alias("triples"))
 
 
-def _axioms(metric, make):
+def _axioms(metric, make, along):
     def run(spark, sf_dir):
-        return metrics.axiom_violations(make(spark, sf_dir), metric)
+        return (metrics.axiom_violations_along if along else metrics.axiom_violations)(make(spark, sf_dir), metric() if callable(metric) else metric)
 
     return run
 
 
-for _name, _make in {
-    "l1": lambda s, d: src.lineitem_lattice(s, d).where("pid <= 305").select("pid", "pt"),
-    "l2": lambda s, d: src.lineitem_lattice(s, d).where("pid <= 305").select("pid", "pt"),
-    "linf": lambda s, d: src.lineitem_lattice(s, d).where("pid <= 305").select("pid", "pt"),
-    "edit": lambda s, d: src.part_names(s, d).select("pid", "pt"),
-    "jaccard": lambda s, d: src.doc_words(s, d).where("pid < 40"),
-    "ultra": lambda s, d: src.from_columns(src.table(s, d, "nation"), "n_nationkey", ["n_nationkey", "n_regionkey"]),
-    "angular": lambda s, d: src.embeddings(s, d).where("pid < 30"),
-}.items():
-    query("SELECT 0::BIGINT AS identity, 0::BIGINT AS symmetry, 0::BIGINT AS triangle", f"metric_axioms_{_name}")(_axioms(_name, _make))
+def _lattice(spark, sf_dir):
+    return src.lineitem_lattice(spark, sf_dir).select("pid", "pt")
+
+
+def _places(spark, sf_dir):
+    """Invented coordinates of nations: latitude and longitude by key."""
+    k = F.col("n_nationkey")
+    return src.from_columns(src.table(spark, sf_dir, "nation"), "n_nationkey", [k * 7 % 180 - 90, k * 29 % 360 - 180])
+
+
+def _region_hops():
+    """Regions on a ring, the distance being the steps between two."""
+    return metrics.lookup("region_ring", [[min(abs(i - j), 5 - abs(i - j)) for j in range(5)] for i in range(5)])
+
+
+#: Metric, points and whether every point meets the next two ids (whole large tables) or all triples are taken (small tables).
+_AXIOMS = {
+    "l1": ("l1", _lattice, True),
+    "l2": ("l2", _lattice, True),
+    "linf": ("linf", _lattice, True),
+    "l3": (lambda: metrics.lp(3), _lattice, True),
+    "hamming": ("hamming", _lattice, True),
+    "edit": ("edit", lambda s, d: src.part_names(s, d).select("pid", "pt"), False),
+    "discrete": ("discrete", lambda s, d: src.part_names(s, d).select("pid", "pt"), False),
+    "jaccard": ("jaccard", src.doc_words, True),
+    "ultra": ("ultra", lambda s, d: src.from_columns(src.table(s, d, "nation"), "n_nationkey", ["n_nationkey", "n_regionkey"]), False),
+    "haversine": ("haversine", _places, False),
+    "lookup": (_region_hops, lambda s, d: src.from_scalar(src.table(s, d, "region"), "r_regionkey", "r_regionkey"), False),
+    "angular": ("angular", src.embeddings, True),
+}
+_NEXT_TWO = "SELECT 0::BIGINT AS identity, 0::BIGINT AS symmetry, 0::BIGINT AS triangle, count(*) AS triples FROM ({p}) a JOIN ({p}) b ON b.pid = a.pid + 1 JOIN ({p}) c ON c.pid = a.pid + 2"
+_ALONG = {"jaccard": "SELECT doc_id AS pid FROM documents", "angular": o.EMBEDDINGS}
+for _name, (_metric, _make, _along) in _AXIOMS.items():
+    query(_NEXT_TWO.format(p=_ALONG.get(_name, o.LATTICE)) if _along else "SELECT 0::BIGINT AS identity, 0::BIGINT AS symmetry, 0::BIGINT AS triangle", f"metric_axioms_{_name}")(_axioms(_metric, _make, _along))
+
+
+@query("WITH " + o.assigned("SELECT s_suppkey AS pid, s_nationkey % 5 AS x, 1 AS w FROM supplier", "SELECT r_regionkey AS cid, r_regionkey AS cx FROM region WHERE r_regionkey IN (0, 2)", "abs").replace("abs(x - cx)", "least(abs(x - cx), 5 - abs(x - cx))") + " SELECT pid, cid, CAST(dist AS DOUBLE) AS dist FROM a")
+def assign_lookup(spark, sf_dir):
+    """Nearest of two regions on a ring that is given by its matrix."""
+    p = src.from_scalar(src.table(spark, sf_dir, "supplier"), "s_suppkey", F.col("s_nationkey") % 5)
+    return cost.assign(p, [(0, 0.0), (2, 2.0)], _region_hops()).select("pid", "cid", "dist")
+
+
+@query("SELECT CAST(event_id AS BIGINT) AS pid FROM events")
+def partition_random(spark, sf_dir):
+    """Every point is in one of the parts, which differ by seed."""
+    p = src.events_scalar(spark, sf_dir)
+    a, b = (src.partition(p, 5, "random", seed) for seed in (1, 2))
+    moved = a.join(b.select("pid", F.col("part_id").alias("other")), "pid")
+    if not moved.agg(F.max("part_id") < 5).first()[0] or moved.where("part_id <> other").isEmpty():
+        raise ValueError("parts do not depend on the seed")
+    return moved.select("pid")
 
 
 @query(o.checks("squared distance breaks the triangle", "one minus cosine is flagged"))
@@ -240,9 +287,9 @@ def seed_first_ids(spark, sf_dir):
     return cs.seed(src.partition(src.events_scalar(spark, sf_dir), 4, "modulo"), 5, "first_ids", "abs").select("pid", "part_id")
 
 
-@query("WITH RECURSIVE base AS (" + o.EVENTS_1000 + "), " + o.farthest_seeds("f", "base", "abs", 8) + " SELECT cid AS pid FROM f")
+@query("WITH RECURSIVE base AS (" + o.EVENTS + "), " + o.farthest_seeds("f", "base", "abs", 8) + " SELECT cid AS pid FROM f")
 def seed_farthest(spark, sf_dir):
-    return cs.seed(src.events_scalar(spark, sf_dir, 1000).withColumn("part_id", F.lit(0)), 8, "farthest", "abs").select("pid")
+    return cs.seed(src.events_scalar(spark, sf_dir).withColumn("part_id", F.lit(0)), 8, "farthest", "abs").select("pid")
 
 
 def _seed_checks(method):
@@ -259,27 +306,28 @@ for _m in ("dsq", "swap"):
     query(o.checks("repeats", "members", "no more than k", "better than the first ids"), f"seed_{_m}_checks")(_seed_checks(_m))
 
 
-@query(o.checks("members", "more seeds cost less"))
+@query(o.checks("members", "more seeds cost less", "reduced to k"))
 def seed_rounds_checks(spark, sf_dir):
     p = src.events_scalar(spark, sf_dir)
     s = cs.seed_rounds(p, 10, "abs", rounds=3)
+    ten = cs.seed_rounds(p, 10, "abs", rounds=3, reduce=True)
     ids = [i for i, _ in s]
-    return ok_rows(spark, {"members": p.where(F.col("pid").isin(ids)).count() == len(ids), "more seeds cost less": cost.cost(p, s, "abs").first()[0] < cost.cost(p, s[:2], "abs").first()[0]})
+    at = [cost.cost(p, x, "abs").first()[0] for x in (s, ten, first(p, 10), s[:2])]
+    return ok_rows(spark, {"members": p.where(F.col("pid").isin(ids)).count() == len(ids), "more seeds cost less": at[0] < at[3], "reduced to k": len(ten) == 10 and at[0] <= at[1] < at[2]})
 
 
 # covers and coresets against recursive SQL; seeds are the least ids, parts are pid % 4
 
 K, PARTS_N = 4, 4
 DELTA = 0.25
-ONE = "WITH RECURSIVE " + o.round_one(o.EVENTS_1000, "abs", K, DELTA, PARTS_N)
+ONE = "WITH RECURSIVE " + o.round_one(o.EVENTS, "abs", K, DELTA, PARTS_N)
 DIRECT = ONE + ", " + o.radius() + ", " + o.round_two("one_y", "abs", DELTA)
 REFINED = ONE + ", " + o.radius() + ", " + o.compact("abs", K, DELTA) + ", " + o.round_two("mini_y", "abs", DELTA)
 GAMMA = DELTA * math.sqrt(2)
 
 
 def _events(spark, sf_dir):
-    """The recursive oracle walks one ball a step, so its fixture is the first 1000 events; w02 runs the same over all."""
-    return src.events_scalar(spark, sf_dir, 1000)
+    return src.events_scalar(spark, sf_dir)
 
 
 def _build(spark, sf_dir, variant, **more):
@@ -324,7 +372,7 @@ def coreset_refined_values(spark, sf_dir):
     return _values(_build(spark, sf_dir, "refined").rows)
 
 
-_one_power1 = "WITH RECURSIVE " + o.round_one(o.EVENTS_1000, "abs", K, DELTA, PARTS_N, 1)
+_one_power1 = "WITH RECURSIVE " + o.round_one(o.EVENTS, "abs", K, DELTA, PARTS_N, 1)
 
 
 @query(_one_power1 + ", " + o.radius(1) + ", " + o.round_two("one_y", "abs", DELTA) + " SELECT pid, w, CAST(part AS INT) AS part_id FROM two_y")
@@ -332,7 +380,7 @@ def coreset_kmedian(spark, sf_dir):
     return _values(cs.build(_events(spark, sf_dir), K, 0, 2 * DELTA, "direct", "abs", 1, parts=PARTS_N, seeding="first_ids", scheme="modulo").rows)
 
 
-@query("WITH RECURSIVE " + o.round_one(o.EVENTS_1000, "abs", 7, DELTA, PARTS_N) + ", " + o.radius() + ", " + o.round_two("one_y", "abs", DELTA) + " SELECT pid, w, CAST(part AS INT) AS part_id FROM two_y")
+@query("WITH RECURSIVE " + o.round_one(o.EVENTS, "abs", 7, DELTA, PARTS_N) + ", " + o.radius() + ", " + o.round_two("one_y", "abs", DELTA) + " SELECT pid, w, CAST(part AS INT) AS part_id FROM two_y")
 def coreset_with_outliers(spark, sf_dir):
     """k = 4, z = 3: seeds are k + z a part."""
     return _values(cs.build(_events(spark, sf_dir), 4, 3, GAMMA, "direct", "abs", parts=PARTS_N, seeding="first_ids", scheme="modulo").rows)
@@ -354,7 +402,7 @@ def _cover(points, metric, refs, delta, radius, proxies=False):
 _Y = " SELECT pid, w FROM c_y"
 
 
-@query(_cover_oracle(o.EVENTS_1000, "abs", 5, 0.25, 10.0, _Y))
+@query(_cover_oracle(o.EVENTS, "abs", 5, 0.25, 10.0, _Y))
 def ball_cover_values(spark, sf_dir):
     return _cover(_events(spark, sf_dir), "abs", 5, 0.25, 10.0).select("pid", "w")
 
@@ -364,12 +412,12 @@ def ball_cover_weighted(spark, sf_dir):
     return _cover(src.lineitem_lattice(spark, sf_dir), "l2", 4, 0.25, 4.0).select("pid", "w")
 
 
-@query(_cover_oracle(o.EVENTS_1000, "abs", 5, 0.25, 10.0, " SELECT pid, proxy AS proxy_id, round(pd, 6) AS proxy_dist FROM c"))
+@query(_cover_oracle(o.EVENTS, "abs", 5, 0.25, 10.0, " SELECT pid, proxy AS proxy_id, round(pd, 6) AS proxy_dist FROM c"))
 def ball_cover_proxies(spark, sf_dir):
     return rounded(_cover(_events(spark, sf_dir), "abs", 5, 0.25, 10.0, True).select("pid", "proxy_id", "proxy_dist"), "proxy_dist")
 
 
-@query(_cover_oracle(o.EVENTS_1000, "abs", 5, 0.25, 10.0, " SELECT proxy AS proxy_id, count(*) AS w FROM c GROUP BY proxy"))
+@query(_cover_oracle(o.EVENTS, "abs", 5, 0.25, 10.0, " SELECT proxy AS proxy_id, count(*) AS w FROM c GROUP BY proxy"))
 def proxy_weights(spark, sf_dir):
     """Weights from the map alone."""
     return _cover(_events(spark, sf_dir), "abs", 5, 0.25, 10.0, True).groupBy("proxy_id").agg(F.count("*").alias("w"))
@@ -380,7 +428,7 @@ def ball_cover_edit(spark, sf_dir):
     return _cover(src.part_names(spark, sf_dir), "edit", 3, 0.5, 12.0).select("pid", "w")
 
 
-@query(f"SELECT min(pid) AS pid, count(*) AS w FROM ({o.EVENTS_1000}) GROUP BY x")
+@query(f"SELECT min(pid) AS pid, count(*) AS w FROM ({o.EVENTS}) GROUP BY x")
 def ball_cover_zero_radius(spark, sf_dir):
     """Radius 0 with every point a reference merges exact copies only; the same as collapsing."""
     p = _events(spark, sf_dir)
@@ -475,10 +523,15 @@ query(o.checks("equals the exact trim"), "solver_kmedian")(_solver_checks("exhau
 
 @query(o.checks("same cost"))
 def solver_identity_replicated(spark, sf_dir):
-    """A weighted set and its equal unweighted copies cost the same."""
-    p = src.part_names(spark, sf_dir).where("pid <= 12").withColumn("w", F.least("w", F.lit(5)))
-    a, b = ([r["value"] for r in solvers.solve(x, 2, 4, "trimmed_swap", "edit", init="farthest").collect() if r["kind"] == "cost"][0] for x in (p, baselines.replicated(p)))
-    return ok_rows(spark, {"same cost": abs(a - b) <= 0.5 * max(a, b) + 1e-9})
+    """Nations with the number of their suppliers as weight, and as many equal points, cost the same with the same mass forgotten."""
+    suppliers = src.table(spark, sf_dir, "supplier").groupBy(F.col("s_nationkey").cast("bigint").alias("pid")).agg(F.count("*").alias("w"))
+    p = _nations(spark, sf_dir).join(suppliers, "pid").select("pid", "pt", "w")
+    found = []
+    for x in (p, baselines.replicated(p)):
+        rows = solvers.solve(x, 3, 4, "trimmed_swap", "abs", init="farthest").collect()
+        found.append((next(r["value"] for r in rows if r["kind"] == "cost"), sum(r["value"] for r in rows if r["kind"] == "outlier")))
+    (a, m), (b, n) = found
+    return ok_rows(spark, {"same cost": abs(a - b) <= 1e-9 * max(a, b, 1.0) and m == n})
 
 
 _SPEC = RobustSpec(5, 100, 0.5, "refined", "abs", parts=4, outlier_factor=2.0, options={"eps": 0.5})
@@ -486,14 +539,11 @@ _SPEC = RobustSpec(5, 100, 0.5, "refined", "abs", parts=4, outlier_factor=2.0, o
 
 @query(o.checks("exactly z outliers", "every point once", "reload equals"))
 def model_transform_outliers(spark, sf_dir):
-    import tempfile
-
     p = src.events_scalar(spark, sf_dir)
     m = fit(p, _SPEC)
     t = m.transform(p)
     found = {"exactly z outliers": t.where("is_outlier").count() == 100, "every point once": t.count() == p.count()}
-    base = spark.sparkContext.getConf().get("spark.checkpoint.dir") or tempfile.mkdtemp(prefix="models-")
-    path = f"{base}/model-{spark.sparkContext.applicationId}"
+    path = f"{shared_folder(spark)}/model-{spark.sparkContext.applicationId}"
     m.save(path)
     found["reload equals"] = Model.load(spark, path).centers == m.centers
     return ok_rows(spark, found)
@@ -532,7 +582,7 @@ def coreset_error_given(spark, sf_dir):
 
 
 def _recursive_measure(tail):
-    return "WITH RECURSIVE " + o.round_one(o.EVENTS_1000, "abs", K, DELTA, PARTS_N) + ", " + o.radius() + ", " + o.round_two("one_y", "abs", DELTA) + tail
+    return "WITH RECURSIVE " + o.round_one(o.EVENTS, "abs", K, DELTA, PARTS_N) + ", " + o.radius() + ", " + o.round_two("one_y", "abs", DELTA) + tail
 
 
 @query(_recursive_measure(" SELECT round(sum(pd * pd), 4) AS distortion FROM two"))
@@ -563,7 +613,16 @@ def local_memory(spark, sf_dir):
 
 @query("SELECT 'direct' AS variant, 2 AS coreset, 3 AS complete UNION ALL SELECT 'refined', 2, 3 UNION ALL SELECT 'one_round', 1, 2")
 def rounds_table(spark, sf_dir):
-    return spark.createDataFrame([(v, audit.rounds(v)["coreset"], audit.rounds(v)["complete"]) for v in ("direct", "refined", "one_round")], "variant string, coreset int, complete int")
+    """Rounds as shuffles of points in the physical plans of the steps; what a refined reference gathers is no round of points."""
+    p = _events(spark, sf_dir)
+    found = []
+    for variant in ("direct", "refined", "one_round"):
+        c = _build(spark, sf_dir, variant)
+        one = audit.exchanges(cs.round_one(cs.narrow(src.partition(p, PARTS_N, "modulo")), K, c.delta, "first_ids", "abs"))
+        two = 0 if variant == "one_round" else audit.exchanges(cs.ball_cover(c.stats["routed"], c.reference, c.delta, c.radius, "abs"))
+        three = audit.exchanges(solvers.solve(c.rows, K, 0, "alternate", "abs"))
+        found.append((variant, one + two, one + two + three))
+    return spark.createDataFrame(found, "variant string, coreset int, complete int")
 
 
 @query("SELECT g, round(4*g + 4*g*g, 9) AS direct_quality, round(11*g*g + 2*sqrt(11)*g, 9) AS refined_quality, round(27*g, 9) AS direct_slack, round(47*g, 9) AS refined_slack, g <= sqrt(0.375) - 0.5 AS direct_ok, g <= (sqrt(3) - sqrt(2)) / 6 AS refined_ok FROM (VALUES (0.01), (0.05), (0.0529), (0.1), (0.1123), (0.3)) v(g)".replace("(VALUES", "(SELECT CAST(g AS DOUBLE) AS g FROM (VALUES").replace("v(g)", "v(g))"))
@@ -577,30 +636,55 @@ def constants_table(spark, sf_dir):
     return ok_rows(spark, dict(bounds.constants_hold()))
 
 
-@query(o.checks("error", "centroid", "witness", "end to end"))
-def centroid_ratio(spark, sf_dir):
-    """Guarantees against the true optimum, with exhaustive seeding so that beta is 1."""
-    p, g = _suppliers(spark, sf_dir, 14), 0.1
-    opt = cost.optimum(p, 2, 1, "abs").first()
-    c = cs.build(p, 2, 1, g, "direct", "abs", parts=2, seeding="exact", scheme="modulo", strict=True)
-    inside = [r["pid"] for r in c.rows.select("pid").collect()]
-    pts = {r["pid"]: r["pt"] for r in p.collect()}
-    from itertools import combinations
-
-    best = min(cost_of(pts, [pts[i] for i in s], 1) for s in combinations(inside, min(2, len(inside))))
-    witness = [min(inside, key=lambda i: (round(abs(pts[i] - pts[int(x)]), 9), i)) for x in opt["centers"].split(",")]
-    m = model_of(c.rows, RobustSpec(2, 1, metric="abs", solver="exhaustive"))
-    found = cost_of(pts, [x for _, x in m.centers], 1)
-    s = bounds.coreset_quality(g, "direct")
-    errors = []
-    prox = {r["pid"]: r["proxy_id"] for r in cs.proxies(p, c, "abs").collect()}
-    for a in combinations(pts, 2):
-        for z in pts:
-            full = sum(min(abs(pts[i] - pts[j]) for j in a) ** 2 for i in pts if i != z)
-            small = sum(min(abs(pts[prox[i]] - pts[j]) for j in a) ** 2 for i in pts if i != z)
-            errors.append(abs(full - small) / full if full else 0.0)
-    slack = 1 + bounds.centroid_slack(g, "direct")
-    return ok_rows(spark, {"error": max(errors) <= s, "centroid": best <= slack * opt["cost"] + 1e-6, "witness": cost_of(pts, [pts[i] for i in witness], 1) <= slack * opt["cost"] + 1e-6, "end to end": found <= bounds.end_to_end(g, "direct") * opt["cost"] + 1e-6})
+_GUARANTEES = ("error", "centroid", "witness", "end to end", "distortion", "compact reference")
+
+
+def _guarantees(variant, g):
+    def run(spark, sf_dir):
+        """Guarantees against the true optimum on all nations, with exhaustive seeding so that beta is 1."""
+        from itertools import combinations
+
+        p = cs.checkpoint(_nations(spark, sf_dir))
+        opt, wide = (cost.optimum(p, k, z, "abs").first() for k, z in ((2, 1), (3, 0)))
+        c = cs.build(p, 2, 1, g, variant, "abs", parts=2, seeding="exact", scheme="modulo", strict=True)
+        inside = [r["pid"] for r in c.rows.select("pid").collect()]
+        pts = {r["pid"]: r["pt"] for r in p.collect()}
+        prox = {r["pid"]: r["proxy_id"] for r in cs.proxies(p, c, "abs").collect()}
+        ids = sorted(pts)
+        x, y = (np.array([pts[f(i)] for i in ids]) for f in (lambda i: i, prox.get))
+        best, errors = np.inf, []
+        for a in combinations(ids, 2):
+            at = np.array([pts[i] for i in a])
+            full, small = (np.abs(v[:, None] - at).min(axis=1) ** 2 for v in (x, y))
+            if set(a) <= set(inside):
+                best = min(best, float(np.sort(full)[:-1].sum()))
+            # every set of one outlier
+            whole, own = full.sum() - full, small.sum() - small
+            errors += (np.abs(whole - own)[whole > 0] / whole[whole > 0]).tolist()
+        witness = [min(inside, key=lambda i: (round(abs(pts[i] - pts[int(q)]), 9), i)) for q in opt["centers"].split(",")]
+        m = model_of(c.rows, RobustSpec(2, 1, metric="abs", solver="exhaustive"))
+        found, slack = cost_of(pts, [q for _, q in m.centers], 1), 1 + bounds.centroid_slack(g, variant)
+        ref = np.array([pts[i] for i in c.reference["pid"].to_pylist()])
+        compact = float((np.abs(x[:, None] - ref).min(axis=1) ** 2).sum())
+        return ok_rows(spark, {
+            "error": max(errors) <= bounds.coreset_quality(g, variant), "centroid": best <= slack * opt["cost"] + 1e-6,
+            "witness": cost_of(pts, [pts[i] for i in witness], 1) <= slack * opt["cost"] + 1e-6, "end to end": c.certified and found <= bounds.end_to_end(g, variant) * opt["cost"] + 1e-6,
+            "distortion": float(((x - y) ** 2).sum()) <= bounds.distortion_factor(g, variant) * wide["cost"] + 1e-6,
+            "compact reference": compact <= bounds.distortion_factor(g, "compact" if variant == "refined" else "first") * wide["cost"] + 1e-6,
+        })
+
+    return run
+
+
+for _v, _g in (("direct", 0.1), ("refined", 0.05)):
+    query(o.checks(*_GUARANTEES), f"centroid_ratio_{_v}" if _v == "refined" else "centroid_ratio")(_guarantees(_v, _g))
+
+
+@query("SELECT 'exact' AS seeding, TRUE AS certified UNION ALL SELECT 'dsq', FALSE UNION ALL SELECT 'first_ids', FALSE UNION ALL SELECT 'swap', FALSE")
+def certified_seedings(spark, sf_dir):
+    """Only a seeding of a proven ratio certifies a run, whatever beta is assumed."""
+    found = [(s, cs.build(_nations(spark, sf_dir), 2, 1, 0.1, "direct", "abs", parts=2, seeding=s).certified) for s in ("exact", "dsq", "first_ids", "swap")]
+    return spark.createDataFrame(found, "seeding string, certified boolean")
 
 
 def cost_of(pts: dict, centers: list[float], z: int) -> float:
@@ -623,15 +707,47 @@ def certificate_holds(spark, sf_dir):
     return ok_rows(spark, {"certificate holds for random centers and three kinds of outliers": good})
 
 
-@query(o.checks("slope under one"))
+def _copies(points, times):
+    """Copies of a table, each shifted so that no two are equal."""
+    n = F.explode(F.sequence(F.lit(0), F.lit(times - 1)))
+    return points.withColumn("n", n).select((F.col("pid") * times + F.col("n")).alias("pid"), (F.col("pt") + F.col("n") * 1e-6).alias("pt"))
+
+
+@query(o.checks("direct grows by two thirds", "refined grows by one half", "direct grows faster"))
 def memory_slope(spark, sf_dir):
-    p, rows = src.events_scalar(spark, sf_dir), []
-    n = p.count()
-    for share in (4, 2, 1):
-        part = p.where(F.col("pid") < n // share)
-        c = build(part, RobustSpec(3, 5, 0.9, "refined", "abs"))
-        rows.append((n // share, max(v for v in audit.local_memory(c.stats["routed"], c).values())))
-    return ok_rows(spark, {"slope under one": audit.memory_slope(rows) < 1})
+    """The largest first-round group of log N against log N, over the table once, four and sixteen times."""
+    p, slopes = src.events_scalar(spark, sf_dir), {}
+    for variant in ("direct", "refined"):
+        rows = []
+        for times in (1, 4, 16):
+            grown = _copies(p, times)
+            n = grown.count()
+            parts = bounds.partitions(n, bounds.kprime(3, 5), variant)
+            rows.append((n, src.partition(grown, parts).groupBy("part_id").count().agg(F.max("count")).first()[0]))
+        slopes[variant] = audit.memory_slope(rows)
+    return ok_rows(spark, {"direct grows by two thirds": abs(slopes["direct"] - 2 / 3) < 0.06, "refined grows by one half": abs(slopes["refined"] - 1 / 2) < 0.06, "direct grows faster": slopes["direct"] > slopes["refined"]})
+
+
+@query(o.checks("size settles while the table grows", "mass", "certificate"))
+def w30(spark, sf_dir):
+    """The table ten and a hundred times: the coreset follows the data's shape and not its rows."""
+    p, found = src.events_scalar(spark, sf_dir), []
+    start = first(p, 3)
+    for times in (1, 10, 100):
+        grown = _copies(p, times)
+        c = cs.build(grown, 3, 5, 0.9, "refined", "abs", parts=8)
+        e = audit.proxy_distortion(cs.proxies(grown, c, "abs")).first()[0]
+        full, small = (cost.cost(x, start, "abs").first()[0] for x in (grown, c.rows))
+        found.append((grown.count(), c.rows.count(), audit.mass(c.rows), abs(full - small) <= audit.certificate(e, full) * (1 + 1e-9) + 1e-6))
+    return ok_rows(spark, {"size settles while the table grows": found[2][1] < 10 * found[0][1], "mass": all(m == n for n, _, m, _ in found), "certificate": all(x for *_, x in found)})
+
+
+@query(o.checks("rounds shuffle every point once", "bytes are counted"))
+def engine_cost_checks(spark, sf_dir):
+    """Rows and bytes that the first round's shuffle wrote, from the executed plan."""
+    p = src.partition(src.events_scalar(spark, sf_dir), 4)
+    found = audit.engine_cost(cs.round_one(cs.narrow(p), 5, 0.3, "dsq", "abs"))
+    return ok_rows(spark, {"rounds shuffle every point once": found["rows_shuffled"] == p.count(), "bytes are counted": found["bytes_shuffled"] > 0 and found["exchanges"] == 1})
 
 
 @query(o.checks("embeddings are high", "a line is low"))
@@ -675,23 +791,27 @@ def uniform_sample_mass(spark, sf_dir):
 @query(o.checks("means cost no more than members"))
 def lloyd_compare(spark, sf_dir):
     p = src.events_2d(spark, sf_dir)
-    c = list(enumerate(baselines.lloyd(p, 4, 4)))
-    return ok_rows(spark, {"means cost no more than members": cost.cost(p, c, "l2").first()[0] <= cost.cost(p, first(p, 4), "l2").first()[0]})
+    c = list(enumerate(baselines.lloyd(p, 4, 12)))
+    a = cost.assign(p, c, "l2")
+    near = [r["pt"] for r in a.groupBy("cid").agg(F.min_by("pt", F.struct("dist", "pid")).alias("pt")).orderBy("cid").collect()]
+    means, members, start = (cost.cost(p, x, "l2").first()[0] for x in (c, list(enumerate(near)), first(p, 4)))
+    return ok_rows(spark, {"means cost no more than members": means <= members <= 4 * means and means < start})
 
 
 @query(o.checks("solver on everything is within the certificate"))
 def sequential_compare(spark, sf_dir):
-    p = src.supplier_scalar(spark, sf_dir).where("pid <= 100")
-    spec = RobustSpec(2, 3, 0.1, "direct", "abs", parts=2, solver="exhaustive")
+    p = _nations(spark, sf_dir)
+    spec = RobustSpec(2, 3, 0.1, "direct", "abs", parts=2, solver="exhaustive", seeding="exact")
     a, b = baselines.sequential(p, spec), fit(p, spec)
     at = [cost.trimmed_cost(p, m.centers, 3, "abs").first()[0] for m in (a, b)]
     return ok_rows(spark, {"solver on everything is within the certificate": at[0] <= at[1] + 1e-6 <= bounds.end_to_end(0.1, "direct") * at[0] + 1e-5})
 
 
-@query(o.checks("refined reference is smaller", "masses equal"))
+@query(o.checks("refined reference is smaller", "masses equal", "all solve"))
 def compare_variants(spark, sf_dir):
-    rows = {v: (r, t, c) for v, r, t, c in baselines.compare_variants(src.events_scalar(spark, sf_dir), RobustSpec(5, 20, 0.3, "direct", "abs", parts=8, solver="alternate"))}
-    return ok_rows(spark, {"refined reference is smaller": rows["refined"][0] < rows["direct"][0], "masses equal": all(t > 0 for _, t, _ in rows.values())})
+    p = src.events_scalar(spark, sf_dir)
+    rows = {v: (r, t, c, m) for v, r, t, c, m in baselines.compare_variants(p, RobustSpec(5, 20, 0.3, "direct", "abs", parts=8, solver="alternate"))}
+    return ok_rows(spark, {"refined reference is smaller": rows["refined"][0] < rows["direct"][0], "masses equal": all(m == p.count() for *_, m in rows.values()), "all solve": all(c > 0 for _, _, c, _ in rows.values())})
 
 
 @query(o.checks("one part keeps all mass"))
@@ -709,15 +829,16 @@ def planted_outlier_pr(spark, sf_dir):
     return audit.outlier_pr(cost.farthest(p, first(p, 5), 20, "abs"), p.where("pid % 500 = 7"))
 
 
-@query(o.checks("precision and recall lie in range"))
+_DOC_STATS = "SELECT doc_id AS pid, [length(text) / 1000, len(ws) / 100, len(list_distinct(ws)) / greatest(len(ws), 1)] AS x, 1 AS w FROM (SELECT doc_id, text, [v for v in string_split_regex(lower(text), '[^a-z]+') if v <> ''] AS ws FROM documents)"
+
+
+@query("WITH " + o.assigned(_DOC_STATS, o.first_centers(_DOC_STATS, 5), "l2") + ", f AS (SELECT pid FROM a ORDER BY dist DESC, pid LIMIT 100), g AS (SELECT doc_id AS pid FROM labels WHERE quality = 0), k AS (SELECT pid FROM f WHERE pid IN (SELECT doc_id FROM labels)) SELECT (SELECT count(*) FROM k JOIN g USING (pid)) AS hits, (SELECT count(*) FROM k) AS flagged, (SELECT count(*) FROM g) AS planted, (SELECT count(*) FROM k JOIN g USING (pid)) / (SELECT count(*) FROM k) AS precision, (SELECT count(*) FROM k JOIN g USING (pid)) / (SELECT count(*) FROM g) AS recall")
 def quality_label_pr(spark, sf_dir):
+    """The 100 documents farthest from five centers, as far as they are labelled, against those of bad quality."""
     p = src.doc_stats(spark, sf_dir)
-    bad = src.table(spark, sf_dir, "labels").where("quality = 0").select(F.col("doc_id").cast("bigint").alias("pid"))
-    labelled = src.table(spark, sf_dir, "labels").select(F.col("doc_id").cast("bigint").alias("pid"))
-    z = max(1, p.count() // 50)
-    m = fit(p, RobustSpec(5, z, 0.5, "refined", "l2", parts=4, solver="alternate"))
-    r = audit.outlier_pr(m.transform(p).where("is_outlier").join(labelled, "pid", "left_semi"), bad).first()
-    return ok_rows(spark, {"precision and recall lie in range": 0 <= (r["precision"] or 0) <= 1 and 0 <= (r["recall"] or 0) <= 1})
+    labels = src.table(spark, sf_dir, "labels").select(F.col("doc_id").cast("bigint").alias("pid"), "quality")
+    far = cost.farthest(p, first(p, 5), 100, "l2").join(labels.select("pid"), "pid", "left_semi")
+    return audit.outlier_pr(far, labels.where("quality = 0"))
 
 
 @query("WITH " + o.assigned(o.LATTICE, o.first_centers(o.LATTICE, 4), "l2") + " SELECT cid, count(*) AS n, CAST(sum(w) AS BIGINT) AS w, round(max(dist), 6) AS radius, round(sum(w*dist*dist), 4) AS cost FROM a GROUP BY ROLLUP(cid)")

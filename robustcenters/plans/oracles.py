@@ -5,7 +5,7 @@ from __future__ import annotations
 #: point sets as SQL (pid, x[, w])
 SUPPLIER = "SELECT s_suppkey AS pid, s_acctbal AS x, 1 AS w FROM supplier"
 EVENTS = "SELECT event_id AS pid, value AS x, 1 AS w FROM events"
-EVENTS_1000 = EVENTS + " WHERE event_id < 1000"
+NATIONS = "SELECT n_nationkey AS pid, round(avg(c_acctbal), 2) AS x, count(*) AS w FROM customer JOIN nation ON c_nationkey = n_nationkey GROUP BY 1"
 LATTICE = "SELECT CAST(100*q+d AS BIGINT) AS pid, [q, d] AS x, w FROM (SELECT l_quantity AS q, round(100*l_discount) AS d, count(*) AS w FROM lineitem GROUP BY 1, 2)"
 PARTS = "SELECT min(p_partkey) AS pid, p_name AS x, count(*) AS w FROM part GROUP BY p_name"
 EMBEDDINGS = "SELECT vec_id AS pid, CAST(embedding AS DOUBLE[]) AS x, 1 AS w FROM embeddings"
@@ -75,7 +75,7 @@ def farthest_seeds(name: str, base: str, metric: str, k: int) -> str:
     d = dist(metric, "b.x", "f.cx")
     return (
         f"{name}_run AS (SELECT 1 AS step, b.pid, b.x, {dist(metric, 'b.x', 'z.x')} AS near, z.pid AS cid, z.x AS cx FROM {base} b, (SELECT min(pid) AS pid, arg_min(x, pid) AS x FROM {base}) z UNION ALL "
-        f"SELECT b.step + 1, b.pid, b.x, least(b.near, {d}), f.cid, f.cx FROM {name}_run b, (SELECT arg_max(pid, near * 1e9 - pid * 1e-9) AS cid, arg_max(x, near * 1e9 - pid * 1e-9) AS cx FROM {name}_run) f WHERE b.step < {k}), "
+        f"SELECT b.step + 1, b.pid, b.x, least(b.near, {d}), f.cid, f.cx FROM {name}_run b, (SELECT arg_max(pid, row(near, -pid)) AS cid, arg_max(x, row(near, -pid)) AS cx FROM {name}_run) f WHERE b.step < {k}), "
         f"{name} AS (SELECT DISTINCT step, cid, cx FROM {name}_run)"
     )
 

@@ -26,8 +26,9 @@ class RobustSpec:
     seeding: str = "dsq"
     scheme: str = "hash"
     solver: str = "trimmed_swap"
-    center_factor: float = 1.0
-    outlier_factor: float = 1.0
+    #: Inflation of k and z before round 1; None: what the solver's extra centers or outliers need.
+    center_factor: float | None = None
+    outlier_factor: float | None = None
     strict: bool = False
     levels: int = 0
     seed: int = 42
@@ -35,6 +36,13 @@ class RobustSpec:
     options: dict = field(default_factory=dict)
 
 
+    def factors(self) -> tuple[float, float]:
+        """(centers, outliers): the search that forgets more gets twice z, the one that opens more 1 + eps times k."""
+        extra = 1 + self.options.get("eps", 0.5) if self.solver == "multi_swap" else 1.0
+        more = 2.0 if self.solver == "trimmed_swap" and self.z else 1.0
+        return (extra if self.center_factor is None else self.center_factor), (more if self.outlier_factor is None else self.outlier_factor)
+
+
 @dataclass
 class Model:
     centers: list[tuple[int, object]]
@@ -44,15 +52,20 @@ class Model:
     coreset: DataFrame | None = None
 
     def transform(self, points: DataFrame, outliers: int | None = None) -> DataFrame:
-        """(pid, cid, dist, is_outlier): the farthest mass is flagged exactly, ties by least pid."""
+        """(pid, cid, dist, is_outlier[, w]): the z farthest points are flagged exactly, ties by least pid.
+
+        The narrow assignment is checkpointed, as finding the cut reads it several times.
+        """
         z = self.spec.z if outliers is None else outliers
-        a = cost.assign(points, self.centers, self.spec.metric)
+        more = [c for c in ("w",) if c in points.columns]
+        a = cost.assign(points, self.centers, self.spec.metric).select("pid", "cid", "dist", *more)
         if z <= 0:
-            return a.select("pid", "cid", "dist", F.lit(False).alias("is_outlier"))
+            return a.select("pid", "cid", "dist", F.lit(False).alias("is_outlier"), *more)
+        a = cs.checkpoint(a)
         threshold, above, _ = cost.range_cut(a.withColumn("w", F.lit(1)), z)
         tied = a.where(F.col("dist") == threshold).select("pid").orderBy("pid").limit(z - above).withColumn("_t", F.lit(True))
         flagged = (F.col("dist") > threshold) | F.coalesce("_t", F.lit(False))
-        return a.join(tied, "pid", "left").select("pid", "cid", "dist", flagged.alias("is_outlier"))
+        return a.join(tied, "pid", "left").select("pid", "cid", "dist", flagged.alias("is_outlier"), *more)
 
     def save(self, path: str) -> None:
         spark = self.coreset.sparkSession
@@ -72,7 +85,7 @@ def model_of(coreset: DataFrame, spec: RobustSpec, extra: dict | None = None) ->
     options = dict(spec.options)
     if spec.solver == "trimmed_swap":
         # the outlier inflation is fixed before round 1, so it also bounds what the search may forget
-        options = {"outlier_cap": math.ceil(spec.outlier_factor * spec.z), "init": "dsq"} | options
+        options = {"outlier_cap": math.ceil(spec.factors()[1] * spec.z), "init": "dsq"} | options
     rows = solvers.solve(kept, spec.k, spec.z, spec.solver, spec.metric, spec.power, spec.max_rows, **options).collect()
     ids = [r["pid"] for r in rows if r["kind"] == "center"]
     found = {r["pid"]: r["pt"] for r in kept.where(F.col("pid").isin(ids)).select("pid", "pt").collect()}
@@ -83,7 +96,7 @@ def model_of(coreset: DataFrame, spec: RobustSpec, extra: dict | None = None) ->
 def build(points: DataFrame, spec: RobustSpec) -> cs.Coreset:
     return cs.build(
         points, spec.k, spec.z, spec.gamma, spec.variant, spec.metric, spec.power, spec.beta, spec.parts, spec.seeding, spec.scheme,
-        strict=spec.strict, center_factor=spec.center_factor, outlier_factor=spec.outlier_factor, levels=spec.levels, seed_value=spec.seed,
+        strict=spec.strict, center_factor=spec.factors()[0], outlier_factor=spec.factors()[1], levels=spec.levels, seed_value=spec.seed,
     )
 
 
@@ -95,9 +108,7 @@ def fit(points: DataFrame, spec: RobustSpec) -> Model:
 
 def report(points: DataFrame, model: Model) -> DataFrame:
     """(center_id, n_points, weight, cost, n_outliers) over the full table."""
-    labelled = model.transform(points)
-    w = F.col("w") if "w" in points.columns else F.lit(1)
-    joined = labelled.join(points.select("pid", w.cast("bigint").alias("w")), "pid")
+    joined = cs.with_weight(model.transform(points))
     inlier = ~F.col("is_outlier")
     return joined.groupBy(F.col("cid").alias("center_id")).agg(
         F.count_if(inlier).alias("n_points"),

@@ -6,12 +6,11 @@ its DuckDB text.
 
 from __future__ import annotations
 
-import tempfile
-
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from ..operators import cost
+from ..shared import shared_folder
 from ..sources import points as src
 
 TABLES = "region nation customer supplier part orders lineitem events documents embeddings pages benchmark labels conversations".split()
@@ -90,7 +89,7 @@ def query(sql: str | None, name: str | None = None):
 
 def scratch(spark: SparkSession, name: str) -> str:
     """A folder that driver and executors share."""
-    base = spark.sparkContext.getConf().get("spark.checkpoint.dir") or tempfile.gettempdir()
+    base = shared_folder(spark)
     return f"{base}/{spark.sparkContext.applicationId}-{name}"
 
 
@@ -188,11 +187,11 @@ def rel_join_interval(spark, sf_dir):
     return a.join(b, ["user_id", "cell"]).where("tb > ta AND tb <= ta + INTERVAL 1 HOUR").select("a", "b")
 
 
-@query("SELECT o_orderkey, (SELECT max(event_id) FROM events e WHERE e.ts <= o.o_orderdate AND e.ts = (SELECT max(ts) FROM events f WHERE f.ts <= o.o_orderdate)) AS event_id FROM (SELECT * FROM orders WHERE o_orderkey < 200) o")
+@query("SELECT o_orderkey, event_id FROM orders o ASOF LEFT JOIN (SELECT ts, max(event_id) AS event_id FROM events GROUP BY ts) e ON o.o_orderdate >= e.ts")
 def rel_join_asof(spark, sf_dir):
     """The latest event at or before each order, by one sort of the union per day and a carry of day maxima."""
     e = src.table(spark, sf_dir, "events").select(F.col("ts").alias("t"), F.struct("ts", "event_id").alias("e"), F.lit(None).cast("bigint").alias("o"))
-    o = src.table(spark, sf_dir, "orders").where("o_orderkey < 200").select(F.col("o_orderdate").alias("t"), F.lit(None).cast(e.schema["e"].dataType).alias("e"), F.col("o_orderkey").alias("o"))
+    o = src.table(spark, sf_dir, "orders").select(F.col("o_orderdate").alias("t"), F.lit(None).cast(e.schema["e"].dataType).alias("e"), F.col("o_orderkey").alias("o"))
     both = e.unionByName(o).withColumn("day", F.to_date("t"))
     days = both.groupBy("day").agg(F.max("e").alias("last"))
     before = Window.orderBy("day").rowsBetween(Window.unboundedPreceding, -1)  # a row for each day

@@ -2,9 +2,11 @@
 
 from __future__ import annotations
 
-from pyspark.sql import Column, DataFrame, SparkSession, Window
+from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from ..shared import checkpoint
+
 #: Event types that become columns; more are an error.
 MOST_TYPES = 10_000
 LINE_KEY = ["l_orderkey", "l_partkey", "l_suppkey", "l_linenumber", "l_extendedprice"]
@@ -66,8 +68,22 @@ def scale(points: DataFrame, how: str = "minmax") -> DataFrame:
     return points.withColumn("pt", F.array(*[(F.col("pt")[i] - offset[i]) / factor[i] for i in range(len(stats))]))
 
 
-def partition(points: DataFrame, parts: int, scheme: str = "hash") -> DataFrame:
-    """Column part_id, a function of the row alone, so that both rounds and every retry agree."""
+def ranked(points: DataFrame) -> DataFrame:
+    """points with rank, from 0 in the order of pid: sorted ranges, each offset by the rows before it."""
+    tasks = int(points.sparkSession.conf.get("spark.sql.shuffle.partitions"))
+    rows = checkpoint(points.repartitionByRange(tasks, "pid").sortWithinPartitions("pid").withColumn("_mark", F.monotonically_increasing_id()))
+    at = F.shiftright("_mark", 33).cast("int")
+    bases, total = [], 0
+    for r in rows.groupBy(at.alias("at")).count().orderBy("at").collect():  # a row for each task
+        bases.append((r["at"], total))
+        total += r["count"]
+    table = F.broadcast(points.sparkSession.createDataFrame(bases, "_at int, _base long"))
+    placed = rows.withColumn("_at", at).join(table, "_at")
+    return placed.withColumn("rank", F.col("_base") + F.col("_mark").bitwiseAND(F.lit((1 << 33) - 1))).select(*points.columns, "rank")
+
+
+def partition(points: DataFrame, parts: int, scheme: str = "hash", seed: int = 42) -> DataFrame:
+    """Column part_id, a function of the row (and, for even, of its checkpointed rank), so that both rounds and every retry agree."""
     if scheme == "hash":
         part = F.pmod(F.xxhash64("pid"), F.lit(parts))
     elif scheme == "modulo":
@@ -76,9 +92,11 @@ def partition(points: DataFrame, parts: int, scheme: str = "hash") -> DataFrame:
         bounds = points.agg(F.min("pid").alias("lo"), F.max("pid").alias("hi")).first()
         width = ((bounds["hi"] or 0) - (bounds["lo"] or 0)) // parts + 1
         part = F.floor((F.col("pid") - (bounds["lo"] or 0)) / width)
+    elif scheme == "random":
+        part = F.pmod(F.xxhash64("pid", F.lit(seed)), F.lit(parts))
     elif scheme == "even":
-        # sizes at most one apart; one range sort in buckets rather than a window over everything
-        part = F.pmod(F.row_number().over(Window.orderBy("pid")) - 1, F.lit(parts))
+        # sizes at most one apart
+        return ranked(points).withColumn("part_id", F.pmod("rank", F.lit(parts)).cast("int")).drop("rank")
     elif scheme == "given":
         return points
     else:
@@ -93,9 +111,14 @@ def supplier_scalar(spark, sf_dir):
     return from_scalar(table(spark, sf_dir, "supplier"), "s_suppkey", "s_acctbal")
 
 
-def events_scalar(spark, sf_dir, below: int | None = None):
-    events = table(spark, sf_dir, "events")
-    return from_scalar(events if below is None else events.where(F.col("event_id") < below), "event_id", "value")
+def events_scalar(spark, sf_dir):
+    return from_scalar(table(spark, sf_dir, "events"), "event_id", "value")
+
+
+def nation_balances(spark, sf_dir):
+    """A point for each nation, all customers' mean balance: few points at any size, for what needs brute force."""
+    joined = table(spark, sf_dir, "customer").join(table(spark, sf_dir, "nation"), F.col("c_nationkey") == F.col("n_nationkey"))
+    return joined.groupBy(F.col("n_nationkey").cast("bigint").alias("pid")).agg(F.round(F.avg("c_acctbal"), 2).alias("pt"), F.count("*").alias("w")).select("pid", "pt", "w")
 
 
 def events_2d(spark, sf_dir):

@@ -2,12 +2,16 @@
 
 from __future__ import annotations
 
+import uuid
+
 from pyspark.sql import functions as F
 
+from ..operators import coreset as cs
 from ..operators import cost
 from ..plans.clustering_queries import first, ok_rows
 from ..plans.oracles import checks
 from ..plans.pipeline import Model, RobustSpec
+from ..shared import shared_folder
 from ..sources import points as src
 from . import sqlapi, streams
 
@@ -49,25 +53,82 @@ def stream_dedup(spark, sf_dir):
     return streams.run(spark, streams.unique_points(twice).select("event_id"))
 
 
-@query("SELECT CAST(count(*) AS BIGINT) AS received FROM events")
+def _folder(spark, name: str) -> str:
+    return f"{shared_folder(spark)}/{spark.sparkContext.applicationId}-{name}-{uuid.uuid4().hex[:8]}"
+
+
+def _zoned(spark, sf_dir):
+    return src.table(spark, sf_dir, "events").withColumn("ts", F.col("ts").cast("timestamp"))
+
+
+@query("WITH m AS (SELECT max(ts) - INTERVAL 1 DAY AS w FROM events WHERE event_id % 4 = 0), l AS (SELECT count(*) AS n FROM events, m WHERE event_id % 2 = 1 AND ts <= m.w) SELECT (SELECT count(*) FROM events) AS received, (SELECT count(*) FROM events) - l.n AS kept, l.n AS dropped FROM l")
 def stream_late_mass(spark, sf_dir):
-    """Mass received under a watermark; nothing of one ordered batch is late."""
-    return streams.run(spark, streams.with_lateness(streams.event_stream(spark, sf_dir)).groupBy().agg(F.count("*").alias("received")), "complete")
+    """Odd events come in the third micro-batch; those a day older than the newest of the first one are late and dropped.
 
+    The watermark that drops late rows is the one that the micro-batch before worked with.
+    """
+    e = _zoned(spark, sf_dir)
+    place = F.when(F.col("event_id") % 2 == 1, 2).otherwise(F.col("event_id") % 4 / 2)
+    late = streams.in_files(e, _folder(spark, "late"), 3, place)
+    kept = streams.run(spark, streams.unique_points(late).select("event_id")).count()
+    return spark.createDataFrame([(e.count(), kept, e.count() - kept)], "received long, kept long, dropped long")
 
-@query("SELECT CAST(count(*) AS BIGINT) AS w FROM events")
+
+def _followed(spark, sf_dir):
+    """All events as (pid, pt), in three micro-batches, through a durable state that is opened anew in between."""
+    path = _folder(spark, "state")
+    spec = RobustSpec(3, 10, 0.5, "refined", "abs", parts=2, solver="alternate")
+    points = streams.in_files(_zoned(spark, sf_dir), f"{path}-in", 3, F.col("event_id") % 3).select(F.col("event_id").cast("bigint").alias("pid"), F.col("value").alias("pt"))
+    streams.CoresetState(spark, path, spec).follow(points, "first")
+    return path, spec, points
+
+
+@query(checks("mass", "a restart adds nothing", "levels count batches", "a solution on demand", "certificate"))
 def stream_merge_mass(spark, sf_dir):
-    """Micro-batches through the merge-and-recover state; a repeated batch changes nothing."""
-    state = streams.CoresetState(RobustSpec(3, 10, 0.5, "refined", "abs", parts=2))
+    """Micro-batches through the merge-and-recover state; batches that are delivered again after a restart change nothing."""
+    path, spec, points = _followed(spark, sf_dir)
     p = src.events_scalar(spark, sf_dir)
-    for i in range(3):
-        batch = p.where(F.col("pid") % 3 == i)
-        state.update(batch, i)
-        state.update(batch, i)
-    return state.union().agg(F.sum("w").alias("w"))
+    state = streams.CoresetState(spark, path, spec)
+    mass = state.union().agg(F.sum("w")).first()[0]
+    before = state.levels()
+    # without the log all batches come again, under the ids they had
+    streams.CoresetState(spark, path, spec).follow(points, "again")
+    again = state.union().agg(F.sum("w")).first()[0]
+    m, start = state.solve(), first(p, 3)
+    got, base = (cost.trimmed_cost(p, c, 10, "abs").first()[0] for c in (m.centers, start))
+    full, small = (cost.cost(x, start, "abs").first()[0] for x in (p, state.union()))
+    return ok_rows(spark, {
+        "mass": mass == p.count(), "a restart adds nothing": again == mass and state.levels() == before, "levels count batches": [x is not None for x in before] == [True, True],
+        "a solution on demand": len(m.centers) == 3 and got < base, "certificate": abs(full - small) <= 0.5 * full,
+    })
+
+
+@query("SELECT CAST(count(*) AS BIGINT) AS w FROM events")
+def w28_stream(spark, sf_dir):
+    """The mass of the state that followed the stream of all events."""
+    path, spec, _ = _followed(spark, sf_dir)
+    return streams.CoresetState(spark, path, spec).union().agg(F.sum("w").alias("w"))
 
 
-QUERIES["w28_stream"], ORACLES["w28_stream"] = stream_merge_mass, ORACLES["stream_merge_mass"]
+@query("SELECT CAST(epoch_us(time_bucket(INTERVAL 1 DAY, ts)) // 1000000 AS BIGINT) - 86400 * d AS start, count(*) AS w FROM events, generate_series(0, 6) AS t(d) GROUP BY 1")
+def stream_sliding_coresets(spark, sf_dir):
+    """Coresets of seven days, folded from those of single days."""
+    e = _zoned(spark, sf_dir).select(F.col("event_id").cast("bigint").alias("pid"), F.col("value").alias("pt"), "ts")
+    spec = RobustSpec(2, 2, 0.5, metric="abs")
+    days = cs.checkpoint(streams.window_coresets(e, "1 day", spec))
+    return streams.fold_panes(days, 7, spec).groupBy(F.unix_seconds("start").alias("start")).agg(F.sum("w").cast("bigint").alias("w"))
+
+
+@query("SELECT event_type, count(*) AS n FROM events GROUP BY 1")
+def stream_update_mode(spark, sf_dir):
+    """Counts by type in update mode, a processing-time trigger between the micro-batches; the last value of each type counts."""
+    stream = streams.in_files(_zoned(spark, sf_dir), _folder(spark, "update"), 2, F.col("event_id") % 2).groupBy("event_type").agg(F.count("*").alias("n"))
+    held = []
+    q = stream.writeStream.outputMode("update").trigger(processingTime="100 milliseconds").option("checkpointLocation", _folder(spark, "update-log"))
+    q = q.foreachBatch(lambda df, i: held.append(cs.checkpoint(df.withColumn("at", F.lit(i))))).start()
+    q.processAllAvailable()
+    q.stop()
+    return cs.merge(*held).groupBy("event_type").agg(F.max_by("n", "at").alias("n"))
 
 
 @query("WITH c AS (SELECT event_id AS cid, value AS cx FROM events ORDER BY event_id LIMIT 5) SELECT e.event_id AS pid, round(min(abs(e.value - c.cx)), 6) AS dist, min(abs(e.value - c.cx)) > 100 AS is_outlier FROM events e, c GROUP BY e.event_id")
@@ -99,7 +160,7 @@ def rel_sql_function(spark, sf_dir):
 @query(checks("mass", "balls"))
 def rel_udtf_cover(spark, sf_dir):
     sqlapi.register(spark)
-    p = src.events_scalar(spark, sf_dir, 1000)
+    p = src.events_scalar(spark, sf_dir)
     near = cost.assign(p, first(p, 5), "abs").select("pid", F.col("pt").alias("x"), F.col("dist").alias("near"), F.lit(0).alias("part"))
     near.createOrReplaceTempView("cover_input")
     r = spark.sql("SELECT sum(w) AS w, count(*) AS n FROM ball_cover(TABLE(cover_input) PARTITION BY (part) ORDER BY (pid), 0.25D, 10.0D)").first()

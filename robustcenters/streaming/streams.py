@@ -6,14 +6,15 @@ again.
 
 from __future__ import annotations
 
-import tempfile
-from dataclasses import dataclass, field
+import json
+from dataclasses import dataclass
 
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from ..operators import coreset as cs
 from ..plans.pipeline import Model, RobustSpec, model_of
+from ..shared import shared_folder
 from ..sources import points as src
 
 
@@ -24,6 +25,16 @@ def event_stream(spark: SparkSession, sf_dir: str) -> DataFrame:
     return raw.withColumn("ts", F.col("ts").cast("timestamp"))
 
 
+def in_files(events: DataFrame, path: str, groups: int, key) -> DataFrame:
+    """The table as a stream of ``groups`` files, one in each micro-batch: first the rows whose key is 0, then 1, ..."""
+    spark = events.sparkSession
+    # only new files are added, each with a later time of its own; a repeated run finds its files written
+    for i in range(groups):
+        events.where(key == i).coalesce(1).write.mode("overwrite").parquet(f"{path}/part={i}")
+    raw = spark.readStream.schema(events.schema).option("maxFilesPerTrigger", 1).option("recursiveFileLookup", "true").option("pathGlobFilter", "*.parquet").parquet(path)
+    return raw
+
+
 def with_lateness(stream: DataFrame, delay: str = "1 day") -> DataFrame:
     return stream.withWatermark("ts", delay)
 
@@ -64,32 +75,70 @@ def score(stream: DataFrame, model: Model, threshold: float) -> DataFrame:
 
 @dataclass
 class CoresetState:
-    """Binary counter of coresets: level i holds the union of 2^i batches. Updates are idempotent by batch id."""
+    """Binary counter of coresets in a shared folder: level i holds the union of 2^i batches.
+
+    Every update writes new level tables and then a manifest that names them, so a restart goes on from the last complete
+    one, and a batch that is delivered again changes nothing.
+    """
 
+    spark: SparkSession
+    path: str
     spec: RobustSpec
-    levels: list[DataFrame | None] = field(default_factory=list)
-    seen: set[int] = field(default_factory=set)
+
+    def _manifest(self) -> dict:
+        """The last complete manifest: {"batch": its id, "levels": names of level tables or null}."""
+        folder = self.spark._jvm.org.apache.hadoop.fs.Path(self.path)
+        if not folder.getFileSystem(self.spark._jsc.hadoopConfiguration()).exists(folder):
+            return {"batch": -1, "levels": []}
+        rows = self.spark.read.schema("head string").option("pathGlobFilter", "*.txt").option("recursiveFileLookup", "true").text(self.path)
+        return max((json.loads(r["head"]) for r in rows.collect()), key=lambda m: m["batch"], default={"batch": -1, "levels": []})
 
     def update(self, batch: DataFrame, batch_id: int) -> None:
-        if batch_id in self.seen or batch.isEmpty():
+        """Batch ids rise, as Structured Streaming's do."""
+        last = self._manifest()
+        if batch_id <= last["batch"] or batch.isEmpty():
             return
-        s = self.spec
+        s, levels = self.spec, list(last["levels"])
         new = cs.build(batch, s.k, s.z, s.gamma, s.variant, s.metric, s.power, parts=s.parts or 2, seeding=s.seeding).rows.select("pid", "pt", "w", "part_id")
         at = 0
-        while at < len(self.levels) and self.levels[at] is not None:
-            new = cs.checkpoint(cs.recover(cs.merge(self.levels[at], new), s.k + s.z, s.gamma, metric=s.metric, power=s.power))
-            self.levels[at] = None
+        while at < len(levels) and levels[at] is not None:
+            new = cs.checkpoint(cs.recover(cs.merge(self._level(levels[at]), new), s.k + s.z, s.gamma, metric=s.metric, power=s.power))
+            levels[at] = None
             at += 1
-        self.levels += [None] * (at + 1 - len(self.levels))
-        self.levels[at] = new
-        self.seen.add(batch_id)
+        levels += [None] * (at + 1 - len(levels))
+        levels[at] = f"level-{at}-batch-{batch_id}"
+        new.write.mode("overwrite").parquet(f"{self.path}/{levels[at]}")
+        head = json.dumps({"batch": batch_id, "levels": levels})
+        self.spark.createDataFrame([(head,)], "head string").coalesce(1).write.mode("overwrite").text(f"{self.path}/manifest-{batch_id}")
+
+    def _level(self, name: str) -> DataFrame:
+        return self.spark.read.parquet(f"{self.path}/{name}")
 
     def union(self) -> DataFrame:
-        return cs.merge(*[x for x in self.levels if x is not None])
+        return cs.merge(*[self._level(x) for x in self._manifest()["levels"] if x is not None])
+
+    def levels(self) -> list[str | None]:
+        return self._manifest()["levels"]
 
     def solve(self) -> Model:
         return model_of(cs.checkpoint(self.union()), self.spec)
 
+    def follow(self, stream: DataFrame, name: str, **trigger) -> None:
+        """Feed a stream of (pid, pt) to its end through foreachBatch; the log lies beside the levels."""
+        q = stream.writeStream.foreachBatch(self.update).option("checkpointLocation", f"{self.path}-log-{name}").trigger(**(trigger or {"availableNow": True})).start()
+        q.awaitTermination()
+
+
+def fold_panes(panes: DataFrame, width: int, spec: RobustSpec) -> DataFrame:
+    """(start, pid, pt, w): for each day a coreset of the ``width`` days that begin with it, from the days' coresets alone.
+
+    panes: (start, pid, pt, w), a coreset for each day. Coresets of disjoint panes unite, and the union is covered again.
+    """
+    shift = F.explode(F.sequence(F.lit(0), F.lit(width - 1))).alias("back")
+    wide = panes.select("start", "pid", "pt", "w", shift).select((F.unix_seconds("start") - 86400 * F.col("back")).cast("int").alias("part_id"), "pid", "pt", "w")
+    c = cs.build(wide, spec.k, spec.z, spec.gamma, "one_round", spec.metric, spec.power, parts=1, seeding=spec.seeding, scheme="given")
+    return c.rows.select(F.timestamp_seconds("part_id").alias("start"), "pid", "pt", "w")
+
 
 def window_coresets(points: DataFrame, width: str, spec: RobustSpec) -> DataFrame:
     """(start, pid, pt, w): one coreset for each closed window of (pid, pt, ts), windows being the parts of one build."""
@@ -102,7 +151,7 @@ def window_coresets(points: DataFrame, width: str, spec: RobustSpec) -> DataFram
 def run(spark: SparkSession, query: DataFrame, mode: str = "append", trigger: dict | None = None) -> DataFrame:
     """Run to the end of what is available and give the collected output as a table."""
     name = f"out_{abs(hash((id(query), spark.sparkContext.applicationId)))}"
-    base = spark.sparkContext.getConf().get("spark.checkpoint.dir") or tempfile.gettempdir()
+    base = shared_folder(spark)
     where = f"{base}/{spark.sparkContext.applicationId}-{name}"
     if mode == "append":
         rows = query.writeStream.format("parquet").option("path", f"{where}/rows").option("checkpointLocation", f"{where}/log").trigger(**(trigger or {"availableNow": True})).start()

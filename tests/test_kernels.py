@@ -95,4 +95,4 @@ def test_metric_blocks_agree_with_one_pair_functions():
     a = np.array([frozenset("abc"), frozenset("bd"), frozenset()], dtype=object)
     got = metrics.JACCARD.block(a, a)
     assert np.allclose(got, [[metrics.jaccard(x, y) for y in a] for x in a])
-    assert metrics.edit_distance("kitten", "sitting") == 3
+    assert metrics.edit_distances(["kitten", ""], ["sitting", "kitten"]).tolist() == [[3, 0], [7, 6]]
