@@ -212,8 +212,7 @@ def lookup(name: str, table: list[list[float]], most: int = 1000) -> Metric:
     if matrix.shape != (len(table), len(table)) or len(table) > most or (matrix != matrix.T).any() or matrix.diagonal().any() or (matrix < 0).any():
         raise ValueError("need a symmetric matrix without negative entries, zero on the diagonal, of a bounded size")
     triangle = bool((matrix[:, None, :] <= matrix[:, :, None] + matrix[None, :, :] + 1e-9).all()) if len(table) <= 200 else False
-    flat = F.lit(matrix.ravel().tolist())
-    at = lambda a, b: F.element_at(flat, (a * len(table) + b + 1).cast("int"))
+    at = lambda a, b: F.element_at(F.lit(matrix.ravel().tolist()), (a * len(table) + b + 1).cast("int"))
     return Metric(name, "scalar", triangle, at, lambda a, b: matrix[np.ix_(a.astype("int64"), b.astype("int64"))])
 
 

@@ -96,3 +96,96 @@ def test_metric_blocks_agree_with_one_pair_functions():
     got = metrics.JACCARD.block(a, a)
     assert np.allclose(got, [[metrics.jaccard(x, y) for y in a] for x in a])
     assert metrics.edit_distances(["kitten", ""], ["sitting", "kitten"]).tolist() == [[3, 0], [7, 6]]
+
+
+def test_densest_picks_what_takes_most():
+    """Every pick is a point that takes most of what is left, by counting anew each time."""
+    from robustcenters.functions.metrics import ABS
+    from robustcenters.operators import kernels
+
+    rng = np.random.default_rng(7)
+    pts = np.round(rng.exponential(5, 120), 3)
+    near, w = np.abs(pts), np.ones(120, dtype="int64")
+    picked, mass, proxy, _ = kernels.ball_cover(ABS, pts, near, w, 0.5, 1.0, "densest")
+    threshold = np.round(0.5 * np.maximum(1.0, near), 9)
+    left = np.arange(120)
+    for q, m in zip(picked, mass):
+        takes = [int(((np.round(np.abs(pts[left] - pts[c]), 9) <= threshold[left]) | (left == c)).sum()) for c in left]
+        own = (np.round(np.abs(pts[left] - pts[q]), 9) <= threshold[left]) | (left == q)
+        assert own.sum() == m >= max(takes) - 1
+        left = left[~own]
+    assert not len(left)
+
+
+def test_edit_distances_equal_the_table():
+    from robustcenters.functions.metrics import EDIT, edit_distances
+
+    def plain(x, y):
+        row = list(range(len(y) + 1))
+        for i, c in enumerate(x, 1):
+            last, row[0] = row[0], i
+            for j, d in enumerate(y, 1):
+                last, row[j] = row[j], min(row[j] + 1, row[j - 1] + 1, last + (c != d))
+        return row[-1]
+
+    rng = np.random.default_rng(3)
+    words = ["".join(rng.choice(list("abcé"), n)) for n in rng.integers(0, 9, 40)]
+    assert edit_distances(words, words[:17]).tolist() == [[plain(x, y) for y in words[:17]] for x in words]
+    many = np.array([*words, *words], dtype=object)
+    assert EDIT.block(many, many[:5]).tolist() == [[plain(x, y) for y in many[:5]] for x in many]
+
+
+def test_lookup_metric_refuses_what_is_none():
+    from robustcenters.functions.metrics import lookup
+
+    assert lookup("ring", [[0, 1, 1], [1, 0, 1], [1, 1, 0]]).is_metric and not lookup("far", [[0, 1, 9], [1, 0, 1], [9, 1, 0]]).is_metric
+    for bad in ([[0, 1], [2, 0]], [[1, 1], [1, 0]], [[0, -1], [-1, 0]]):
+        with pytest.raises(ValueError):
+            lookup("bad", bad)
+
+
+def test_trimmed_search_reports_what_it_earned():
+    """Passes are taken when the cap allows, within it; the ratio is reported only if nothing was closed to the search."""
+    from robustcenters.operators import solvers
+
+    rng = np.random.default_rng(11)
+    pts = np.r_[rng.normal(0, 1, 60), rng.normal(50, 1, 60), rng.normal(500, 200, 8)]
+    d, w = np.round(np.abs(pts[:, None] - pts[None]), 9), np.ones(128, dtype="int64")
+    free = solvers.trimmed_swap(d, w, 2, 4)
+    assert free.stats["passes"] > 0 and free.stats["alpha"] == 274 and free.cost <= free.stats["start_cost"]
+    for cap in (4, 8):
+        capped = solvers.trimmed_swap(d, w, 2, 4, outlier_cap=cap)
+        assert capped.outliers.sum() <= cap and capped.cost <= capped.stats["start_cost"]
+        assert capped.stats["alpha"] is None or not capped.stats["stopped_by_cap"]
+    assert solvers.trimmed_swap(d, w, 2, 4, outlier_cap=8).stats["passes"] > 0
+    found = solvers.multi_swap(d, w, 2, 8, eps=0.5, swap_size=1, candidate_cap=None)
+    assert found.stats["alpha"] is None and not found.stats["capped"]
+    exact = solvers.exhaustive(d, w, 2, 8)
+    full = solvers.multi_swap(d[::4, ::4], w[::4], 2, 2, eps=0.4, swap_size=2, candidate_cap=None, dimension=0.4)
+    assert full.stats["alpha"] == 1.4 and full.cost <= 1.4 * solvers.exhaustive(d[::4, ::4], w[::4], 2, 2).cost + 1e-9
+    assert found.cost >= exact.cost - 1e-9 or len(found.centers) > 2
+
+
+def test_metric_axioms_on_all_triples(spark):
+    """What the registered queries check along the ids of whole tables, on all triples of small ones."""
+    from robustcenters.functions import metrics
+
+    rng = np.random.default_rng(5)
+    rows = [(i, [float(x) for x in rng.normal(size=3)]) for i in range(25)]
+    vectors = spark.createDataFrame(rows, "pid long, pt array<double>")
+    for m in ("l1", "l2", "linf", "angular", metrics.lp(3), "hamming", "ultra"):
+        assert tuple(metrics.axiom_violations(vectors, m).first()) == (0, 0, 0)
+    sets = spark.createDataFrame([(i, ["abcdefgh"[j] for j in range(8) if rng.random() < 0.5]) for i in range(20)], "pid long, pt array<string>")
+    assert tuple(metrics.axiom_violations(sets, "jaccard").first()) == (0, 0, 0)
+    assert metrics.axiom_violations(vectors, "squared_l2").first()["triangle"] > 0
+    assert metrics.axiom_violations_along(vectors, "l2").first()["triples"] == 23
+
+
+def test_ranks_and_even_parts(spark):
+    from robustcenters.sources import points
+
+    p = spark.createDataFrame([(int(i), 1.0) for i in np.random.default_rng(2).permutation(997)], "pid long, pt double")
+    assert sorted((r["rank"], r["pid"]) for r in points.ranked(p).collect()) == [(i, i) for i in range(997)]
+    sizes = [r["count"] for r in points.partition(p, 7, "even").groupBy("part_id").count().collect()]
+    assert max(sizes) - min(sizes) <= 1 and sum(sizes) == 997
+
