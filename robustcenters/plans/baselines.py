@@ -32,7 +32,7 @@ def per_part_outlier_solver(points: DataFrame, spec: RobustSpec, parts: int = 4,
         table = table.sort_by("pid")
         w, pts = table["w"].to_numpy(), m.load(table["pt"])
         d = np.round(m.block(pts, pts), 9)
-        s = solvers.SOLVERS[solver](d, w, min(spec.k, len(w)), min(spec.z, int(w.sum()) - 1), spec.power, **({"init": "dsq", "outlier_cap": 2 * spec.z} | options))
+        s = solvers.SOLVERS[solver](d, w, min(spec.k, len(w)), min(spec.z, int(w.sum()) - 1), spec.power, **({"init": "dsq", "outlier_cap": 2 * spec.z, "max_passes": 3} | options))
         mass = np.bincount(d[:, s.centers].argmin(axis=1), weights=w - s.outliers, minlength=len(s.centers)).astype("int64")
         total = s.outliers.copy()
         total[s.centers] += mass

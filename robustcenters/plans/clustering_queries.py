@@ -791,11 +791,11 @@ def uniform_sample_mass(spark, sf_dir):
 @query(o.checks("means cost no more than members"))
 def lloyd_compare(spark, sf_dir):
     p = src.events_2d(spark, sf_dir)
-    c = list(enumerate(baselines.lloyd(p, 4, 12)))
+    c = list(enumerate(baselines.lloyd(p, 4, 40)))
     a = cost.assign(p, c, "l2")
     near = [r["pt"] for r in a.groupBy("cid").agg(F.min_by("pt", F.struct("dist", "pid")).alias("pt")).orderBy("cid").collect()]
     means, members, start = (cost.cost(p, x, "l2").first()[0] for x in (c, list(enumerate(near)), first(p, 4)))
-    return ok_rows(spark, {"means cost no more than members": means <= members <= 4 * means and means < start})
+    return ok_rows(spark, {"means cost no more than members": means <= 1.001 * members <= 4 * means and means < start})
 
 
 @query(o.checks("solver on everything is within the certificate"))
