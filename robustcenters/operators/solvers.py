@@ -29,6 +29,10 @@ class Solution:
     stats: dict = field(default_factory=dict)
 
 
+def _power(x: np.ndarray, power: int) -> np.ndarray:
+    return x if power == 1 else x * x if power == 2 else x**power
+
+
 def trim(dist: np.ndarray, w: np.ndarray, z: int) -> np.ndarray:
     """Outlier mass of each point: z units from the farthest on, ties by index."""
     order = np.lexsort((np.arange(len(dist)), -np.round(dist, 9)))
@@ -89,9 +93,12 @@ def swap_search(d, w, centers, power, gain: float, stats: dict, max_moves: int =
         owner, first = table.argmin(axis=1), order[:, 0]
         second = order[:, 1] if len(centers) > 1 else np.full(len(w), np.inf)
         now = float((w * first**power).sum())
-        base = np.minimum(first[:, None], d) ** power * w[:, None]
-        rest = np.minimum(second[:, None], d) ** power * w[:, None] if len(centers) > 1 else d**power * w[:, None]
-        totals = np.stack([base[owner != c].sum(axis=0) + rest[owner == c].sum(axis=0) for c in range(len(centers))])
+        # of every cluster: what its points cost if a point is opened, with their center kept and with it closed
+        kept, closed = np.empty((len(centers), len(w))), np.empty((len(centers), len(w)))
+        for c in range(len(centers)):
+            own = np.flatnonzero((owner == c) & (w > 0))
+            kept[c], closed[c] = (w[own] @ _power(np.minimum(limit[own, None], d[own]), power) for limit in (first, second))
+        totals = np.stack([closed[c] + kept[:c].sum(axis=0) + kept[c + 1 :].sum(axis=0) for c in range(len(centers))])
         stats["trials"] = stats.get("trials", 0) + totals.size
         out, new = np.unravel_index(int(totals.argmin()), totals.shape)
         if not totals[out, new] < (1 - gain) * now or now <= 0:
@@ -103,15 +110,23 @@ def swap_search(d, w, centers, power, gain: float, stats: dict, max_moves: int =
 
 def best_swap(d, w, centers, z, power, stats: dict) -> list[int]:
     """The best single swap over all points under the trimmed cost."""
-    best, found = np.inf, list(centers)
+    best, found, some = np.inf, list(centers), np.flatnonzero(w > 0)
     for c in range(len(centers)):
         rest = centers[:c] + centers[c + 1 :]
         near = d[:, rest].min(axis=1) if rest else np.full(len(w), np.inf)
         table = np.minimum(near[:, None], d)
-        order = np.argsort(-np.round(table, 9), axis=0, kind="stable")
-        ww = w[order]
-        left = ww - np.clip(z - (np.cumsum(ww, axis=0) - ww), 0, ww)
-        totals = (left * np.take_along_axis(table, order, axis=0) ** power).sum(axis=0)
+        terms = w[:, None] * _power(table, power)
+        if z > 0:
+            # z units lie on the z farthest points of positive mass at most
+            most = min(z, len(some))
+            far = some[np.argpartition(table[some], len(some) - most, axis=0)[len(some) - most :]] if most < len(some) else np.tile(some[:, None], (1, len(w)))
+            dist = np.take_along_axis(table, far, axis=0)
+            order = np.argsort(-dist, axis=0, kind="stable")
+            far, dist = np.take_along_axis(far, order, axis=0), np.take_along_axis(dist, order, axis=0)
+            ww = w[far]
+            left = ww - np.clip(z - (np.cumsum(ww, axis=0) - ww), 0, ww)
+            np.put_along_axis(terms, far, left * _power(dist, power), axis=0)
+        totals = terms.sum(axis=0)
         stats["trials"] = stats.get("trials", 0) + len(totals)
         if totals.min() < best - 1e-12:
             best, found = float(totals.min()), rest + [int(totals.argmin())]

@@ -189,3 +189,20 @@ def test_ranks_and_even_parts(spark):
     sizes = [r["count"] for r in points.partition(p, 7, "even").groupBy("part_id").count().collect()]
     assert max(sizes) - min(sizes) <= 1 and sum(sizes) == 997
 
+
+def test_swap_tables_equal_trying_every_swap():
+    """The best swap and the swap search's first move, with weights, ties and zero masses, for both powers."""
+    from robustcenters.operators import solvers
+
+    rng = np.random.default_rng(13)
+    for power in (1, 2):
+        for z in (0, 1, 5, 40):
+            pts = np.round(rng.exponential(10, 40))
+            d, w = np.abs(pts[:, None] - pts[None]), rng.integers(0, 4, 40)
+            centers = [0, 7, 19]
+            options = [[*centers[:c], *centers[c + 1 :], i] for c in range(3) for i in range(40)]
+            if z < w.sum():
+                found = solvers.best_swap(d, w, centers, z, power, {})
+                assert abs(solvers.trimmed_cost(d, w, found, z, power) - min(solvers.trimmed_cost(d, w, o, z, power) for o in options)) < 1e-9
+            moved = solvers.swap_search(d, w, centers, power, 1e-9, {}, max_moves=1)
+            assert abs(solvers.trimmed_cost(d, w, moved, 0, power) - min(solvers.trimmed_cost(d, w, o, 0, power) for o in [centers, *options])) < 1e-9
