@@ -45,31 +45,36 @@ RUNS = re.compile(rb"(.)\1+", re.S)
 VALUE = np.dtype([("at", "<u2"), ("x", "<f2")])
 
 
-def word_buckets(word: bytes) -> tuple[int, int]:
-    """Buckets of a word's shape, runs of letters, digits and signs each as one character, and of the word in lower case."""
-    return zlib.crc32(RUNS.sub(rb"\1", word.translate(CLASSES))[:8]) % SHAPES, SHAPES + zlib.crc32(word.lower()) % WORDS
+def word_buckets(word: bytes) -> int:
+    """Buckets of a word's shape, runs of letters, digits and signs each as one character, and of the word in lower case, in one number."""
+    return (zlib.crc32(RUNS.sub(rb"\1", word.translate(CLASSES))[:8]) % SHAPES) << 16 | SHAPES + zlib.crc32(word.lower()) % WORDS
 
 
-def text_view(body: bytes | None, cache: dict[bytes, tuple[int, int]]) -> np.ndarray:
+def text_view(body: bytes | None, cache: dict[bytes, int]) -> np.ndarray:
     """Roots of the shares of shapes and words, and shares of repeated words and windows."""
     words = (body or b"").split()
     n = len(words)
     if not n:
         return np.array([(TEXT_SIZE - 1, 1)], dtype=VALUE)
-    buckets: list[int] = []
-    for w in words:
-        b = cache.get(w)
-        if b is None:
-            if len(cache) >= 300_000:
-                cache.clear()
-            b = cache[w] = word_buckets(w)
-        buckets += b
-    out = np.zeros(TEXT_SIZE, dtype="float32")
-    out[: SHAPES + WORDS] = np.sqrt(np.bincount(buckets, minlength=SHAPES + WORDS) / n)
-    out[-4:-1] = 1 - len(set(zip(words, words[1:], words[2:], words[3:]))) / max(1, n - 3), 1 - len(set(words)) / n, n < 10
-    at = np.flatnonzero(out)
-    view = np.empty(len(at), dtype=VALUE)
-    view["at"], view["x"] = at, out[at]
+    if len(cache) > 300_000:
+        cache.clear()
+    for w in set(words).difference(cache):
+        cache[w] = word_buckets(w)
+    # a word is one number: its shape's bucket in the upper bits, its own in the lower ones
+    pairs = np.fromiter(map(cache.__getitem__, words), dtype="int64", count=n)
+    buckets = np.concatenate([pairs >> 16, pairs & 0xFFFF])
+    counts = np.bincount(buckets, minlength=SHAPES + WORDS)
+    own = np.flatnonzero(counts)
+    # windows of four words, told apart by the words' buckets
+    mixed = pairs[3:].copy() if n > 3 else np.zeros(0, dtype="int64")
+    for k in range(3):
+        mixed = mixed * 0x1000193 + pairs[k : k + len(mixed)]
+    windows = np.sort(mixed)
+    again = float((windows[1:] == windows[:-1]).sum()) / max(1, n - 3)
+    shares = (again, 1 - len(set(words)) / n, float(n < 10))
+    view = np.empty(len(own) + 3, dtype=VALUE)
+    view["at"][:-3], view["x"][:-3] = own, np.sqrt(counts[own] / n)
+    view["at"][-3:], view["x"][-3:] = range(TEXT_SIZE - 4, TEXT_SIZE - 1), shares
     return view
 
 
@@ -238,7 +243,7 @@ def views_of(docs: DataFrame) -> DataFrame:
     arrow = arrow_schema(docs.sparkSession, VIEWS)
 
     def run(batches):
-        cache: dict[bytes, tuple[int, int]] = {}
+        cache: dict[bytes, int] = {}
         for part in chunks(batches):
             doc, body, *meta = (c.to_pylist() for c in part.columns)
             yield pa.RecordBatch.from_arrays([pa.array(doc, pa.int64()), pa.array([text_view(b, cache).tobytes() for b in body]), pa.array([meta_view(*m).tobytes() for m in zip(*meta)])], schema=arrow)
@@ -303,7 +308,7 @@ def keep_good(docs: DataFrame, labels: DataFrame, keep: float = KEEP) -> DataFra
         if shared.value is None:
             return pd.Series(np.ones(len(body), dtype=bool))
         models, prior = shared.value
-        cache: dict[bytes, tuple[int, int]] = {}
+        cache: dict[bytes, int] = {}
         out = np.zeros(len(body), dtype=bool)
         sizes = [None if pd.isna(x) else int(x) for x in size]
         for at in range(0, len(body), 512):
