@@ -35,8 +35,10 @@ CACHE_WORDS = 150_000
 SPECIAL, SPECIAL_ID = "<|endoftext|>", 50256
 
 #: A blank before a non-blank starts a pre-token whatever stands before it, so words between such blanks can be
-#: tokenised alone. A blank before white space or at the end, and long runs of white space, need the whole text.
-UNSAFE = re.compile(r" (?:\s|$)|\s{200}")
+#: tokenised alone. A blank before white space or at the end needs the whole text.
+UNSAFE = re.compile(r" (?:\s|$)")
+#: Runs of white space that a backtracking pattern may give up on; only texts over LONG_TEXT characters are searched for them.
+LONG_RUN, LONG_TEXT = re.compile(r"\s{200}"), 20_000
 
 
 def byte_ranks(path: str) -> dict[bytes, int]:
@@ -79,7 +81,7 @@ class WordTokenizer:
         return got
 
     def ids(self, text: str) -> bytes:
-        if UNSAFE.search(text):
+        if UNSAFE.search(text) or len(text) > LONG_TEXT and LONG_RUN.search(text):
             return np.array(self.whole.encode(text, add_special_tokens=False).ids, dtype="<u4").tobytes()
         if SPECIAL in text:
             return np.array([SPECIAL_ID], dtype="<u4").tobytes().join(self.ids(x) for x in text.split(SPECIAL))
