@@ -15,6 +15,7 @@ length are tokenised whole, runs of white space of any length included; a task h
 
 from __future__ import annotations
 
+import functools
 import json
 import re
 import zlib
@@ -30,7 +31,7 @@ from .common import arrow_schema, checkpoint, chunks, text_bytes
 CAPACITY = 2048
 END_ID = 0
 #: Words kept with their ids in each Python worker.
-CACHE_WORDS = 150_000
+CACHE_WORDS = 100_000
 #: Special string of the tokenizer file, with its id (fixed values).
 SPECIAL, SPECIAL_ID = "<|endoftext|>", 50256
 
@@ -41,6 +42,23 @@ UNSAFE = re.compile(r" (?:\s|$)")
 LONG_RUN, LONG_TEXT = re.compile(r"\s{200}"), 20_000
 
 
+@functools.cache
+def _encoder(path: str):
+    """Made once in a Python worker, as its tables take longer to make than most tasks."""
+    import public_tokenizers
+    import tiktoken
+
+    return tiktoken.Encoding("words", pat_str=public_tokenizers.PATTERN, mergeable_ranks=byte_ranks(path), special_tokens={}).encode_ordinary
+
+
+@functools.cache
+def _library(path: str):
+    """Made once in a Python worker that meets a text for it."""
+    from tokenizers import Tokenizer
+
+    return Tokenizer.from_file(path)
+
+
 def byte_ranks(path: str) -> dict[bytes, int]:
     """Token bytes and ids of a byte-level BPE file, whose ids are the order of its merges."""
     with open(path, encoding="utf-8") as file:
@@ -61,12 +79,9 @@ class WordTokenizer:
 
     def __init__(self, path: str | None = None):
         import public_tokenizers
-        import tiktoken
-        from tokenizers import Tokenizer
 
-        path = path or public_tokenizers.path("byte_bpe_50k.json")
-        self.encode = tiktoken.Encoding("words", pat_str=public_tokenizers.PATTERN, mergeable_ranks=byte_ranks(path), special_tokens={}).encode_ordinary
-        self.whole = Tokenizer.from_file(path)
+        self.path = path or public_tokenizers.path("byte_bpe_50k.json")
+        self.encode = _encoder(self.path)
         self.cache: dict[str, bytes] = {}
 
     def _raw(self, text: str) -> bytes:
@@ -82,7 +97,7 @@ class WordTokenizer:
 
     def ids(self, text: str) -> bytes:
         if UNSAFE.search(text) or len(text) > LONG_TEXT and LONG_RUN.search(text):
-            return np.array(self.whole.encode(text, add_special_tokens=False).ids, dtype="<u4").tobytes()
+            return np.array(_library(self.path).encode(text, add_special_tokens=False).ids, dtype="<u4").tobytes()
         if SPECIAL in text:
             return np.array([SPECIAL_ID], dtype="<u4").tobytes().join(self.ids(x) for x in text.split(SPECIAL))
         if not text:
@@ -159,12 +174,12 @@ def plan(histogram: dict[int, int], capacity: int = CAPACITY) -> list[tuple[int,
     return slots
 
 
-def pack(digests: DataFrame, capacity: int = CAPACITY, bucket_rows: int = 20_000) -> DataFrame:
+def pack(digests: DataFrame, capacity: int = CAPACITY, bucket_rows: int = 1000, most_buckets: int = 1_000_000) -> DataFrame:
     """Give every piece (any columns beside doc_id, piece, length) its sequence_id and offset."""
     spark = digests.sparkSession
     kept = checkpoint(digests.withColumn("_mark", F.monotonically_increasing_id()))
     total = kept.count()
-    buckets = max(1, -(-total // bucket_rows))
+    buckets = min(most_buckets, max(1, -(-total // bucket_rows)))  # a length has so many rows in the table of counts
     # repeated rows share doc_id and piece, so the mark spreads them
     kept = kept.withColumn("_bucket", F.pmod(F.xxhash64("_mark"), F.lit(buckets)).cast("int"))
     # per length, counts of buckets: at most capacity rows for each bucket
