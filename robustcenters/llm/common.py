@@ -93,8 +93,8 @@ def text_bytes(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text",
     return docs.select(F.col(id_col).cast("bigint").alias("doc_id"), F.col(text_col).cast("binary").alias("body"), *more)
 
 
-def chunks(batches: Iterator[pa.RecordBatch], column: str = "body") -> Iterator[pa.RecordBatch]:
-    """Cut batches so that each piece holds about CHUNK_BYTES of the column, whatever the lengths are."""
+def chunks(batches: Iterator[pa.RecordBatch], column: str = "body", most: int = CHUNK_BYTES) -> Iterator[pa.RecordBatch]:
+    """Cut batches so that each piece holds about ``most`` bytes of the column, whatever the lengths are."""
     for batch in batches:
         at, n = 0, batch.num_rows
         if not n:
@@ -102,7 +102,7 @@ def chunks(batches: Iterator[pa.RecordBatch], column: str = "body") -> Iterator[
         lengths = pa.compute.fill_null(pa.compute.binary_length(batch.column(column)), 0).to_pylist()
         while at < n:
             size, end = lengths[at], at + 1
-            while end < n and size + lengths[end] <= CHUNK_BYTES:
+            while end < n and size + lengths[end] <= most:
                 size += lengths[end]
                 end += 1
             yield batch.slice(at, end - at)

@@ -32,7 +32,7 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
-from .common import CHUNK_BYTES, arrow_schema, checkpoint, chunks, join_hot, run_hashes, written
+from .common import arrow_schema, checkpoint, chunks, join_hot, run_hashes, written
 
 DEPTH = 3
 FIELDS = 8
@@ -45,6 +45,8 @@ LEAST = 2
 LONG, REACH, RUN = 24, 5, 20
 #: Units that are sampled to find frequent ones, those with more than a FREQUENT-th of the places.
 SAMPLED, FREQUENT = 1_000_000, 2000
+#: Bytes of text that are parsed at a time; tokens, hashes and units take about thirty times as much.
+PARSED_BYTES = 1 << 20
 MASK = np.uint64(0x5851F42D4C957F2D)
 #: Base of the second hash.
 OTHER = 0xD1342543DE82EF95
@@ -128,7 +130,7 @@ def unit_keys(docs: DataFrame, row: Column) -> DataFrame:
     signed = lambda x: pa.array(np.ascontiguousarray(x).view("int64"))
 
     def run(batches):
-        for part in chunks(batches):
+        for part in chunks(batches, most=PARSED_BYTES):
             parsed = Parsed(part.column(1).to_pylist())
             own, leaf, allowed, fields, at = parsed.keys()
             text = pa.array(parsed.text[own])
@@ -206,8 +208,8 @@ def _reached(units: DataFrame, matched: DataFrame, least: int) -> DataFrame:
     return matched.join(reached.select("leaf", "template"), ["leaf", "template"], "left_semi")
 
 
-def without(bodies: list[bytes], gone: list) -> list[bytes]:
-    """The texts without their units: whole lines, and runs of segments of at least RUN tokens."""
+def without(bodies: list[bytes], gone: list) -> tuple[list[bytes], list[int]]:
+    """The texts without their units, whole lines and runs of segments of at least RUN tokens; and how many units went."""
     parsed = Parsed(bodies)
     drop = np.zeros(len(parsed.text), dtype=bool)
     for base, units in zip(np.searchsorted(parsed.text, np.arange(len(bodies))).tolist(), gone):
@@ -217,6 +219,7 @@ def without(bodies: list[bytes], gone: list) -> list[bytes]:
     size = np.r_[0, np.cumsum(parsed.last - parsed.first)]
     cut = drop[heads] & (~parsed.long[heads] | (size[tails] - size[heads] >= RUN)) if len(heads) else np.zeros(0, dtype=bool)
     heads, tails = heads[cut], tails[cut]
+    went = np.bincount(parsed.text[heads], weights=tails - heads, minlength=len(bodies)).astype("int64").tolist()
     cuts: dict[tuple[int, int], list[tuple[int, int]]] = {}
     spans = zip(parsed.text[heads].tolist(), parsed.line[heads].tolist(), parsed.starts[parsed.first[heads]].tolist(), parsed.ends[parsed.last[tails - 1] - 1].tolist())
     for text, line, lo, hi in spans:
@@ -239,7 +242,7 @@ def without(bodies: list[bytes], gone: list) -> list[bytes]:
                     lines.append(left)
             base += len(line) + 1
         out.append(b"\n".join(lines))
-    return out
+    return out, went
 
 
 def drop_recurring_lines(docs: DataFrame, least: int = LEAST, report: bool = False) -> DataFrame:
@@ -256,33 +259,32 @@ def drop_recurring_lines(docs: DataFrame, least: int = LEAST, report: bool = Fal
         pack = ZstdCompressor(level=1).compress
         return pa.array([None if b is None else pack(b) for b in body.to_pylist()], pa.binary())
 
-    @F.arrow_udf("string")
+    @F.arrow_udf("kept string, went long")
     def clean(body: pa.Array, units: pa.Array) -> pa.Array:
         from zstandard import ZstdDecompressor
 
         unpack = ZstdDecompressor().decompress
         texts = [None if b is None else unpack(b) for b in body.to_pylist()]
-        units = units.to_pylist()
+        units, went = units.to_pylist(), [0] * len(texts)
         rows = [i for i, (t, u) in enumerate(zip(texts, units)) if t is not None and u is not None]
         at = 0
         while at < len(rows):
             end, size = at, 0
-            while end < len(rows) and (end == at or size + len(texts[rows[end]]) <= CHUNK_BYTES):
+            while end < len(rows) and (end == at or size + len(texts[rows[end]]) <= PARSED_BYTES):
                 size += len(texts[rows[end]])
                 end += 1
-            for i, text in zip(rows[at:end], without([texts[i] for i in rows[at:end]], [units[i] for i in rows[at:end]])):
-                texts[i] = text
+            for i, text, n in zip(rows[at:end], *without([texts[i] for i in rows[at:end]], [units[i] for i in rows[at:end]])):
+                texts[i], went[i] = text, n
             at = end
-        return pa.array(texts, pa.binary()).cast(pa.string())
+        return pa.StructArray.from_arrays([pa.array(texts, pa.binary()).cast(pa.string()), pa.array(went, pa.int64())], ["kept", "went"])
 
     # texts are packed before they are shuffled, which more than halves what the join writes
     text = F.col("text")
     others = [F.struct(*[c for c in docs.columns if c != "text"]).alias("others"), _order().alias("doc_id"), F.xxhash64("text").alias("row")]
     sizes = [F.length("text").alias("chars"), (F.length(text) - F.length(F.replace(text, F.lit("\n"), F.lit(""))) + 1).alias("n_lines")]
     held = docs.select(*others, *(sizes if report else []), packed(text.cast("binary")).alias("body")).join(gone.hint("shuffle_hash"), ["doc_id", "row"], "left")
-    held = held.withColumn("kept", clean("body", "gone"))
+    held = held.withColumn("done", clean("body", "gone")).select("*", "done.kept", "done.went")
     if report:
-        dropped = F.when(F.col("gone").isNull(), 0).otherwise(F.size("gone"))
-        return held.select(F.col("others.doc_id").alias("doc_id"), F.col("kept").alias("text"), "n_lines", dropped.alias("n_dropped"), (F.col("chars") - F.length("kept")).alias("chars_dropped"))
+        return held.select(F.col("others.doc_id").alias("doc_id"), F.col("kept").alias("text"), "n_lines", F.col("went").alias("n_dropped"), (F.col("chars") - F.length("kept")).alias("chars_dropped"))
     column = {"text": F.col("kept")} | {c: F.length("kept").cast(docs.schema[c].dataType) for c in docs.columns if c == "n_chars"}
     return held.select(*[column.get(c, F.col(f"others.`{c}`")).alias(c) for c in docs.columns])

@@ -463,7 +463,7 @@ def brute_line_dedup(rows, least):
     for text, unit, templates in keys:
         if any(len(have[t]) >= least and min(have[t]) < order[text] for t in templates):
             gone[text].append(unit)
-    return {i: None if t is None else line_dedup.without([t.encode()], [gone[k]])[0].decode() for k, (i, t) in enumerate(rows)}
+    return {i: None if t is None else line_dedup.without([t.encode()], [gone[k]])[0][0].decode() for k, (i, t) in enumerate(rows)}
 
 
 def test_line_dedup_equals_brute_force(spark, monkeypatch):
