@@ -56,7 +56,7 @@ def text_view(body: bytes | None, cache: dict[bytes, int]) -> np.ndarray:
     n = len(words)
     if not n:
         return np.array([(TEXT_SIZE - 1, 1)], dtype=VALUE)
-    if len(cache) > 300_000:
+    if len(cache) > 100_000:
         cache.clear()
     for w in set(words).difference(cache):
         cache[w] = word_buckets(w)
