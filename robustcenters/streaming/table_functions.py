@@ -44,6 +44,5 @@ class KMeansOut:
 
         if self.rows:
             ids, x, w = (np.array(c) for c in zip(*sorted(self.rows)))
-            d = np.round(np.abs(x[:, None] - x[None]), 9)
-            s = solvers.alternate(d, w.astype("int64"), self.k, self.z)
+            s, _ = solvers.solve_points(metrics.ABS, x.astype("float64"), w.astype("int64"), self.k, self.z, "alternate")
             yield from ((int(ids[c]), float(s.cost)) for c in s.centers)
