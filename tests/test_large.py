@@ -73,3 +73,48 @@ def test_a_group_of_many_rows_is_fitted(spark):
     p = spark.range(9000).selectExpr("id AS pid", "CAST(id * 37 % 4001 AS DOUBLE) AS pt", "1 AS g")
     rows = fit_by(p, "g", RobustSpec(2, 3, metric="abs", solver="plain_then_trim")).collect()
     assert len(rows) == 2 and sum(r["weight"] for r in rows) == 8997
+
+
+def test_optimum_on_a_line_equals_trying_all(spark):
+    """Ties, weights, forgotten units and both powers; then a table of more pairs than the general way takes."""
+    import itertools
+    import math
+
+    from robustcenters.operators import cost
+
+    rng = np.random.default_rng(5)
+
+    def best_of(x, w, ids, k, z, power):
+        found = []
+        for s in itertools.combinations(range(len(x)), k):
+            d = np.round(np.abs(x[:, None] - x[list(s)]).min(axis=1), 9)
+            found.append((round(math.fsum(((w - solvers.trim(d, w, z)) * d**power).tolist()), 6), sorted(int(ids[i]) for i in s)))
+        return min(found)
+
+    for _ in range(150):
+        x = np.unique(np.round(rng.normal(0, 5, 12), int(rng.integers(0, 3))))
+        w, ids = rng.integers(1, 4, len(x)), rng.permutation(1000)[: len(x)]
+        for k, z, power in itertools.product((1, 2), (0, 3), (1, 2)):
+            want, got = best_of(x, w, ids, k, z, power), cost.line_optimum(x, w, ids, k, z, power)
+            assert (got[1], got[0]) == want if want[0] > 0 else got is None
+    table = spark.range(3000).selectExpr("id AS pid", "CAST(pow(id % 1000, 2) AS DOUBLE) AS pt")
+    assert [int(i) < 1000 for i in cost.optimum(table, 2, 3, "abs").first()["centers"].split(",")] == [True, True]
+
+
+def test_spread_on_a_line_takes_any_number_of_points(spark):
+    from robustcenters.plans import audit
+
+    rng = np.random.default_rng(6)
+    x = np.r_[np.round(rng.normal(0, 100, 25_000), 2), 0.5, 0.5]
+    u = np.unique(x)
+    got = audit.spread(spark.createDataFrame([(i, float(v)) for i, v in enumerate(x)], "pid long, pt double"), "abs").first()[0]
+    assert got == (u[-1] - u[0]) / np.diff(u).min()
+
+
+def test_kmeans_out_makes_no_matrix():
+    from robustcenters.streaming.table_functions import KMeansOut
+
+    f = KMeansOut()
+    for i in range(60_000):  # a matrix of 29 GB
+        f.eval({"pid": i, "x": float(i * 7919 % 20_011), "w": 1}, 3, 2)
+    assert len(list(f.terminate())) == 3
