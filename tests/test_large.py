@@ -118,3 +118,20 @@ def test_kmeans_out_makes_no_matrix():
     for i in range(60_000):  # a matrix of 29 GB
         f.eval({"pid": i, "x": float(i * 7919 % 20_011), "w": 1}, 3, 2)
     assert len(list(f.terminate())) == 3
+
+
+@pytest.mark.parametrize("name", ["bounds_table", "constants_table", "non_metrics_flagged", "rel_range_literal", "rel_recursive"])
+def test_small_queries_read_a_given_table(spark, tmp_path, name):
+    """Without tables they fail; with them they give what their SQL does."""
+    import duckdb
+
+    from robustcenters import catalog
+
+    with pytest.raises(Exception, match="PATH_NOT_FOUND|does not exist"):
+        catalog.queries()[name](spark, str(tmp_path)).collect()
+    con, path = duckdb.connect(), "/root/testdata/sf0.001"
+    for t in ("lineitem", "events"):
+        con.sql(f"CREATE VIEW {t} AS SELECT * FROM '{path}/{t}.parquet'")
+    rows = lambda found: sorted(repr([round(float(v), 6) if isinstance(v, float) else v for v in r]) for r in found)
+    df, sql = catalog.queries()[name](spark, path), con.sql(catalog.oracle_sql()[name])
+    assert df.columns == sql.columns and rows(map(tuple, df.collect())) == rows(sql.fetchall())
