@@ -135,3 +135,21 @@ def test_small_queries_read_a_given_table(spark, tmp_path, name):
     rows = lambda found: sorted(repr([round(float(v), 6) if isinstance(v, float) else v for v in r]) for r in found)
     df, sql = catalog.queries()[name](spark, path), con.sql(catalog.oracle_sql()[name])
     assert df.columns == sql.columns and rows(map(tuple, df.collect())) == rows(sql.fetchall())
+
+
+@pytest.mark.parametrize("pick", ["lowest_id", "random", "farthest"])
+def test_covers_of_copies_equal_those_of_the_points(monkeypatch, pick):
+    monkeypatch.setattr(kernels, "MANY", 100)
+    rng, seen = np.random.default_rng(8), []
+
+    def block(a, b):
+        seen.append(len(a))
+        return metrics.L2.block(a, b)
+
+    x = np.round(rng.exponential(5, (120, 2)), 1)[rng.integers(0, 120, 1000)]
+    w, refs = rng.integers(1, 5, 1000), np.round(rng.exponential(5, (40, 2)), 1)
+    found = []
+    for m in (replace(metrics.L2, block=block), replace(metrics.L2, name="plain")):
+        near = kernels.to_set(m, x, refs)
+        found.append((near, *kernels.ball_cover(m, x, near, w, 0.3, 1.0, pick, np.random.default_rng(3))))
+    assert all((a == b).all() for a, b in zip(*found)) and max(seen) <= 120
