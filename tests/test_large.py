@@ -153,3 +153,51 @@ def test_covers_of_copies_equal_those_of_the_points(monkeypatch, pick):
         near = kernels.to_set(m, x, refs)
         found.append((near, *kernels.ball_cover(m, x, near, w, 0.3, 1.0, pick, np.random.default_rng(3))))
     assert all((a == b).all() for a, b in zip(*found)) and max(seen) <= 120
+
+
+def test_an_alternating_solution_needs_no_matrix(spark, monkeypatch):
+    """w12: more rows than a matrix may have; then the same solution with and without it."""
+    rng = np.random.default_rng(9)
+    rows = [(i, [float(v) for v in x], 1) for i, x in enumerate(rng.normal(0, 1, (8200, 3)))]
+    table = spark.createDataFrame(rows, "pid long, pt array<double>, w long")
+    found = solvers.solve(table, 3, 5, "alternate", "angular", iterations=2).collect()
+    assert sum(r["value"] for r in found if r["kind"] in ("center", "outlier")) == 8200
+    x, w = rng.normal(0, 1, (700, 5)), rng.integers(1, 4, 700)
+    one, _ = solvers.solve_points(metrics.ANGULAR, x, w, 4, 9, "alternate")
+    monkeypatch.setattr(solvers, "MAX_ROWS", 100)
+    two, _ = solvers.solve_points(metrics.ANGULAR, x, w, 4, 9, "alternate")
+    assert (one.centers == two.centers).all() and (one.outliers == two.outliers).all() and abs(one.cost - two.cost) < 1e-6
+
+
+def _words(rng, n):
+    """Sets of common and rare words, with copies, near copies and empty ones."""
+    out = [frozenset(f"w{int(v)}" for v in rng.zipf(1.3, int(rng.integers(0, 30))) % 400) for _ in range(n)]
+    return out + [x - {"w1"} | {"w2"} for x in out[: n // 3]] + out[:5]
+
+
+def test_covers_of_sets_equal_the_general_ones():
+    """w11: a pick compares few sets by their rare words and takes the same ones."""
+    rng = np.random.default_rng(10)
+    plain = replace(metrics.JACCARD, name="plain")
+    for trial in range(30):
+        x = _words(rng, int(rng.integers(1, 80)))
+        sets, w = metrics.Sets.of(x), rng.integers(1, 5, len(x))
+        refs = metrics.Sets.of([x[i] for i in rng.integers(0, len(x), 40)] + [frozenset({"new"})])
+        near = kernels.to_set(metrics.JACCARD, sets, refs)
+        assert (near == kernels.to_set(plain, sets, refs)).all()
+        assert np.allclose(sets_block := metrics.JACCARD.block(sets, sets), [[metrics.jaccard(a, b) for b in x] for a in x]) and (sets_block == sets_block.T).all()
+        for pick in ("lowest_id", "random", "farthest"):
+            one, two = (kernels.ball_cover(m, sets, near, w, (0.3, 0.6, 0.9)[trial % 3], (0.3, 0.8)[trial % 2], pick, np.random.default_rng(3)) for m in (metrics.JACCARD, plain))
+            assert all((a == b).all() for a, b in zip(one, two))
+
+
+def test_covers_look_at_several_picks_together():
+    calls = []
+
+    def block(a, b):
+        calls.append(len(b))
+        return metrics.L2.block(a, b)
+
+    x = np.random.default_rng(11).normal(0, 1, (3000, 3))
+    picked, mass, *_ = kernels.ball_cover(replace(metrics.L2, name="plain", block=block), x, np.zeros(3000), np.ones(3000, dtype="int64"), 0.5, 1e-9)
+    assert len(picked) == mass.sum() == 3000 and len(calls) < 100
