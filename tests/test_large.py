@@ -201,3 +201,12 @@ def test_covers_look_at_several_picks_together():
     x = np.random.default_rng(11).normal(0, 1, (3000, 3))
     picked, mass, *_ = kernels.ball_cover(replace(metrics.L2, name="plain", block=block), x, np.zeros(3000), np.ones(3000, dtype="int64"), 0.5, 1e-9)
     assert len(picked) == mass.sum() == 3000 and len(calls) < 100
+
+
+def test_sets_are_numbered_in_pieces(monkeypatch):
+    x = _words(np.random.default_rng(12), 60)
+    whole = metrics.Sets.of(x)
+    monkeypatch.setattr(metrics, "CELLS", 7)
+    parts = metrics.Sets.of(x)
+    assert (whole.codes == parts.codes).all() and (whole.at == parts.at).all()
+    assert (metrics.JACCARD.block(parts, parts[:9]) == metrics.JACCARD.block(whole, whole[:9])).all()
