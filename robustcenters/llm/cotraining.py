@@ -41,8 +41,8 @@ ROUNDS, SHARE, CONFIDENT = 3, 0.05, 1.5
 TOLD, RIDGE = 0.3, 1e-3
 #: A descent ends at this norm of the gradient or after so many steps; pairs of steps that it remembers.
 FLAT, STEPS, PAIRS = 1e-4, 150, 12
-#: Sums of tasks are in steps of 1 / FINE; at most so many tasks send theirs to the driver.
-FINE, TASKS = 2.0**24, 256
+#: Sums of tasks are in steps of 1 / FINE; so many tasks for each core, at least the first and at most the last number in all, send theirs to the driver.
+FINE, TASKS = 2.0**24, (16, 4, 256)
 #: Rows of the table of views: without a label, to fit on, kept aside, repeated rows of labelled documents.
 OTHER, FIT, ASIDE, AGAIN = range(4)
 #: A document is rejected below this probability of good quality.
@@ -158,8 +158,14 @@ def descent(w: np.ndarray, steps: int = STEPS) -> Generator[np.ndarray, tuple[fl
 
 
 def summed(rows: DataFrame, size: int, kernel: Callable[[pa.RecordBatch], np.ndarray], column: str) -> np.ndarray:
-    """The sum of the kernel's ``size`` whole numbers over all pieces of the table."""
+    """The sum of the kernel's ``size`` whole numbers over all pieces of the table.
+
+    A fit makes this pass many times, and the driver holds each task's sums and keeps a record of each task, so the tasks
+    follow the cores and not the partitions of the table.
+    """
     arrow = arrow_schema(rows.sparkSession, "sums binary")
+    least, each, most = TASKS
+    tasks = min(most, max(least, each * rows.sparkSession.sparkContext.defaultParallelism))
 
     def run(batches):
         total = np.zeros(size)
@@ -167,7 +173,7 @@ def summed(rows: DataFrame, size: int, kernel: Callable[[pa.RecordBatch], np.nda
             total += kernel(part).ravel()
         yield pa.RecordBatch.from_arrays([pa.array([total.tobytes()], pa.binary())], schema=arrow)
 
-    return sum((np.frombuffer(bytes(r["sums"])) for r in rows.coalesce(TASKS).mapInArrow(run, "sums binary").collect()), np.zeros(size))
+    return sum((np.frombuffer(bytes(r["sums"])) for r in rows.coalesce(tasks).mapInArrow(run, "sums binary").collect()), np.zeros(size))
 
 
 def calibrate(logit: np.ndarray, y: np.ndarray, n: np.ndarray) -> tuple[float, float]:
@@ -209,13 +215,16 @@ def fitted(labelled: DataFrame, told: DataFrame | None, last: list[Logistic] | N
     examples = [labelled.select(F.lit(k).alias("told"), "y", F.lit(1.0).alias("weight"), F.col(c).alias("view")) for k, c in enumerate(VIEW_NAMES)]
     if told is not None:
         examples.append(told.select("told", "y", F.lit(TOLD).alias("weight"), "view"))
-    weights = np.zeros((2, 2))
-    for each in examples:
-        for r in each.groupBy("told", "y", "weight").count().collect():
-            weights[r["told"], r["y"]] += r["weight"] * r["count"]
     rows = examples[0]
     for each in examples[1:]:
         rows = rows.unionByName(each)
+
+    def counted(part):
+        own, y, weight = (part.column(c).to_numpy() for c in ("told", "y", "weight"))
+        return np.bincount(4 * (weight < 1) + 2 * own + y, minlength=8)
+
+    full, less = summed(rows, 8, counted, "view").reshape(2, 2, 2)
+    weights = full + TOLD * less
     sizes = [2 * (n + 2) for n in VIEW_SIZES]
     runs = [descent(np.zeros(n + 1) if last is None else last[k].w) for k, n in enumerate(VIEW_SIZES)]
     points: list[np.ndarray | None] = [next(run) for run in runs]

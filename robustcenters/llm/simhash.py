@@ -25,7 +25,7 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from .common import arrow_schema, checkpoint, chunks, join_hot, text_bytes
+from .common import arrow_schema, checkpoint, chunks, dense, join_hot, text_bytes
 
 RADIUS = 4
 SHINGLE_WORDS = 4
@@ -269,22 +269,23 @@ def links(distinct: DataFrame, radius: int = RADIUS, block: int = BLOCK, clean:
 def components(edges: DataFrame, max_rounds: int = 60) -> DataFrame:
     """(node, root): root is the smallest node reachable, for nodes that have links. Alternates large and small stars."""
     both = checkpoint(edges.where("a <> b").select(F.greatest("a", "b").alias("v"), F.least("a", "b").alias("u")).distinct())
-    last = None
+    rows, last = both.count(), None
+    both = dense(both, rows)
     for _ in range(max_rounds):
         # large star: larger neighbours go to the smallest of the neighbourhood
         near = both.select("v", "u").union(both.select(F.col("u").alias("v"), F.col("v").alias("u")))
         larger = F.count_if(F.col("u") > F.col("v")).alias("n")
-        least = checkpoint(near.groupBy("v").agg(F.least(F.min("u"), F.col("v")).alias("m"), larger).where("n > 0"))
+        least = checkpoint(dense(near.groupBy("v").agg(F.least(F.min("u"), F.col("v")).alias("m"), larger).where("n > 0"), rows))
         large = join_hot(both.select(F.col("u").alias("v"), F.col("v").alias("u")), least, ["v"], "n").select(F.col("u").alias("v"), F.col("m").alias("u"))
-        large = checkpoint(large.distinct())
+        large = checkpoint(dense(large.distinct(), rows))
         # small star: smaller neighbours and the node itself go to the smallest
-        low = checkpoint(large.groupBy("v").agg(F.min("u").alias("m"), F.count("*").alias("n")))
+        low = checkpoint(dense(large.groupBy("v").agg(F.min("u").alias("m"), F.count("*").alias("n")), rows))
         several = join_hot(large, low.where("n > 1"), ["v"], "n").select(F.col("u").alias("v"), F.col("m").alias("u")).where("v <> u")
-        both = checkpoint(several.union(low.select("v", F.col("m").alias("u"))).distinct())
+        both = checkpoint(dense(several.union(low.select("v", F.col("m").alias("u"))).distinct(), rows))
         now = both.agg(F.count("*"), F.sum(F.xxhash64("v", "u").cast("decimal(38,0)"))).first()
         if tuple(now) == last:
             break
-        last = tuple(now)
+        last, rows = tuple(now), now[0]
     else:
         raise RuntimeError("components did not settle")
     return both.select(F.col("v").alias("node"), F.col("u").alias("root"))

@@ -671,3 +671,27 @@ def test_cotraining_tells_every_confident_document_once(spark, small):
     docs, labels = (spark.read.parquet(f"{small}/{t}.parquet") for t in ("documents", "labels"))
     first, second = (cotraining.fit(cotraining.with_labels(d, labels)) for d in (docs, docs.repartition(7)))
     assert all(a[1:] == b[1:] and (a[0].w == b[0].w).all() for a, b in zip(first[0], second[0])) and first[1] == second[1]
+
+
+def test_a_pass_of_a_fit_has_few_tasks_whatever_the_partitions(spark):
+    from robustcenters.llm import cotraining
+
+    rows = spark.range(0, 1000, 1, 300).selectExpr("cast(id as string) view")
+    tasks, total = cotraining.summed(rows, 2, lambda part: np.array([1, sum(map(int, part.column(0).to_pylist()))]), "view")
+    assert tasks <= max(16, 4 * spark.sparkContext.defaultParallelism) and total == 499_500
+
+
+def test_components_of_a_small_table_have_few_tasks(spark):
+    from robustcenters.llm import simhash
+
+    was = spark.conf.get("spark.sql.shuffle.partitions")
+    spark.conf.set("spark.sql.shuffle.partitions", "90")
+    spark.conf.set("spark.sql.adaptive.coalescePartitions.enabled", "false")
+    try:
+        got = simhash.components(spark.range(0, 40, 1, 60).selectExpr("id a", "id + 1 + int(id % 10 = 9) * 100 b"))
+        assert got.rdd.getNumPartitions() <= max(16, 4 * spark.sparkContext.defaultParallelism)
+        roots = {r["node"]: r["root"] for r in got.collect()}
+    finally:
+        spark.conf.set("spark.sql.shuffle.partitions", was)
+        spark.conf.unset("spark.sql.adaptive.coalescePartitions.enabled")
+    assert roots == {x: k for k in (0, 10, 20, 30) for x in [*range(k + 1, k + 10), k + 110]}
