@@ -313,6 +313,31 @@ def test_search_equals_search_of_everything(spark, small, monkeypatch):
     assert every and len(got & every) >= 0.9 * len(every) and got <= every
 
 
+def test_decontamination_fit_reads_every_passage(spark):
+    """Fewer passages than the rank has, in one long document and one long item: the projection keeps all of each."""
+    rng = np.random.default_rng(3)
+    say = lambda name, n: " ".join(f"{name}{k}" for k in rng.integers(0, 5_000, n))
+    long, item = say("word", 16 * 50), say("term", 16 * 30)
+    table = decontamination.fit(frame(spark, [long, None, ""]), spark.createDataFrame([(1, item), (2, None)], "item_id long, text string"))
+    for text in (long, item):
+        vectors, _, _ = decontamination.passage_vectors(*decontamination.terms_of([text.encode()]), table)
+        assert np.linalg.norm(vectors, axis=1).min() > 0.99
+    # a product with the Gram matrix, by brute force
+    lengths, width = np.array([0, 7, 16, 33, 200, 32, 0]), 5
+    terms = rng.integers(0, 300, lengths.sum()).astype("uint16")
+    weight, q = rng.random(decontamination.TERMS).astype("float32") + 0.1, rng.normal(size=(decontamination.TERMS, width)).astype("float32")
+    got, want = np.zeros(q.shape, dtype="float32"), np.zeros(q.shape)
+    decontamination.gram_product(terms, lengths, np.c_[q * weight[:, None], weight**2], weight, got, 2.0)
+    passages = 0
+    for own in np.split(terms, np.cumsum(lengths)[:-1]):
+        for at in range(0, max(1, len(own) - 16), 16):
+            if len(cut := own[at : at + 32]):
+                row = np.bincount(cut, minlength=decontamination.TERMS) * weight
+                want += 2 * np.outer(row, row @ q) / (weight[cut] ** 2).sum()
+                passages += 1
+    assert np.allclose(got, want, atol=1e-4) and decontamination.passage_counts(lengths).sum() == passages
+
+
 def test_short_items_and_empty_tables(spark):
     bench = spark.createDataFrame([(1, "Blue, green tea"), (2, ""), (3, None), (4, "alone")], "item_id long, text string")
     docs = frame(spark, ["we had blue green tea!", "green tea blue", None, "", "not so alone ...", "blue green tea and alone"])
