@@ -338,6 +338,19 @@ def test_decontamination_fit_reads_every_passage(spark):
     assert np.allclose(got, want, atol=1e-4) and decontamination.passage_counts(lengths).sum() == passages
 
 
+def test_pipeline_fits_on_every_document(spark, monkeypatch):
+    """The stage's projection is fitted on the rows of 3,100 documents and of the items, not on some of them."""
+    seen = {}
+
+    def vectors(rows, idf, **more):
+        seen["rows"] = rows.count()
+        return np.ones((decontamination.TERMS, 1)), np.ones(1)
+
+    monkeypatch.setattr(decontamination, "right_vectors", vectors)
+    docs, bench = frame(spark, [f"text {k}" for k in range(3100)]), spark.createDataFrame([(1, "a b c d e f g"), (2, "no")], "item_id long, text string")
+    assert decontamination.drop_leaked(docs, bench).count() == 3100 and seen["rows"] == 3102
+
+
 def test_short_items_and_empty_tables(spark):
     bench = spark.createDataFrame([(1, "Blue, green tea"), (2, ""), (3, None), (4, "alone")], "item_id long, text string")
     docs = frame(spark, ["we had blue green tea!", "green tea blue", None, "", "not so alone ...", "blue green tea and alone"])
