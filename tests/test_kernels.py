@@ -1,6 +1,7 @@
 """Kernels, solvers and bounds on hand-made points with known answers."""
 
 import itertools
+import time
 
 import numpy as np
 import pytest
@@ -206,3 +207,20 @@ def test_swap_tables_equal_trying_every_swap():
                 assert abs(solvers.trimmed_cost(d, w, found, z, power) - min(solvers.trimmed_cost(d, w, o, z, power) for o in options)) < 1e-9
             moved = solvers.swap_search(d, w, centers, power, 1e-9, {}, max_moves=1)
             assert abs(solvers.trimmed_cost(d, w, moved, 0, power) - min(solvers.trimmed_cost(d, w, o, 0, power) for o in [centers, *options])) < 1e-9
+
+
+def test_seeding_on_a_line_draws_as_in_general(monkeypatch):
+    from robustcenters.functions.metrics import ABS
+
+    rng = np.random.default_rng(5)
+    for points in (rng.lognormal(3, 1, 6_000), np.round(rng.normal(size=6_000), 1)):
+        w = rng.integers(1, 5, len(points)).astype("float64")
+        fast = kernels.seed_dsq(ABS, points, w, 300, 2, np.random.default_rng(1))
+        with monkeypatch.context() as general:
+            general.setattr(kernels, "LINE_SEEDS", 1 << 60)
+            assert kernels.seed_dsq(ABS, points, w, 300, 2, np.random.default_rng(1)).tolist() == fast.tolist()
+        assert len(set(points[fast])) == len(fast)
+    # each of 12,000 centers looked at all 500,000 points before
+    many, began = rng.lognormal(3, 1, 500_000), time.monotonic()
+    assert len(kernels.seed_dsq(ABS, many, np.ones(len(many)), 12_000, 2, np.random.default_rng(1))) == 12_000
+    assert time.monotonic() - began < 60
